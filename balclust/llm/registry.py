@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from . import secrets
+from . import placement, repetition, secrets, tokens
 
 
 def queries():
     return {
         "op1_secret_scan": secrets.op1,
+        "op2_repetition_rules": repetition.op2,
+        "op5_sharding": placement.op5,
+        "op6_token_counts": tokens.op6,
     }
 
 
 def oracle_sql():
-    return {}
+    return {"op5_sharding": placement.op5_sql()}
