@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import placement, repetition, secrets, tokens
+from . import mixing, placement, repetition, secrets, simhash, tokens
 
 
 def queries():
@@ -11,8 +11,10 @@ def queries():
         "op2_repetition_rules": repetition.op2,
         "op5_sharding": placement.op5,
         "op6_token_counts": tokens.op6,
+        "op8_source_mix": mixing.op8,
+        "op9_simhash_near_dedup": simhash.op9,
     }
 
 
 def oracle_sql():
-    return {"op5_sharding": placement.op5_sql()}
+    return {"op5_sharding": placement.op5_sql(), "op8_source_mix": mixing.OP8_SQL}
