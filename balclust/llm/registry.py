@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import mixing, placement, repetition, secrets, simhash, tokens
+from . import mixing, packing, placement, repetition, secrets, simhash, tokens
 
 
 def queries():
@@ -13,6 +13,7 @@ def queries():
         "op6_token_counts": tokens.op6,
         "op8_source_mix": mixing.op8,
         "op9_simhash_near_dedup": simhash.op9,
+        "op10_sequence_packing": packing.op10,
     }
 
 
