@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, placement, quality, repetition, secrets, simhash, tokens
+from . import mixing, packing, placement, quality, repeats, repetition, secrets, simhash, tokens
 
 
 def queries():
     return {
         "op1_secret_scan": secrets.op1,
         "op2_repetition_rules": repetition.op2,
+        "op3_repeated_substrings": repeats.op3,
         "op4_quality_classifier": quality.op4,
         "op5_sharding": placement.op5,
         "op6_token_counts": tokens.op6,
