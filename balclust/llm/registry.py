@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, placement, quality, repeats, repetition, secrets, simhash, tokens
+from . import mixing, packing, placement, progressive, quality, repeats, repetition, secrets, simhash, tokens
 
 
 def queries():
@@ -13,6 +13,7 @@ def queries():
         "op4_quality_classifier": quality.op4,
         "op5_sharding": placement.op5,
         "op6_token_counts": tokens.op6,
+        "op7_progressive_media": progressive.op7,
         "op8_source_mix": mixing.op8,
         "op9_simhash_near_dedup": simhash.op9,
         "op10_sequence_packing": packing.op10,
