@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
+from balclust import queries_methods, queries_relational, queries_streaming  # noqa: F401  (they fill the register)
+from balclust import register
+from balclust import workloads as WL
+
 
 def flagship(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/lineitem.parquet")
+    """The weighted summary of the two-column lineitem lattice."""
+    return queries_methods.built(spark, sf_dir, WL.W01).coreset
 
 
 def queries():
-    return {}
+    return dict(register.QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(register.SQL)
