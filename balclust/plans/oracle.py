@@ -34,8 +34,13 @@ def cells(i: Instance) -> str:
     return f"cells AS (SELECT lvl AS level, {keys}, count(*) AS n FROM leaf, (SELECT CAST(unnest(range(-1, {i.spec.levels + 1})) AS INTEGER) AS lvl) GROUP BY lvl, {names})"
 
 
+def number(v: float) -> str:
+    """A literal that SQL reads with the type it has here; without an exponent it would be a decimal."""
+    return repr(v) if isinstance(v, int) or "e" in repr(v) else f"{v!r}e0"
+
+
 def case(column: str, values: dict) -> str:
-    return f"CASE {column} " + " ".join(f"WHEN {k} THEN {v!r}" for k, v in values.items()) + " END"
+    return f"CASE {column} " + " ".join(f"WHEN {k} THEN {number(v)}" for k, v in values.items()) + " END"
 
 
 def limits(p: Params) -> str:

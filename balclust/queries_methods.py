@@ -22,6 +22,11 @@ def pts(s, sf, i, keep=()):
     return WL.load(s, sf, i.spec, keep)
 
 
+def verdict(s, flags, schema):
+    """One row of truths."""
+    return s.createDataFrame([tuple(bool(f) for f in flags)], schema)
+
+
 def _cells(s, sf, i):
     return partition.cell_counts(partition.leaf_counts(pts(s, sf, i), i.grid), i.grid)
 
@@ -126,7 +131,7 @@ def marks_by_level(s, sf):
 
 
 @query("m10_parameters", "SELECT 'calibrated' AS profile, 0.05::DOUBLE AS gamma, (1.0 / 1600)::DOUBLE AS xi, 8::BIGINT AS independence UNION ALL SELECT 'theory', "
-       f"{PR.derive(8, 2, 2, 10, 16.0, profile='theory').gamma!r}::DOUBLE, {PR.derive(8, 2, 2, 10, 16.0, profile='theory').xi!r}::DOUBLE, (1000000 * 2 * 512 * 2 * 10 * 8)::BIGINT")
+       f"{PR.derive(8, 2, 2, 10, 16.0, profile='theory').gamma!r}::DOUBLE, {PR.derive(8, 2, 2, 10, 16.0, profile='theory').xi!r}::DOUBLE, (1000000::BIGINT * 2 * 512 * 2 * 10 * 8)::BIGINT")
 def parameters(s, sf):
     rows = [(p.profile, p.gamma, p.xi, p.independence) for p in (PR.derive(8, 2, 2, 10, 16.0, profile=x) for x in ("calibrated", "theory"))]
     return s.createDataFrame(rows, "profile string, gamma double, xi double, independence long")
@@ -220,7 +225,7 @@ def guess_by_estimate(s, sf):
     i = WL.W01
     _, bound = solvers.opt_estimate(pts(s, sf, i), 8, 2, 2, sample=2000)
     guess = PR.guess_for(bound // 2 or 1, 1)
-    return s.createDataFrame([(guess <= bound / 2, guess > bound / 4)], "below_estimate boolean, within_two boolean")
+    return verdict(s, (guess <= bound / 2, guess > bound / 4), "below_estimate boolean, within_two boolean")
 
 
 # --- estimates
@@ -292,13 +297,13 @@ def _sweep_sql(i, r):
     da, db = O.dist(i.spec.coordinates, a, r), O.dist(i.spec.coordinates, b, r)
     return f"""WITH {O.points(i.spec)}, d AS (SELECT ({da}) - ({db}) AS diff, {db} AS to_b, row_number() OVER (ORDER BY ({da}) - ({db}), {', '.join(i.spec.coordinates)}, tag) AS m FROM pts),
 run AS (SELECT m, (sum(diff) OVER (ORDER BY m) + sum(to_b) OVER ())::BIGINT AS cost FROM d UNION ALL SELECT 0, sum(to_b)::BIGINT FROM d),
-caps AS (SELECT t::BIGINT AS t FROM (SELECT count(*) AS n FROM pts), (SELECT unnest([0.4, 0.5, 0.55, 0.75, 1.0]) AS f), LATERAL (SELECT ceil(f * n) AS t))
+caps AS (SELECT ((n * f + 99) // 100)::BIGINT AS t FROM (SELECT count(*) AS n FROM pts), (SELECT unnest([40, 50, 55, 75, 100]) AS f))
 SELECT t, min(cost) AS cost FROM caps LEFT JOIN run ON m >= (SELECT count(*) FROM pts) - t AND m <= t GROUP BY t"""
 
 
 def _capacities(s, p):
     n = p.count()
-    return s.createDataFrame([(int(math.ceil(f * n)),) for f in (0.4, 0.5, 0.55, 0.75, 1.0)], "t long")
+    return s.createDataFrame([((n * f + 99) // 100,) for f in (40, 50, 55, 75, 100)], "t long")
 
 
 def _two_query(key, i, r):
@@ -322,7 +327,7 @@ def dual_certificate(s, sf):
     share, price = flow.transport(cost, w, np.full(2, t))
     exact = flow.value(cost, share)
     bound = float(C.dual_bound(pts(s, sf, i), i.centres, np.rint(price).astype(int).tolist(), t).first()[0])
-    return s.createDataFrame([(bound <= exact + 1e-6, bound >= exact - 1e-6 * max(1.0, exact))], "bound_below boolean, near boolean")
+    return verdict(s, (bound <= exact + 1e-6, bound >= exact - 1e-6 * max(1.0, exact)), "bound_below boolean, near boolean")
 
 
 @query("m21_weighted_bracket", "SELECT true AS fractional_below, true AS few_splits, true AS capacity_kept")
@@ -335,7 +340,7 @@ def weighted_bracket(s, sf):
     share, _ = flow.transport(cost, w, np.full(2, cap))
     whole, splits = flow.remove_splits(cost, share)
     low, high = flow.value(cost, share), float((w * cost[np.arange(len(x)), whole]).sum())
-    return s.createDataFrame([(low <= high + abs(high) * 1e-3 + w.max() * cost.max(), splits <= 1, float(np.bincount(whole, w).max()) <= cap + w.max())], "fractional_below boolean, few_splits boolean, capacity_kept boolean")
+    return verdict(s, (low <= high + abs(high) * 1e-3 + w.max() * cost.max(), splits <= 1, float(np.bincount(whole, w).max()) <= cap + w.max()), "fractional_below boolean, few_splits boolean, capacity_kept boolean")
 
 
 @query("v04_bottleneck", f"WITH {O.points(WL.SUP)} SELECT count(CASE WHEN {_near_sql(WL.W13, 2)[0]} > 400 THEN 1 END) AS n_far FROM pts")
@@ -391,7 +396,7 @@ def tie_exchange(s, sf):
     total = lambda a: cost[np.arange(6), a].sum()
     diff = cost[:, 0] - cost[:, 1]
     order = sorted(range(6), key=lambda p: (diff[p], *x[p]))
-    return s.createDataFrame([(bool(total(out) <= total(start) and total(better) == total(out)), bool((np.bincount(out) == np.bincount(start)).all()), [int(better[p]) for p in order] == [0, 0, 0, 1, 1, 1])], "same_cost boolean, same_sizes boolean, separated boolean")
+    return verdict(s, (bool(total(out) <= total(start) and total(better) == total(out)), bool((np.bincount(out) == np.bincount(start)).all()), [int(better[p]) for p in order] == [0, 0, 0, 1, 1, 1]), "same_cost boolean, same_sizes boolean, separated boolean")
 
 
 @query("m28_regions", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", a AS (SELECT *, {_PLACE4} AS j FROM core), e AS (SELECT level, max(CASE WHEN j = 0 THEN {_KEY4[0, 1]} END) AS last FROM a GROUP BY level), r AS (SELECT level, CASE WHEN coalesce({_KEY4[0, 1]} <= last, false) THEN 1 ELSE 2 END AS region FROM routed JOIN e USING (level)) SELECT level, region, count(*) AS n FROM r GROUP BY level, region")
@@ -429,7 +434,7 @@ def flow_certificate(s, sf):
     cost, cap = flow.costs(x[:, :2], np.array(i.centres), 2), np.full(4, 0.3 * w.sum())
     share, price = flow.transport(cost, w, cap)
     v, bound = flow.value(cost, share), flow.dual_value(cost, w, cap, price)
-    return s.createDataFrame([(bool(abs(v - bound) <= 1e-7 * v), bool((share.sum(axis=0) <= cap * (1 + 1e-9)).all()))], "tight boolean, feasible boolean")
+    return verdict(s, (bool(abs(v - bound) <= 1e-7 * v), bool((share.sum(axis=0) <= cap * (1 + 1e-9)).all())), "tight boolean, feasible boolean")
 
 
 @query("m32_split_removal", "SELECT true AS few_splits, true AS cost_kept, true AS sizes_kept")
@@ -440,7 +445,7 @@ def split_removal(s, sf):
     share, _ = flow.transport(cost, w, np.full(4, cap))
     whole, splits = flow.remove_splits(cost, share)
     after = float((w * cost[np.arange(len(x)), whole]).sum())
-    return s.createDataFrame([(splits <= 3, after <= flow.value(cost, share) * (1 + 1e-9), float(np.bincount(whole, w, 4).max()) <= cap + 3 * w.max())], "few_splits boolean, cost_kept boolean, sizes_kept boolean")
+    return verdict(s, (splits <= 3, after <= flow.value(cost, share) * (1 + 1e-9), float(np.bincount(whole, w, 4).max()) <= cap + 3 * w.max()), "few_splits boolean, cost_kept boolean, sizes_kept boolean")
 
 
 def _extended(s, sf, i, factor, transfer=True):
@@ -458,7 +463,7 @@ def extension(s, sf):
     full, report, cap, n = _extended(s, sf, WL.W04, 1.2)
     row = full.agg(F.count("j").alias("n"), F.sum("cost").alias("cost")).first()
     largest = C.size_vector(full, 2).agg(F.max("size")).first()[0]
-    return s.createDataFrame([(row["n"] == n, largest <= 1.3 * cap, row["cost"] <= 1.3 * report["cost"])], "all_assigned boolean, near_capacity boolean, near_cost boolean")
+    return verdict(s, (row["n"] == n, largest <= 1.3 * cap, row["cost"] <= 1.3 * report["cost"]), "all_assigned boolean, near_capacity boolean, near_cost boolean")
 
 
 @query("b12_no_transfer", "SELECT true AS all_assigned")
@@ -490,7 +495,7 @@ def overfull(s, sf):
     keyed = pts(s, sf, i).select(*i.grid.leaf(i.spec.coordinates))
     updates = keyed.select(cellstore.pack(i.grid.keys(9), 11).alias("key"), F.lit(1).cast("long").alias("sign"))
     shape = cellstore.Shape(16)
-    return s.createDataFrame([(cellstore.decode(cellstore.sketch(updates, shape).collect(), shape) is None,)], "failed boolean")
+    return verdict(s, (cellstore.decode(cellstore.sketch(updates, shape).collect(), shape) is None,), "failed boolean")
 
 
 def _machines(s, sf, machines=8):
@@ -553,7 +558,7 @@ def solve_and_lift(s, sf):
     mine = full.agg(F.sum("cost")).first()[0]
     other = C.plain_cost(p, i.centres, 2).first()[0]
     largest = C.size_vector(full, 4).agg(F.max("size")).first()[0]
-    return s.createDataFrame([(math.isfinite(value), mine <= other, largest <= 1.35 * n / 4)], "finite boolean, beats_random boolean, near_capacity boolean")
+    return verdict(s, (math.isfinite(value), mine <= other, largest <= 1.35 * n / 4), "finite boolean, beats_random boolean, near_capacity boolean")
 
 
 @query("m43_centre_cells", O.chain(WL.W04, "points", "leaves", "cells") + "SELECT level, count(*) AS n FROM cells WHERE " + " OR ".join("(" + " + ".join(f"pow(greatest(0, greatest((k{m} << greatest(0, 10 - level)) - {z[m] - WL.W04.grid.shift[m] + 1024}, {z[m] - WL.W04.grid.shift[m] + 1024} - (((k{m} + 1) << greatest(0, 10 - level)) - 1))), 2)" for m in range(2)) + ") * 4 <= pow(2.0, 2 * (10 - level))" for z in WL.W04.centres) + " GROUP BY level")
@@ -631,7 +636,7 @@ def three_pass(s, sf):
     p = pts(s, sf, WL.W05)
     n = p.count()
     _, cost, snapped_ = baselines.three_pass(p, 3, 1.2 * n / 3, 2, 1)
-    return s.createDataFrame([(math.isfinite(cost), snapped_.count() == n)], "finite boolean, all_snapped boolean")
+    return verdict(s, (math.isfinite(cost), snapped_.count() == n), "finite boolean, all_snapped boolean")
 
 
 @query("b07_chunk_centres", "SELECT (SELECT count(*) FROM customer)::BIGINT AS mass")
@@ -647,13 +652,13 @@ def facilities(s, sf):
 @query("b10_all_assignments", "SELECT (count(*) * ln(8))::DOUBLE > count(*) AS worse_than_input FROM lineitem")
 def all_assignments(s, sf):
     n = table(s, sf, "lineitem").count()
-    return s.createDataFrame([(PR.all_assignments_bound(n, 8) > n,)], "worse_than_input boolean")
+    return verdict(s, (PR.all_assignments_bound(n, 8) > n,), "worse_than_input boolean")
 
 
 @query("b11_rates_by_scope", "SELECT true AS more_independence, true AS same_rate")
 def rates_by_scope(s, sf):
     one, all_ = PR.fixed_instance_rate(0.01, 1e30, 4, 2, 0.01), PR.fixed_instance_rate(0.01, 1e30, 4, 2, 0.01, 2, 10)
-    return s.createDataFrame([(all_[0] > one[0], all_[1] >= one[1])], "more_independence boolean, same_rate boolean")
+    return verdict(s, (all_[0] > one[0], all_[1] >= one[1]), "more_independence boolean, same_rate boolean")
 
 
 @query("b13_nearest_centres", f"WITH {O.points(WL.ORD)} SELECT tag, x0, x1, {_PLACE4B}::INTEGER AS j, {_NEAR4} AS cost FROM pts")
@@ -664,7 +669,7 @@ def nearest_centres(s, sf):
 @query("b14_library_kmeans", "SELECT true AS positive")
 def library_kmeans(s, sf):
     _, cost = baselines.library_kmeans(pts(s, sf, WL.W16), 5, 2)
-    return s.createDataFrame([(cost > 0,)], "positive boolean")
+    return verdict(s, (cost > 0,), "positive boolean")
 
 
 # --- measures and workloads
@@ -711,7 +716,7 @@ def tail_bound(s, sf):
     counts = p.agg(*(F.count_if(P.poly_hash(["tag", "x0"], h) < P.threshold(0.5)).alias(f"f{k}") for k, h in enumerate(families)), F.count("*").alias("n")).first()
     n = counts["n"]
     off = sum(abs(counts[f"f{k}"] - n / 2) > n / 8 for k in range(16)) / 16
-    return s.createDataFrame([(off <= PR.tail_bound(n / 2, 1, 4, n / 8) + 0.05,)], "holds boolean")
+    return verdict(s, (off <= PR.tail_bound(n / 2, 1, 4, n / 8) + 0.05,), "holds boolean")
 
 
 @query("a17_sketch_bits", f"SELECT {cellstore.Shape(1200).rows}::BIGINT AS max_rows, {cellstore.Shape(1200).bits}::BIGINT AS bits")
@@ -730,7 +735,7 @@ def failures_over_seeds(s, sf):
     for k in range(10):
         b = coreset.build(p, i.grid, i.params, P.hash_family(f"seed {k}", "core", 8))
         bad += abs(float(C.plain_cost(b.coreset, i.centres, 2, "w").first()[0] or 0) / full - 1) > 0.2
-    return s.createDataFrame([(bad <= 1,)], "at_most_a_tenth boolean")
+    return verdict(s, (bad <= 1,), "at_most_a_tenth boolean")
 
 
 @query("a20_assignments_bound", "SELECT 60.0::DOUBLE AS bits")
@@ -753,7 +758,7 @@ def brute_force(s, sf):
     x, w = C.arrays(first, 2)
     z = np.array(i.centres)
     ok = all(abs(solvers.brute_force(x[:, :2], z, t, 2) - flow.capacitated(x[:, :2], w, z, t, 2)) < 1e-6 for t in (5, 6, 8, 10))
-    return s.createDataFrame([(ok,)], "equal boolean")
+    return verdict(s, (ok,), "equal boolean")
 
 
 @query("w16_territories", "WITH t AS (SELECT n_regionkey AS region, avg(c_acctbal) AS m FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1) SELECT region, count(*) AS customers FROM t JOIN nation ON n_regionkey = region JOIN customer ON c_nationkey = n_nationkey GROUP BY region")
@@ -780,7 +785,7 @@ def rate_sweep(s, sf):
 
     by_m = [size(m=m) for m in (8.0, 32.0, 128.0)]
     by_guess = [size(guess=i.params.guess * f) for f in (1.0, 8.0)]
-    return s.createDataFrame([(by_m == sorted(by_m) and by_m[0] < by_m[2], by_guess[0] >= by_guess[1])], "grows_with_m boolean, shrinks_with_guess boolean")
+    return verdict(s, (by_m == sorted(by_m) and by_m[0] < by_m[2], by_guess[0] >= by_guess[1]), "grows_with_m boolean, shrinks_with_guess boolean")
 
 
 @query("w20_theory_is_exact", O.chain(WL.W20, *O.UP_TO_CORESET) + "SELECT count(*) AS n, min(w) AS least, max(w) AS most FROM core")

@@ -8,6 +8,7 @@ from balclust import workloads as WL
 from balclust.functions import points as P
 from balclust.operators import cellstore
 from balclust.plans import oracle as O
+from balclust.queries_methods import verdict
 from balclust.register import query, table
 from balclust.sources import store
 from balclust.streaming import dynamic as D
@@ -51,7 +52,7 @@ def stream_families(s, sf):
         found = cellstore.decode([r for r in sketches if r["family"] == family and r["level"] == level], cellstore.Shape(80))
         decoded_ &= found is not None
         equal &= found == {r["key"]: r["n"] for r in batch if r["family"] == family and r["level"] == level}
-    return s.createDataFrame([(decoded_, equal)], "all_decoded boolean, equal_batch boolean")
+    return verdict(s, (decoded_, equal), "all_decoded boolean, equal_batch boolean")
 
 
 @query("stream_exact_survivors", "WITH " + O.points(WL.EV10).replace("FROM events", "FROM (SELECT * FROM events WHERE event_id % 5 >= 1)") + " SELECT tag, x0, x1 FROM pts")
@@ -143,4 +144,4 @@ def window_difference(s, sf):
     less = early.select("rep", "bucket", *((-F.col(c)).alias(c) for c in cellstore.SUMS))
     found = cellstore.decode(cellstore.merge(all_.unionByName(less)).collect(), SHAPE)
     want = {r["key"]: r["n"] for r in D.cell_updates(p.where(late), i.grid, 3).groupBy("key").agg(F.sum("sign").alias("n")).collect()}
-    return s.createDataFrame([(found == want,)], "equal boolean")
+    return verdict(s, (found == want,), "equal boolean")
