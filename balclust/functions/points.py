@@ -87,11 +87,19 @@ MICRO = 1_000_000
 
 
 def dist_r(squared: Column, r: float) -> Column:
-    """Euclidean distance to the power r as a whole number: exact for r = 2, in millionths otherwise."""
+    """Euclidean distance to the power r as a whole number: exact for r = 2, in millionths otherwise.
+
+    Powers that are multiples of a half are products of square roots, which every engine rounds alike.
+    """
     if r == 2:
         return squared.cast("long")
-    root = F.sqrt(squared.cast("double"))
-    return F.round((root if r == 1 else F.pow(root, F.lit(float(r)))) * MICRO).cast("long")
+    square = squared.cast("double")
+    factors = [square] * int(r // 2)
+    if (2 * r) % 1:
+        factors = [F.pow(F.sqrt(square), F.lit(float(r)))]
+    else:
+        factors += [F.sqrt(square)] * (int(2 * r) % 4 // 2) + [F.sqrt(F.sqrt(square))] * (int(2 * r) % 2)
+    return F.round(reduce(lambda a, b: a * b, factors) * MICRO).cast("long")
 
 
 class Grid(NamedTuple):

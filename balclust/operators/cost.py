@@ -6,7 +6,6 @@ Costs are sums of whole numbers (squares, or millionths for other powers), so th
 from __future__ import annotations
 
 from collections.abc import Sequence
-from functools import reduce
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -25,15 +24,16 @@ def distances(coordinates: Sequence[str], centres: Centres, r: float) -> list[Co
 def nearest(df: DataFrame, centres: Centres, r: float = 2) -> DataFrame:
     """df with j (the nearest centre, the first of ties, from 0) and cost."""
     coordinates = [f"x{m}" for m in range(len(centres[0]))]
-    near = F.least(*d) if len(d := distances(coordinates, centres, r)) > 1 else d[0]
-    place = reduce(lambda rest, k: F.when(d[k] == near, F.lit(k)).otherwise(rest), reversed(range(len(d))), F.lit(None).cast("int"))
-    return df.withColumns({"j": place.cast("int"), "cost": near})
+    each = [F.struct(c.alias("cost"), F.lit(k).alias("j")) for k, c in enumerate(distances(coordinates, centres, r))]
+    best = df.withColumn("_near", F.least(*each) if len(each) > 1 else each[0])
+    return best.select(*(c for c in df.columns if c not in ("j", "cost")), F.col("_near.j").alias("j"), F.col("_near.cost").alias("cost"))
 
 
-def plain_cost(df: DataFrame, centres: Centres, r: float = 2, weight: str | None = None) -> DataFrame:
-    """cost: without capacities, everything goes to its nearest centre."""
+def plain_cost(df: DataFrame, centres: Centres, r: float = 2, weight: str | None = None, wide: bool = False) -> DataFrame:
+    """cost: without capacities, everything goes to its nearest centre. wide: sums of 38 digits, for inputs whose cost may pass 2^63."""
     each = nearest(df, centres, r)
-    return each.agg(F.coalesce(F.sum(F.col("cost") * F.col(weight)) if weight else F.sum("cost"), F.lit(0)).alias("cost"))
+    paid = F.col("cost").cast("decimal(20,0)") if wide else F.col("cost")
+    return each.agg(F.coalesce(F.sum(paid * F.col(weight)) if weight else F.sum(paid), F.lit(0)).alias("cost"))
 
 
 def size_vector(assigned: DataFrame, k: int, weight: str | None = None) -> DataFrame:

@@ -106,5 +106,6 @@ def dist(coordinates: list[str], z: tuple[int, ...], r: float) -> str:
     sq = " + ".join(f"({x} - {c}) * ({x} - {c})" for x, c in zip(coordinates, z, strict=True))
     if r == 2:
         return f"CAST({sq} AS BIGINT)"
-    root = f"sqrt(CAST({sq} AS DOUBLE))" if r == 1 else f"pow(sqrt(CAST({sq} AS DOUBLE)), {float(r)})"
-    return f"CAST(round({root} * 1000000) AS BIGINT)"
+    square = f"CAST({sq} AS DOUBLE)"
+    factors = [square] * int(r // 2) + [f"sqrt({square})"] * (int(2 * r) % 4 // 2) + [f"sqrt(sqrt({square}))"] * (int(2 * r) % 2)
+    return f"CAST(round({' * '.join(factors)} * 1000000) AS BIGINT)"
