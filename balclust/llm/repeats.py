@@ -11,7 +11,8 @@ times only the first occurrence can hold a first window, and the others go whole
 different phrases share a trigger, their suffixes (the windows, by what precedes the trigger and what follows it
 up to LENGTH) are sorted bytewise, which gives the corpus order to the depth that matters; a
 window equal to its neighbour in that order goes unless it is the earliest. No rank of the whole parse is
-needed, since a phrase carries the bytes that follow its trigger.
+needed, since a phrase carries the bytes that follow its trigger. A trigger that more than CROWD phrases share
+is not kept together: its windows are dealt by hashes of their own and compared by the same sort.
 
 Two passes: triggers and phrase hashes of all texts meet by trigger (packed arrays, first occurrences
 of a phrase only from each task); then only the phrases whose triggers others share meet as bytes.
@@ -43,8 +44,10 @@ BUCKET_BYTES, LEAST_BUCKETS, HELD = 32 << 20, 128, 300_000
 SORTED = 4 << 20
 #: Bits that hold a place in a slice of texts; fixed, so that triggers are the same in any slice.
 PLACE_BITS = 31
-#: All windows of a run go; a phrase whose trigger other phrases share.
-REPEATED, SHARED = 1, 2
+#: All windows of a run go; a phrase whose trigger other phrases share; one whose trigger more than CROWD share.
+REPEATED, SHARED, CROWDED = 1, 2, 3
+#: Phrases of one trigger that are sorted together; of more, each window is dealt by its own hash.
+CROWD = 256
 
 PHRASE = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("tie", "<i8"), ("start", "<i8"), ("count", "<i8")])
 
@@ -200,7 +203,9 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         heads = np.flatnonzero(_changes(first["trigger"]))
         size = np.diff(np.append(heads, len(first)))
         yield _placed(_runs(again), REPEATED)
-        yield _placed(first[np.repeat(size > 1, size)], SHARED)
+        size = np.repeat(size, size)
+        yield _placed(first[(size > 1) & (size <= CROWD)], SHARED)
+        yield _placed(first[size > CROWD], CROWDED)
 
     held, at = [], None
     for batch in batches:
@@ -218,18 +223,50 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from settle(held)
 
 
+def _signed(keys: np.ndarray) -> np.ndarray:
+    return (keys ^ np.uint64(1 << 63)).view(np.int64)
+
+
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The bytes of shared phrases, and their triggers' hashes."""
+    """The bytes of shared phrases, and their triggers' hashes; of crowded ones each window by its own hash.
+
+    Of crowded windows that are alike in a slice only the earliest goes on; the others come without bytes, as repeats.
+    """
     for part in common.slices(batches, "text", common.SLICE_BYTES // 2):
-        rows = []
-        for doc, tie, text, shared in zip(*(common.column(part, c).to_pylist() for c in ("doc", "tie", "text", "shared")), strict=True):
-            body = text.encode()
-            data = np.frombuffer(body, np.uint8)
-            found = parse(data, np.array([0, len(data)]))
-            wanted = np.isin(found["start"], [s["start"] for s in shared])
-            for start, count, trigger in zip(*(found[c][wanted].tolist() for c in ("start", "count", "trigger")), strict=True):
-                rows.append({"trigger": trigger - (1 << 63), "doc": doc, "tie": tie, "start": start, "count": count, "body": body[start : start + count + LENGTH - 1]})
-        yield pa.RecordBatch.from_pylist(rows, BODIES)
+        data, where = common.text_bytes(common.column(part, "text"))
+        doc, tie = (common.column(part, c).to_numpy() for c in ("doc", "tie"))
+        lists = common.column(part, "shared")
+        flat = lists.flatten()
+        start, kind = (pa.compute.struct_field(flat, c).to_numpy() for c in ("start", "kind"))
+        owner = np.repeat(np.arange(part.num_rows), np.diff(lists.offsets.to_numpy()))
+        found = parse(data, where)
+        # Both sides name a phrase by where it starts in the slice.
+        at = np.searchsorted(found["start"], np.unique(where[owner] + start)) if len(owner) else np.zeros(0, np.int64)
+        crowded = np.isin(found["start"][at], where[owner[kind == CROWDED]] + start[kind == CROWDED])
+        body = data.tobytes()
+
+        def rows(at: np.ndarray, first: np.ndarray, count: np.ndarray, keys: np.ndarray, whole: bool = True) -> pa.RecordBatch:
+            text = found["text"][at]
+            cuts = [body[a:b] for a, b in zip(first.tolist(), (first + count + LENGTH - 1).tolist(), strict=True)] if whole else [None] * len(first)
+            return pa.RecordBatch.from_arrays([pa.array(_signed(keys)), pa.array(doc[text]), pa.array(tie[text]), pa.array(first - where[text]), pa.array(count), pa.array(cuts, pa.binary())], schema=BODIES)
+
+        plain = at[~crowded]
+        yield rows(plain, found["start"][plain], found["count"][plain], found["trigger"][plain])
+        many = np.repeat(at[crowded], found["count"][at[crowded]])
+        if not len(many):
+            continue
+        begin = np.cumsum(found["count"][at[crowded]]) - found["count"][at[crowded]]
+        first = found["start"][many] + np.arange(len(many)) - np.repeat(begin, found["count"][at[crowded]])
+        keys = common.RunHash(common.BYTE_WORDS[data])(first, first + LENGTH)
+        order = np.lexsort([first - where[found["text"][many]], tie[found["text"][many]], doc[found["text"][many]], keys])
+        many, first, keys = many[order], first[order], keys[order]
+        new = _changes(keys)
+        head = np.maximum.accumulate(np.where(new, np.arange(len(keys)), 0))
+        text, other = found["text"][many], found["text"][many[head]]
+        same = (doc[text] == doc[other]) & (tie[text] == tie[other]) & (first - where[text] == first[head] - where[other])
+        ones = np.ones(len(many), np.int64)
+        yield rows(many[new], first[new], ones[new], keys[new])
+        yield rows(many[~same], first[~same], ones[~same], keys[~same], whole=False)
 
 
 def later_windows(bodies: list[bytes], group: np.ndarray, doc: np.ndarray, tie: np.ndarray, start: np.ndarray, count: np.ndarray) -> dict[str, np.ndarray]:
@@ -279,6 +316,14 @@ def _sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     held: list[pa.RecordBatch] = []
     for batch in common.slices(batches, "body", SORTED // 4):
+        known = pa.compute.is_null(common.column(batch, "body"))
+        gone = batch.filter(known)
+        if gone.num_rows:
+            start, count = (common.column(gone, c).to_numpy() for c in ("start", "count"))
+            yield pa.RecordBatch.from_arrays([common.column(gone, "doc"), common.column(gone, "tie"), pa.array(start), pa.array(start + count + LENGTH - 1)], schema=SPANS)
+            batch = batch.filter(pa.compute.invert(known))
+        if not batch.num_rows:
+            continue
         held.append(batch)
         if sum(b.nbytes for b in held) < SORTED:
             continue
@@ -322,7 +367,7 @@ def repeated_spans(texts: DataFrame) -> DataFrame:
     parsed = texts.mapInArrow(_parse(buckets), _ddl(PACKED)).repartition("bucket").sortWithinPartitions("bucket")
     placed = common.stage(parsed.mapInArrow(_meet, _ddl(PLACED)))
     common.release(texts.sparkSession)
-    shared = placed.where(F.col("kind") == SHARED).groupBy("doc", "tie").agg(F.collect_list(F.struct("start")).alias("shared"))
+    shared = placed.where(F.col("kind") >= SHARED).groupBy("doc", "tie").agg(F.collect_list(F.struct("start", "kind")).alias("shared"))
     bodies = texts.join(shared, ["doc", "tie"]).mapInArrow(_cut, _ddl(BODIES)).repartition("trigger").sortWithinPartitions("trigger")
     sorted_ = common.stage(bodies.mapInArrow(_sort, _ddl(SPANS)))
     common.release(texts.sparkSession)

@@ -56,14 +56,16 @@ def test_query_equals_brute_force(spark, tmp_path, seed, monkeypatch):
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == want[r.doc_id], r.doc_id
 
 
-def test_small_buffers_change_nothing(monkeypatch):
-    """The same corpus through tiny packs and slices, by the functions that the tasks run."""
+@pytest.mark.parametrize("crowd", [1, 2, 256])
+def test_small_buffers_change_nothing(monkeypatch, crowd):
+    """The same corpus through tiny packs and slices, by the functions that the tasks run, with triggers crowded or not."""
     import pyarrow as pa
 
     from balclust.llm import common
 
     texts = [t or "" for t in corpus(3)]
     docs = dict(enumerate(texts))
+    monkeypatch.setattr(repeats, "CROWD", crowd)
     monkeypatch.setattr(repeats, "HELD", 50)
     monkeypatch.setattr(repeats, "SORTED", 2000)
     monkeypatch.setattr(common, "SLICE_BYTES", 4000)
@@ -72,9 +74,10 @@ def test_small_buffers_change_nothing(monkeypatch):
     placed = pa.Table.from_batches(list(repeats._meet(iter(packed.to_batches(max_chunksize=7)))), repeats.PLACED).to_pylist()
     shared = {}
     for r in placed:
-        if r["kind"] == repeats.SHARED:
-            shared.setdefault(r["doc"], []).append({"start": r["start"]})
-    part = pa.RecordBatch.from_pydict({"doc": pa.array(list(shared), pa.int64()), "tie": pa.array([0] * len(shared), pa.int64()), "text": [docs[k] for k in shared], "shared": list(shared.values())})
+        if r["kind"] >= repeats.SHARED:
+            shared.setdefault(r["doc"], []).append({"start": r["start"], "kind": r["kind"]})
+    lists = pa.array(list(shared.values()), pa.list_(pa.struct([("start", pa.int64()), ("kind", pa.int32())])))
+    part = pa.RecordBatch.from_pydict({"doc": pa.array(list(shared), pa.int64()), "tie": pa.array([0] * len(shared), pa.int64()), "text": [docs[k] for k in shared], "shared": lists})
     bodies = pa.Table.from_batches(list(repeats._cut(iter([part]))), repeats.BODIES).sort_by("trigger")
     spans = [(r["doc"], r["start"], r["start"] + r["count"] + 99) for r in placed if r["kind"] == repeats.REPEATED]
     spans += [(r["doc"], r["start"], r["stop"]) for r in pa.Table.from_batches(list(repeats._sort(iter(bodies.to_batches(max_chunksize=9)))), repeats.SPANS).to_pylist()]
