@@ -18,8 +18,8 @@ from balclust.operators import flow, halfspace, partition
 
 
 def assign_summary(summary: DataFrame, centres: C.Centres, capacity: float, r: float, d: int) -> tuple[DataFrame, dict]:
-    """(x0.., tag, level, w, p0.., j of the summary's points, report). The summary's size is its parameters', so it fits the driver."""
-    table = summary.toPandas().sort_values([*(f"x{m}" for m in range(d)), "tag"]).reset_index(drop=True)
+    """(x0.., tag, level, w, p0.., j of the summary's points, report). The summary's size is its parameters'; one too large for the driver is refused."""
+    table = C.on_driver(summary).sort_values([*(f"x{m}" for m in range(d)), "tag"]).reset_index(drop=True)
     x, w = table[[f"x{m}" for m in range(d)]].to_numpy(np.int64), table["w"].to_numpy(float)
     z = np.asarray(centres, np.int64)
     distance = flow.costs(x, z, r)

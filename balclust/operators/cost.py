@@ -79,10 +79,11 @@ def two_centre_cost(df: DataFrame, a: Sequence[int], b: Sequence[int], capacitie
     total = counted.agg(F.sum("n").alias("all_n"), F.sum("to_b").alias("all_b"), F.coalesce(F.sum(F.when(F.col("diff") < 0, F.col("n"))), F.lit(0)).alias("free"))
     wanted = capacities.crossJoin(F.broadcast(total)).withColumn("m", F.greatest(F.col("all_n") - F.col("t"), F.least("t", "free")))
     sweep = two_centre_sweep(df, a, b, r).select("diff", "n", F.col("m").alias("upto"), "cost")
-    # The step that the m-th point falls into: part of it goes.
-    met = wanted.join(sweep, (F.col("m") <= F.col("upto")) & (F.col("m") > F.col("upto") - F.col("n")), "left")
-    cost = F.when(2 * F.col("t") < F.col("all_n"), None).when(F.col("m") == 0, F.col("all_b")).otherwise(F.col("cost") - (F.col("upto") - F.col("m")) * F.col("diff"))
-    return met.select("t", cost.cast("long").alias("cost"))
+    # The step that the m-th point falls into: part of it goes. The sweep stays in place; the few capacities go to it.
+    met = sweep.join(F.broadcast(wanted.select("t", "m")), (F.col("m") <= F.col("upto")) & (F.col("m") > F.col("upto") - F.col("n")))
+    part = met.select("t", (F.col("cost") - (F.col("upto") - F.col("m")) * F.col("diff")).alias("part"))
+    cost = F.when(2 * F.col("t") < F.col("all_n"), None).when(F.col("m") == 0, F.col("all_b")).otherwise(F.col("part"))
+    return wanted.join(part, "t", "left").select("t", cost.cast("long").alias("cost"))
 
 
 def dual_bound(df: DataFrame, centres: Centres, prices: Sequence[int], t: float, r: float = 2, weight: str | None = None) -> DataFrame:
@@ -93,15 +94,32 @@ def dual_bound(df: DataFrame, centres: Centres, prices: Sequence[int], t: float,
     return df.agg((F.sum(low * F.col(weight)) if weight else F.sum(low)).alias("s")).select((F.col("s") - F.lit(float(t) * sum(prices))).alias("bound"))
 
 
+def set_distance(df: DataFrame, centres: Centres) -> DataFrame:
+    """sqdist: the least squared distance between the points and a set of centres."""
+    return nearest(df, centres, 2).agg(F.min("cost").alias("sqdist"))
+
+
 def bottleneck(df: DataFrame, centres: Centres, radius: int) -> DataFrame:
     """n_far: points without a centre within a squared radius (the measure for r without bound)."""
     each = nearest(df, centres, 2)
     return each.agg(F.count(F.when(F.col("cost") > radius, 1)).alias("n_far"))
 
 
+#: Rows of a summary that the driver takes; more than that is an error, not a cut.
+MOST = 2_000_000
+
+
+def on_driver(df: DataFrame, most: int = MOST):
+    """df as a pandas frame, if it has at most so many rows."""
+    table = df.limit(most + 1).toPandas()
+    if len(table) > most:
+        raise ValueError(f"more than {most} rows are not for the driver: choose a larger guess or a smaller m")
+    return table
+
+
 def arrays(df: DataFrame, d: int, weight: str | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Coordinates (with the tag last) and weights of a summary, in a fixed order, on the driver. Only summaries come here: their size is a parameter's."""
-    table = df.select(*(f"x{m}" for m in range(d)), "tag", (F.col(weight) if weight else F.lit(1.0)).alias("w")).toPandas()
+    """Coordinates (with the tag last) and weights of a summary, in a fixed order, on the driver."""
+    table = on_driver(df.select(*(f"x{m}" for m in range(d)), "tag", (F.col(weight) if weight else F.lit(1.0)).alias("w")))
     raw = table[[*(f"x{m}" for m in range(d)), "tag"]].to_numpy(np.int64)
     order = np.lexsort(raw.T[::-1])
     return raw[order], table["w"].to_numpy(float)[order]

@@ -57,7 +57,7 @@ def mark_cells(cells: DataFrame, grid: Grid, params: Params, size: str = "n") ->
             own = own.withColumn("open", F.lit(True))
         else:
             up = parents.where(F.col("kind") == "heavy").select(*(F.col(k).alias(f"p{k}") for k in grid.key_names), F.lit(True).alias("open"))
-            own = own.join(F.broadcast(up), [F.expr(f"shiftright({k}, 1)") == F.col(f"p{k}") for k in grid.key_names], "left").drop(*(f"p{k}" for k in grid.key_names))
+            own = own.join(up, [F.expr(f"shiftright({k}, 1)") == F.col(f"p{k}") for k in grid.key_names], "left").drop(*(f"p{k}" for k in grid.key_names))
         heavy = (F.col(size) >= limit[level]) if level < params.levels else F.lit(False)
         parents = own.withColumn("kind", F.when(F.col("open").isNull(), "inside").when(heavy, "heavy").otherwise("crucial")).drop("open")
         out = parents if out is None else out.unionByName(parents)

@@ -10,7 +10,7 @@ from pyspark.sql.window import Window as W
 
 from balclust import workloads as WL
 from balclust.functions import points as P
-from balclust.operators import assign, baselines, cellstore, coreset, distributed, estimate, flow, halfspace, partition, solvers
+from balclust.operators import assign, baselines, cellstore, coreset, distributed, estimate, flow, halfspace, measures, partition, solvers
 from balclust.operators import cost as C
 from balclust.plans import oracle as O
 from balclust.plans import params as PR
@@ -319,15 +319,16 @@ for _k, _r in (("w04", 2), ("w04", 1), ("w05", 2), ("w13", 2)):
 
 @query("m20_dual_certificate", "SELECT true AS bound_below, true AS near")
 def dual_certificate(s, sf):
-    """Flow prices on a sample's assignment bound the cost on all points from below; with the points themselves they meet the cost."""
-    i = WL.W13
-    x, w = C.arrays(pts(s, sf, i), 2)
-    z, t = np.array(i.centres), float(math.ceil(len(x) * 0.6))
-    cost = flow.costs(x[:, :2], z, 2)
-    share, price = flow.transport(cost, w, np.full(2, t))
-    exact = flow.value(cost, share)
-    bound = float(C.dual_bound(pts(s, sf, i), i.centres, np.rint(price).astype(int).tolist(), t).first()[0])
-    return verdict(s, (bound <= exact + 1e-6, bound >= exact - 1e-6 * max(1.0, exact)), "bound_below boolean, near boolean")
+    """Prices from the summary's flow bound the cost of all points from below, in one pass, and come near it."""
+    i = WL.W04
+    p = pts(s, sf, i)
+    x, w = C.arrays(built(s, sf, i).coreset, 2, "w")
+    n, z = p.count(), np.array(i.centres)
+    t = (n * 60 + 99) // 100
+    _, price = flow.transport(flow.costs(x[:, :2], z, 2), w, np.full(2, 0.6 * w.sum()))
+    exact = C.two_centre_cost(p, *i.centres, s.createDataFrame([(t,)], "t long")).first()["cost"]
+    bound = float(C.dual_bound(p, i.centres, np.rint(price).astype(int).tolist(), t).first()[0])
+    return verdict(s, (bound <= exact, bound >= 0.9 * exact), "bound_below boolean, near boolean")
 
 
 @query("m21_weighted_bracket", "SELECT true AS fractional_below, true AS few_splits, true AS capacity_kept")
@@ -586,11 +587,9 @@ def small_parts(s, sf):
     return small.groupBy("level").agg(F.count("*").alias("n_parts"), F.sum("size").alias("mass"))
 
 
-@query("m45_set_distance", f"WITH {O.points(WL.SUP)} SELECT min((a.x0 - b.x0) * (a.x0 - b.x0) + (a.x1 - b.x1) * (a.x1 - b.x1))::BIGINT AS sqdist FROM pts a, pts b WHERE a.tag % 2 = 0 AND b.tag % 2 = 1")
+@query("m45_set_distance", f"WITH {O.points(WL.SUP)} SELECT min({_near_sql(WL.W13, 2)[0]})::BIGINT AS sqdist FROM pts")
 def set_distance(s, sf):
-    p = pts(s, sf, WL.W13)
-    a, b = p.where("tag % 2 = 0"), p.where("tag % 2 = 1").select(F.col("x0").alias("y0"), F.col("x1").alias("y1"))
-    return a.join(F.broadcast(b), F.lit(True)).agg(F.min((F.col("x0") - F.col("y0")) * (F.col("x0") - F.col("y0")) + (F.col("x1") - F.col("y1")) * (F.col("x1") - F.col("y1"))).alias("sqdist"))
+    return C.set_distance(pts(s, sf, WL.W13), WL.W13.centres)
 
 
 @query("m46_movement_bound", O.chain(WL.W04, *O.UP_TO_PARTS) + "SELECT sum(n * (a * a + b * b))::BIGINT AS moved FROM (SELECT count(*) AS n, max(x0) - min(x0) AS a, max(x1) - min(x1) AS b FROM routed GROUP BY level, p0, p1)")
@@ -675,17 +674,10 @@ def library_kmeans(s, sf):
 # --- measures and workloads
 
 
-def summary_report(s, sf, i, factors=(0.55, 0.75, 1.0), eta=0.1):
-    """t, upper, lower of two centres: the summary's cost at (1+eta) t over the input's at t, and the input's at (1+eta)^2 t over the summary's."""
-    p, b = pts(s, sf, i), built(s, sf, i)
-    x, w = C.arrays(b.coreset, i.spec.d, "w")
+def summary_report(s, sf, i, percents=(55, 75, 100), eta=0.1, theorem=False):
+    p = pts(s, sf, i)
     n = p.count()
-    ts = [math.ceil(f * n) for f in factors]
-    wide = [math.floor((1 + eta) ** 2 * t) for t in ts]
-    full = {r["t"]: r["cost"] for r in C.two_centre_cost(p, *i.centres[:2], s.createDataFrame([(t,) for t in sorted({*ts, *wide})], "t long"), i.params.r).collect()}
-    scale = 1 if i.params.r == 2 else P.MICRO
-    mine = [flow.capacitated(x[:, : i.spec.d], w, np.array(i.centres[:2]), (1 + eta) * t, i.params.r) * scale for t in ts]
-    return s.createDataFrame([(t, m / full[t], full[u] / m) for t, u, m in zip(ts, wide, mine, strict=True)], "t long, upper double, lower double")
+    return measures.coreset_ratios(p, built(s, sf, i), i.centres[:2], [(n * f + 99) // 100 for f in percents], eta, theorem)
 
 
 @query("a02_a03_ratios", "SELECT true AS upper_ok, true AS lower_ok")
@@ -693,6 +685,44 @@ def ratios(s, sf):
     return summary_report(s, sf, WL.W04).agg((F.max("upper") <= 1.3).alias("upper_ok"), (F.max("lower") <= 1.3).alias("lower_ok"))
 
 
+@query("v14_theorem_form", "SELECT true AS upper_ok, true AS lower_ok")
+def theorem_form(s, sf):
+    return summary_report(s, sf, WL.W04, theorem=True).agg((F.max("upper") <= 1.3).alias("upper_ok"), (F.max("lower") <= 1.3).alias("lower_ok"))
+
+
+@query("a04_solution_quality", f"WITH {O.points(WL.ORD)}, a AS (SELECT {_PLACE4B} AS j, {_NEAR4} AS cost FROM pts) SELECT 1.0::DOUBLE AS alpha, (SELECT max(n) FROM (SELECT count(*) AS n FROM a GROUP BY j))::DOUBLE / 100.0 AS beta")
+def solution_quality(s, sf):
+    a = C.nearest(pts(s, sf, WL.W04), WL.W04.centres, 2)
+    return measures.solution_quality(a, 2, 100.0, float(a.agg(F.sum("cost")).first()[0]))
+
+
+@query("a11_sampling_error", "SELECT true AS near")
+def sampling_error(s, sf):
+    """A uniform sample's cost and sizes against the input's."""
+    i = WL.W04
+    p = pts(s, sf, i)
+    full = C.nearest(p, i.centres, 2)
+    part = C.nearest(baselines.uniform_sample(p, 0.2, i.core_hash, 2), i.centres, 2)
+    row = measures.sampling_error(full, part, 2, 0.1, 1024, 2, 2)
+    return row.select(((F.col("cost_error") <= F.col("cost_bound")) & (F.col("size_error") <= F.col("size_bound"))).alias("near"))
+
+
+@query("a12_transfer_overhead", "SELECT true AS few_moved, true AS little_dearer")
+def transfer_overhead(s, sf):
+    with_, _, _, _ = _extended(s, sf, WL.W04, 1.2)
+    without, _, _, _ = _extended(s, sf, WL.W04, 1.2, transfer=False)
+    row = measures.transfer_overhead(without, with_, ["tag"], 2, WL.W04.params.xi)
+    return row.select((F.col("moved") <= F.greatest(F.lit(50), F.col("moved_bound"))).alias("few_moved"), (F.col("cost_factor") <= 1.1).alias("little_dearer"))
+
+
+@query("a13_residue", O.chain(WL.W01, *O.UP_TO_PARTS, "important") + "SELECT count(*) AS n_left, count(*)::DOUBLE / (SELECT count(*) FROM routed) AS share_left FROM routed ANTI JOIN important USING (level, p0, p1)")
+def residue(s, sf):
+    i = WL.W01
+    p = baselines.parts_of(pts(s, sf, i), i.grid, i.params)
+    sizes = p.groupBy("level", "p0", "p1").agg(F.count("*").alias("size"))
+    return measures.residue(p, coreset.important_parts(sizes, i.params), ["level", "p0", "p1"])
+
+
 @query("a06_a21_summary_size", O.chain(WL.W01, *O.UP_TO_CORESET) + "SELECT count(*) AS n_summary, (SELECT count(*) FROM pts) AS n_input FROM core")
 def summary_size(s, sf):
     return built(s, sf, WL.W01).coreset.agg(F.count("*").alias("n_summary")).join(F.broadcast(pts(s, sf, WL.W01).agg(F.count("*").alias("n_input"))), F.lit(True))

@@ -228,7 +228,7 @@ def rollup(s, sf):
 @query("region_tally_pivot", "SELECT event_type, count(CASE WHEN user_id % 3 = 0 THEN 1 END) AS r0, count(CASE WHEN user_id % 3 = 1 THEN 1 END) AS r1, count(CASE WHEN user_id % 3 = 2 THEN 1 END) AS r2 FROM events GROUP BY event_type")
 def pivot(s, sf):
     e = table(s, sf, "events").withColumn("r", F.concat(F.lit("r"), (F.col("user_id") % 3).cast("string")))
-    return e.groupBy("event_type").pivot("r", ["r0", "r1", "r2"]).agg(F.count("*")).na.fill(0)
+    return e.groupBy("event_type").pivot("r", ["r0", "r1", "r2"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 @query("conditional_counts", "SELECT event_type, count(*) AS n, count(CASE WHEN event_id % 5 = 0 THEN 1 END) AS deleted, bool_and(user_id >= 0) AS valid FROM events GROUP BY event_type")

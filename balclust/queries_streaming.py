@@ -55,6 +55,21 @@ def stream_families(s, sf):
     return verdict(s, (decoded_, equal), "all_decoded boolean, equal_batch boolean")
 
 
+@query("m38_parallel_guesses", "SELECT true AS shared, true AS equal_batch")
+def parallel_guesses(s, sf):
+    """Guesses run side by side: those whose rates round to the same power of two share one sketch, and each decodes."""
+    i = WL.W07
+    cuts = D.guess_cuts(i.params, range(24, 32))
+    levels = range(1, 3)
+    shape = cellstore.Shape(80)
+    sketches = D.run(cellstore.sketch(D.rate_updates(_updates(s, sf), i.grid, cuts, i.core_hash, levels), shape, ("family", "level"))).collect()
+    left = P.points(table(s, sf, "events").where("event_id % 5 >= 1"), WL.EV10).withColumn("op", F.lit(1))
+    batch = D.rate_updates(left, i.grid, cuts, i.core_hash, levels).groupBy("family", "level", "key").agg(F.sum("sign").alias("n")).collect()
+    distinct = {(c[k], k) for c in cuts.values() for k in levels}
+    equal = all(cellstore.decode([r for r in sketches if (r["family"], r["level"]) == (str(c), k)], shape) == {r["key"]: r["n"] for r in batch if (r["family"], r["level"]) == (str(c), k)} for c, k in distinct)
+    return verdict(s, (len(distinct) < len(cuts) * len(levels), equal), "shared boolean, equal_batch boolean")
+
+
 @query("stream_exact_survivors", "WITH " + O.points(WL.EV10).replace("FROM events", "FROM (SELECT * FROM events WHERE event_id % 5 >= 1)") + " SELECT tag, x0, x1 FROM pts")
 def exact_survivors(s, sf):
     """State per point, dropped at zero; the last count of each key is what is left."""
@@ -84,21 +99,22 @@ def sliding(s, sf):
 
 @query("stream_session_users", "WITH m AS (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events), g AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM m) SELECT user_id, min(ts) AS start, count(*) AS n FROM g GROUP BY user_id, k")
 def sessions(s, sf):
-    agg = D.events_stream(s, sf).withWatermark("ts", "1 day").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return D.run(agg).select("user_id", F.col("w.start").alias("start"), "n")
+    e = D.events_stream(s, sf).withColumn("ts", D.instant(F.col("ts"))).withWatermark("ts", "1 day")
+    agg = e.groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return D.run(agg).select("user_id", D.naive(F.col("w.start")).alias("start"), "n")
 
 
 @query("stream_dedup", "SELECT event_id, value FROM events")
 def dedup(s, sf):
     """The stream replayed twice; each event counts once."""
-    e = D.events_stream(s, sf).select("event_id", "ts", "value")
+    e = D.events_stream(s, sf).select("event_id", D.instant(F.col("ts")).alias("ts"), "value")
     twice = e.select("*", F.explode(F.array(F.lit(0), F.lit(1))).alias("copy")).withWatermark("ts", "1 day")
     return D.run_to_files(twice.dropDuplicatesWithinWatermark(["event_id"])).select("event_id", "value")
 
 
 @query("stream_watermark_windows", "SELECT count(*) > 0 AS some, bool_and(n > 0) AS filled FROM (SELECT date_trunc('day', ts) AS d, count(*) AS n FROM events GROUP BY 1)")
 def watermark(s, sf):
-    agg = D.events_stream(s, sf).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+    agg = D.events_stream(s, sf).withColumn("ts", D.instant(F.col("ts"))).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
     return D.run(agg).agg((F.count("*") > 0).alias("some"), F.bool_and(F.col("n") > 0).alias("filled"))
 
 
@@ -113,8 +129,8 @@ def static_assign(s, sf):
 @query("stream_stream_interval_join", "SELECT event_id FROM events WHERE event_id % 5 = 0")
 def stream_join(s, sf):
     """Insertions met with their deletions within two days."""
-    a = D.signed(D.events_stream(s, sf)).where("op = 1").select(F.col("event_id").alias("a"), F.col("ts").alias("ta")).withWatermark("ta", "3 days")
-    b = D.signed(D.events_stream(s, sf)).where("op = -1").select(F.col("event_id").alias("b"), F.col("ts").alias("tb")).withWatermark("tb", "3 days")
+    a = D.signed(D.events_stream(s, sf)).where("op = 1").select(F.col("event_id").alias("a"), D.instant(F.col("ts")).alias("ta")).withWatermark("ta", "3 days")
+    b = D.signed(D.events_stream(s, sf)).where("op = -1").select(F.col("event_id").alias("b"), D.instant(F.col("ts")).alias("tb")).withWatermark("tb", "3 days")
     met = a.join(b, F.expr("a = b AND tb >= ta AND tb <= ta + INTERVAL 2 DAYS"))
     return D.run_to_files(met.select(F.col("a").alias("event_id")))
 

@@ -6,11 +6,12 @@ use state that drops a key when its count comes to zero.
 
 from __future__ import annotations
 
+import math
 import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -20,8 +21,22 @@ from balclust.sources.store import shared_dir
 
 
 def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The events table as a stream of files; the table may be one file or a folder of them."""
     path = f"{sf_dir}/events.parquet"
-    return spark.readStream.schema(spark.read.parquet(path).schema).parquet(path)
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    folder = at.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(at).isDirectory()
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    return reader.parquet(path) if folder else reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+
+
+def instant(ts: Column) -> Column:
+    """A time without zone as the instant it would be in UTC: watermarks want instants."""
+    return F.timestamp_micros(F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), ts))
+
+
+def naive(ts: Column) -> Column:
+    """The way back."""
+    return F.timestamp_add("MICROSECOND", F.unix_micros(ts), F.lit("1970-01-01").cast("timestamp_ntz"))
 
 
 def signed(events: DataFrame, every: int = 5, upto: int = 1) -> DataFrame:
@@ -56,6 +71,20 @@ def family_updates(updates: DataFrame, grid: P.Grid, cuts: dict[tuple[str, int],
     return keyed.select(F.col("op").cast("long").alias("sign"), F.explode(F.filter(hits, lambda x: x.isNotNull())).alias("u")).select("u.family", "u.level", "u.key", "sign")
 
 
+def guess_cuts(params, exponents: range) -> dict[int, dict[int, int]]:
+    """guess_log2: threshold of each level's sample, rates rounded up to powers of two, so that guesses of one rate share a sketch."""
+    out = {}
+    for e in exponents:
+        own = params._replace(guess=float(2**e))
+        out[e] = {i: P.threshold(2.0 ** math.ceil(math.log2(own.rate(i)))) for i in range(params.levels + 1)}
+    return out
+
+
+def rate_updates(updates: DataFrame, grid: P.Grid, cuts: dict[int, dict[int, int]], h: P.Hash, levels: range) -> DataFrame:
+    """level, cut, key, sign for all guesses together: one row for each level and distinct threshold that an update's hash is below."""
+    return family_updates(updates, grid, {(str(cut), i): cut for i in levels for cut in {c[i] for c in cuts.values()}}, {str(cut): h for c in cuts.values() for cut in c.values()})
+
+
 def run(stream: DataFrame, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
     """All that a bounded stream gives, by way of a table in memory: for results whose size is a parameter's."""
     name = f"t{uuid.uuid4().hex}"

@@ -32,11 +32,10 @@ def test_power_triangle_inequality(a, b, r):
     assert dist(a, b) ** r <= 2 ** (r - 1) * (dist(a, o) ** r + dist(o, b) ** r) * (1 + 1e-9) + 1e-9
 
 
-@given(st.integers(1, 64), st.floats(0.0, 63.999), st.integers(-1, 6))
+@given(st.integers(1, 64), st.fractions(0, 64, max_denominator=1000), st.integers(-1, 6))
 def test_integer_shift_equals_real_shift(x, v, level):
-    side = 64 / 2**level
-    u = math.ceil(v)
-    assert math.floor((x - v) / side) == math.floor((x - u) / side) if side >= 1 and float(side).is_integer() else True
+    side = 2 ** (6 - level)
+    assert math.floor((x - v) / side) == (x - math.ceil(v)) // side
 
 
 def test_worked_example_costs(spark):
@@ -217,7 +216,7 @@ def test_cell_store(spark):
     shape = cellstore.Shape(50)
     rng = random.Random(1)
     keys = [rng.randrange(1 << 62) for _ in range(40)]
-    updates = [(k, 1) for k in keys for _ in range(rng.randint(1, 4))] + [(rng.randrange(1 << 62), s) for _ in range(1)for s in (1, -1)]
+    updates = [(k, 1) for k in keys for _ in range(rng.randint(1, 4))]
     gone = [rng.randrange(1 << 62) for _ in range(150)]
     updates += [(k, 1) for k in gone] + [(k, -1) for k in gone]
     rng.shuffle(updates)
