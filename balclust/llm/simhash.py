@@ -174,8 +174,12 @@ def links(marks: DataFrame) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """node, root: the smallest node that each node of edges (a, b) reaches."""
     edges = common.stage(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a != b").distinct())
-    seen = None
     while True:
+        # Done once every node points to one other that points nowhere.
+        forks = edges.groupBy("a").count().where("count > 1").select("a")
+        chains = edges.join(edges.select(F.col("b").alias("a")), "a", "left_semi").select("a")
+        if forks.unionByName(chains).isEmpty():
+            return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("m", "a"))
         # Large neighbours of each node move to its smallest one, ...
@@ -184,10 +188,6 @@ def components(edges: DataFrame) -> DataFrame:
         down = wide.groupBy("a").agg(F.min("b").alias("m"))
         near = wide.join(down, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         edges = common.stage(near.unionByName(down.withColumnRenamed("m", "b")).distinct())
-        now = edges.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b")), F.sum(F.shiftright(F.xxhash64("b", "a"), 20))).first()
-        if now == seen:
-            return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
-        seen = now
 
 
 def near_duplicates(docs: DataFrame, words: int = WORDS) -> DataFrame:
