@@ -400,6 +400,24 @@ def tie_exchange(s, sf):
     return verdict(s, (bool(total(out) <= total(start) and total(better) == total(out)), bool((np.bincount(out) == np.bincount(start)).all()), [int(better[p]) for p in order] == [0, 0, 0, 1, 1, 1]), "same_cost boolean, same_sizes boolean, separated boolean")
 
 
+@query("tied_swap_pairs", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", a AS (SELECT level, tag, x0, x1, ({O.dist(WL.ORD.coordinates, WL.W04.centres[0], 2)}) - ({O.dist(WL.ORD.coordinates, WL.W04.centres[1], 2)}) AS diff, tag % 2 AS j FROM core) SELECT p.level, count(*) AS n FROM a p JOIN a q ON p.level = q.level AND p.diff = q.diff AND p.j = 0 AND q.j = 1 AND struct_pack(x0 := q.x0, x1 := q.x1, tag := q.tag) < struct_pack(x0 := p.x0, x1 := p.x1, tag := p.tag) GROUP BY p.level")
+def tied_swap_pairs(s, sf):
+    """Pairs that the tie exchange would swap, of an assignment that ignores the order: equal differences, later point at the earlier centre."""
+    diff = P.sqdist(["x0", "x1"], WL.W04.centres[0]) - P.sqdist(["x0", "x1"], WL.W04.centres[1])
+    a = built(s, sf, WL.W04).coreset.select("level", diff.alias("diff"), F.struct("x0", "x1", "tag").alias("at"), (F.col("tag") % 2).alias("j"))
+    p, q = a.where("j = 0").select("level", "diff", "at"), a.where("j = 1").select("level", "diff", F.col("at").alias("other"))
+    return p.join(q, ["level", "diff"]).where("other < at").groupBy("level").agg(F.count("*").alias("n"))
+
+
+@query("theta_separator_violations", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", a AS (SELECT level, {_PLACE4} AS j, ({O.dist(WL.ORD.coordinates, WL.W04.centres[0], 2)}) - ({O.dist(WL.ORD.coordinates, WL.W04.centres[1], 2)}) AS diff FROM core), e AS (SELECT level, max(CASE WHEN j = 0 THEN diff END) AS last FROM a GROUP BY level) SELECT level, count(*) AS n FROM a JOIN e USING (level) WHERE j = 1 AND diff < last GROUP BY level")
+def separator_violations(s, sf):
+    """Points at the later centre before the end of the earlier one's half-space; none for an optimal assignment."""
+    diff = P.sqdist(["x0", "x1"], WL.W04.centres[0]) - P.sqdist(["x0", "x1"], WL.W04.centres[1])
+    a = _assigned(s, sf, WL.W04).select("level", "j", diff.alias("diff"))
+    ends = a.groupBy("level").agg(F.max(F.when(F.col("j") == 0, F.col("diff"))).alias("last"))
+    return a.join(F.broadcast(ends), "level").where("j = 1 AND diff < last").groupBy("level").agg(F.count("*").alias("n"))
+
+
 @query("m28_regions", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", a AS (SELECT *, {_PLACE4} AS j FROM core), e AS (SELECT level, max(CASE WHEN j = 0 THEN {_KEY4[0, 1]} END) AS last FROM a GROUP BY level), r AS (SELECT level, CASE WHEN coalesce({_KEY4[0, 1]} <= last, false) THEN 1 ELSE 2 END AS region FROM routed JOIN e USING (level)) SELECT level, region, count(*) AS n FROM r GROUP BY level, region")
 def regions(s, sf):
     i = WL.W04

@@ -77,6 +77,19 @@ def exact_survivors(s, sf):
     return changes.groupBy("tag", "x0", "x1").agg(F.min("n").alias("least"), F.count("*").alias("c"), F.sum("n").alias("s")).where("least > 0").select("tag", "x0", "x1")
 
 
+@query("stream_state_processor", "WITH " + O.points(WL.EV10).replace("FROM events", "FROM (SELECT * FROM events WHERE event_id % 5 >= 1)") + " SELECT tag, x0, x1 FROM pts")
+def state_processor(s, sf):
+    """The same survivors by a state processor with a value per key, on the RocksDB store."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = s.conf.get(key, None)
+    s.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        changes = D.run(D.counted(_updates(s, sf)), "update")
+    finally:
+        s.conf.set(key, before) if before else s.conf.unset(key)
+    return changes.groupBy("tag", "x0", "x1").agg(F.min("n").alias("least")).where("least > 0").select("tag", "x0", "x1")
+
+
 @query("m38_stream_summary", O.chain(WL.W07, *O.UP_TO_CORESET).replace("FROM events", "FROM (SELECT * FROM events WHERE event_id % 5 >= 1)") + "SELECT tag, x0, x1, level, p0, p1, w FROM core")
 def stream_summary(s, sf):
     """The summary at the end of a stream: exact state of survivors, then the batch steps."""

@@ -116,6 +116,28 @@ def survivors(updates: DataFrame, schema: str = "tag long, x0 long, x1 long") ->
     return updates.groupBy(*names).applyInPandasWithState(step, f"{schema}, n long", "n long", "update", GroupStateTimeout.NoTimeout)
 
 
+def counted(updates: DataFrame) -> DataFrame:
+    """tag, x0, x1, n of each changed point, by a state processor whose value goes when the count is zero."""
+    from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
+
+    class Counter(StatefulProcessor):
+        def init(self, handle: StatefulProcessorHandle) -> None:
+            self.count = handle.getValueState("count", "n long")
+
+        def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802,N803  (the engine's names)
+            n = (self.count.get()[0] if self.count.exists() else 0) + sum(int(b["op"].sum()) for b in rows)
+            if n:
+                self.count.update((n,))
+            elif self.count.exists():
+                self.count.clear()
+            yield pd.DataFrame([[*key, n]], columns=["tag", "x0", "x1", "n"])
+
+        def close(self) -> None:
+            pass
+
+    return updates.groupBy("tag", "x0", "x1").transformWithStateInPandas(Counter(), "tag long, x0 long, x1 long, n long", "Update", "None")
+
+
 def sketched_summary(spark: SparkSession, sketches: DataFrame, points: DataFrame, grid: P.Grid, params, shape: cellstore.Shape, h: P.Hash) -> coreset.Summary | None:
     """The summary from decoded exact leaf sketches (family 'leaf'); None where a sketch fails. points: survivors, for the sample alone."""
     rows = sketches.where("family = 'leaf'").collect()  # at most shape.rows rows
