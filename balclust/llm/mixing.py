@@ -128,7 +128,7 @@ slots AS (SELECT k, CASE WHEN t % blocks < nfull THEN (step * (t % blocks) + 791
   CASE WHEN t % blocks < nfull THEN {BLOCK} ELSE tail END AS length, t // blocks < passes AS early, rem - (t % blocks) * {BLOCK} AS room,
   CAST('0x' || substr(md5(place || ':' || t), 1, 12) AS BIGINT) % shards AS shard FROM drawn),
 takes AS (SELECT k, idx, sum((early OR room >= length)::BIGINT)::BIGINT AS times, max(CASE WHEN NOT early AND room < length THEN room END) AS part, min(shard) AS shard FROM slots GROUP BY k, idx),
-laid AS (SELECT *, row_number() OVER () AS r, coalesce(sum(size) OVER (PARTITION BY k ORDER BY coalesce(doc_id, 0) % {BUCKETS}, doc_id NULLS FIRST, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start FROM rows),
+laid AS (SELECT *, row_number() OVER () AS r, coalesce(sum(size) OVER (PARTITION BY k ORDER BY ((coalesce(doc_id, 0) % {BUCKETS}) + {BUCKETS}) % {BUCKETS}, doc_id NULLS FIRST, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start FROM rows),
 parts AS (SELECT *, unnest(range(start // {BLOCK}, (start + size - 1) // {BLOCK} + 1)) AS idx FROM laid WHERE size > 0),
 met AS (SELECT r, parts.idx, coalesce(times, 0) * (least(start + size, (idx + 1) * {BLOCK}) - greatest(start, idx * {BLOCK}))
   + greatest(0, least(start + size, idx * {BLOCK} + coalesce(part, 0)) - greatest(start, idx * {BLOCK})) AS got, shard FROM parts LEFT JOIN takes USING (k, idx)),

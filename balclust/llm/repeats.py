@@ -39,7 +39,7 @@ from . import common
 LENGTH, GRAM = 100, 24
 WINDOWS = LENGTH - GRAM + 1
 #: Bytes of text whose phrases share a bucket of triggers, the least number of buckets, and phrases that a task holds before it packs them.
-BUCKET_BYTES, LEAST_BUCKETS, HELD = 32 << 20, 128, 300_000
+BUCKET_BYTES, LEAST_BUCKETS, HELD = 32 << 20, 128, 200_000
 #: Bytes of phrases whose windows are sorted at a time (or those of one trigger).
 SORTED = 4 << 20
 #: Bits that hold a place in a slice of texts; fixed, so that triggers are the same in any slice.
@@ -171,7 +171,7 @@ def _emit(rows: np.ndarray, buckets: int) -> Iterator[pa.RecordBatch]:
 def _parse(buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
-        for part in common.slices(batches, "text", common.SLICE_BYTES // 2):
+        for part in common.slices(batches, "text", common.SLICE_BYTES // 4):
             data, where = common.text_bytes(common.column(part, "text"))
             found = parse(data, where)
             rows = np.zeros(len(found["text"]), PHRASE)
@@ -232,7 +232,7 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     Of crowded windows that are alike in a slice only the earliest goes on; the others come without bytes, as repeats.
     """
-    for part in common.slices(batches, "text", common.SLICE_BYTES // 2):
+    for part in common.slices(batches, "text", common.SLICE_BYTES // 4):
         data, where = common.text_bytes(common.column(part, "text"))
         doc, tie = (common.column(part, c).to_numpy() for c in ("doc", "tie"))
         lists = common.column(part, "shared")
