@@ -46,8 +46,8 @@ SORTED = 4 << 20
 PLACE_BITS = 31
 #: All windows of a run go; a phrase whose trigger other phrases share; one whose trigger more than CROWD share.
 REPEATED, SHARED, CROWDED = 1, 2, 3
-#: Phrases of one trigger that are sorted together; of more, each window is dealt by its own hash.
-CROWD = 256
+#: Phrases of one trigger that one task sorts together, about 3 MB of them; of more, each window is dealt by its own hash.
+CROWD = 20_000
 
 PHRASE = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("tie", "<i8"), ("start", "<i8"), ("count", "<i8")])
 
@@ -264,9 +264,13 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         head = np.maximum.accumulate(np.where(new, np.arange(len(keys)), 0))
         text, other = found["text"][many], found["text"][many[head]]
         same = (doc[text] == doc[other]) & (tie[text] == tie[other]) & (first - where[text] == first[head] - where[other])
-        ones = np.ones(len(many), np.int64)
-        yield rows(many[new], first[new], ones[new], keys[new])
-        yield rows(many[~same], first[~same], ones[~same], keys[~same], whole=False)
+        yield rows(many[new], first[new], np.ones(int(new.sum()), np.int64), keys[new])
+        # What repeats goes in runs, dealt by where they start.
+        gone, at = first[~same], many[~same]
+        at, gone = at[np.argsort(gone)], np.sort(gone)
+        heads = np.flatnonzero(np.append(True, (np.diff(gone) > 1) | (found["text"][at[1:]] != found["text"][at[:-1]]))) if len(gone) else np.zeros(0, np.int64)
+        count = np.diff(np.append(heads, len(gone)))
+        yield rows(at[heads], gone[heads], count, common.mix(gone[heads].astype(np.uint64)), whole=False)
 
 
 def later_windows(bodies: list[bytes], group: np.ndarray, doc: np.ndarray, tie: np.ndarray, start: np.ndarray, count: np.ndarray) -> dict[str, np.ndarray]:
