@@ -7,6 +7,10 @@ exceeds the budget. Pairs of small nodes are compared at once. The nodes of one
 lie in one task; a task gives a spanning forest of its links rather than all of them, so that groups of
 copies cost no more than their size. Forests of all tasks become components by alternating star contraction.
 
+The query's contract is three words and three bits. The pipeline's stage links what shares 0.8 of its five-word
+shingles, about ten of 64 bits, where a trie join has to compare nearly all pairs: candidates
+come from bands of least hashes there, and each link is an exact comparison of shingle sets.
+
 Defined cases: a null text has no words and fingerprint zero, which links like any other; a text of
 fewer words than a shingle is one shingle; repeated rows each get their row; a null path counts for no
 component's smallest; an empty table gives an empty result; other columns are ignored.
@@ -30,6 +34,9 @@ BLOCKS = BUDGET + 1
 LEAD = 64 // BLOCKS
 #: Pairs that one step of the trie join holds, and the size of node pairs compared directly.
 FRONTIER, DIRECT = 1 << 18, 64
+#: The pipeline's stage: words in a shingle and the similarity of shingle sets that links. Two sets of that similarity share
+#: no band key with a chance of (1 - LEAST ** PER_BAND) ** BANDS, 1.3 in ten million.
+STAGE_WORDS, LEAST, BANDS, PER_BAND = 5, 0.8, 40, 5
 
 
 def shingle_hashes(text: bytes, words: int = WORDS) -> list[int]:
@@ -208,10 +215,119 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("mark"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def _bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """doc_id, tie, node (a hash of the shingle set) and keys (its band keys) of each row."""
+    for part in common.slices(batches, "text", common.SLICE_BYTES // 2):
+        sets = [shingle_set(t) for t in common.raw_texts(part)]
+        nodes = np.array([xxhash.xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64)
+        keys = [row.tobytes() for row in band_keys(sets)]
+        yield pa.RecordBatch.from_arrays([common.column(part, "doc_id"), common.column(part, "tie"), pa.array(nodes.view(np.int64)), pa.array(keys, pa.binary())], ["doc_id", "tie", "node", "keys"])
+
+
+def shingle_set(text: bytes, words: int = STAGE_WORDS) -> np.ndarray:
+    return np.unique(np.array(shingle_hashes(text, words), np.uint64))
+
+
+def band_keys(sets: list[np.ndarray]) -> np.ndarray:
+    """For each set one 64-bit key a band, made of the least values of PER_BAND permutations; all empty sets have the same."""
+    out = np.zeros((len(sets), BANDS), np.uint64)
+    full = np.flatnonzero([len(s) for s in sets])
+    if not len(full):
+        return out
+    flat = (np.concatenate([sets[k] for k in full]) >> np.uint64(32)).astype(np.uint32)
+    heads = np.append(0, np.cumsum([len(sets[k]) for k in full])[:-1])
+    turns = common.mix(np.arange(1, BANDS * PER_BAND + 1, dtype=np.uint64))
+    odd, shift = (turns | np.uint64(1)).astype(np.uint32), (turns >> np.uint64(32)).astype(np.uint32)
+    for band in range(BANDS):
+        key = np.full(len(full), band + 1, np.uint64)
+        for f in range(band * PER_BAND, (band + 1) * PER_BAND):
+            key = common.mix(key * np.uint64(0x9E3779B97F4A7C15) + np.minimum.reduceat((flat ^ shift[f]) * odd[f], heads).astype(np.uint64))
+        out[full, band] = key
+    return out
+
+
+def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A spanning forest of the nodes that share a band key; a task holds whole keys."""
+    parts = [(common.column(b, "key").to_numpy(), common.column(b, "node").to_numpy()) for b in batches if b.num_rows]
+    if not parts:
+        return
+    key, node = (np.concatenate(x) for x in zip(*parts, strict=True))
+    names, place = np.unique(node, return_inverse=True)
+    order = np.argsort(key, kind="stable")
+    same = np.flatnonzero(key[order][1:] == key[order][:-1])
+    label = contract(np.arange(len(names)), place[order[same]], place[order[same + 1]])
+    moved = np.flatnonzero(label != np.arange(len(names)))
+    yield pa.RecordBatch.from_arrays([pa.array(names[moved]), pa.array(names[label[moved]])], ["a", "b"])
+
+
+def alike(sets: list[np.ndarray], keys: np.ndarray, least: float = LEAST) -> np.ndarray:
+    """Labels (the smallest place of each component) of the sets linked by a Jaccard similarity of at least so much. Pairs without a common key are not compared."""
+    label, size, apart = np.arange(len(sets)), np.array([len(s) for s in sets]), set()
+    for band in range(keys.shape[1]):
+        order = np.argsort(keys[:, band], kind="stable")
+        cuts = np.flatnonzero(np.diff(keys[order, band])) + 1
+        for bucket in np.split(order, cuts):
+            if len(bucket) < 2 or (label[bucket] == label[bucket[0]]).all():
+                continue
+            for k in range(1, len(bucket)):
+                j, before = bucket[k], bucket[:k]
+                near = np.minimum(size[before], size[j]) >= least * np.maximum(size[before], size[j]) - 1e-9
+                for i in before[near]:
+                    pair = (min(i, j), max(i, j))
+                    if label[i] == label[j] or pair in apart:
+                        continue
+                    both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+                    if both >= least * (size[i] + size[j] - both) - 1e-9:
+                        low, high = sorted((label[i], label[j]))
+                        label[label == high] = low
+                    else:
+                        apart.add(pair)
+    return label
+
+
+def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """node, root of the nodes of each group, by an exact comparison of their shingle sets. Rows come sorted by group."""
+    names, sets, keys, group = [], [], [], None
+
+    def done() -> pa.RecordBatch:
+        label = alike(sets, np.stack(keys))
+        return pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array([names[k] for k in label], pa.int64())], ["node", "root"])
+
+    for part in (p for b in batches for p in common.slices(iter([b]), "text")):
+        for g, node, key, text in zip(common.column(part, "group").to_pylist(), common.column(part, "node").to_pylist(), common.column(part, "keys").to_pylist(), common.raw_texts(part), strict=True):
+            if g != group:
+                if names:
+                    yield done()
+                names, sets, keys, group = [], [], [], g
+            names.append(node)
+            sets.append(shingle_set(text))
+            keys.append(np.frombuffer(key, np.uint64))
+    if names:
+        yield done()
+
+
+def near_copies(docs: DataFrame) -> DataFrame:
+    """doc_id, tie and root of each row of docs (doc_id, text): rows linked by a similarity of at least LEAST of their sets of five-word shingles share a root.
+
+    Sets that share a band key are candidates; each group of candidates is then compared set by set in one task, to which every distinct set's text moves once.
+    """
+    hashed = docs.select("doc_id", "text", F.xxhash64("text").alias("tie"))
+    marked = common.stage(hashed.mapInArrow(_bands, "doc_id long, tie long, node long, keys binary"))
+    nodes = marked.groupBy("node").agg(F.min(F.coalesce("tie", F.lit(0))).alias("tie"), F.min("keys").alias("keys"))
+    width = 8
+    cut = F.explode(F.expr(f"transform(sequence(0, {BANDS - 1}), b -> xxhash64(b, substring(keys, b * {width} + 1, {width})))"))
+    met = components(nodes.select("node", cut.alias("key")).repartition("key").mapInArrow(_meet, "a long, b long"))
+    groups = met.unionByName(met.select(F.col("root").alias("node"), "root").distinct()).select("node", F.col("root").alias("group"))
+    chosen = nodes.join(groups, "node")
+    texts = hashed.select("tie", "text").join(chosen, "tie").dropDuplicates(["node"])
+    found = common.stage(texts.select("group", "node", "keys", "text").repartition("group").sortWithinPartitions("group").mapInArrow(_compare, "node long, root long"))
+    return marked.join(found, "node", "left").select("doc_id", "tie", F.coalesce("root", "node").alias("root"))
+
+
 def keep_one(docs: DataFrame) -> DataFrame:
-    """docs with one row of each component: that of the smallest doc_id (null last), then of the smallest hash of the text."""
+    """docs with one row of each component of near copies: that of the smallest doc_id (null last), then of the smallest hash of the text."""
     best = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tie")).alias("best")
-    kept = near_duplicates(docs).groupBy("root").agg(best).select(F.col("best.doc_id").alias("_id"), F.col("best.tie").alias("_tie"))
+    kept = near_copies(docs).groupBy("root").agg(best).select(F.col("best.doc_id").alias("_id"), F.col("best.tie").alias("_tie"))
     hashed = docs.withColumn("_own", F.xxhash64("text"))
     met = hashed.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_tie")))
     return met.dropDuplicates(["doc_id", "_own"]).select(*docs.columns)

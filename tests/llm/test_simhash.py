@@ -88,3 +88,35 @@ def test_one_row_of_each_component_stays(spark):
     df = spark.createDataFrame([(2, "a b c d"), (1, "A b c d"), (1, "A b c d"), (None, "other words here now"), (None, "quite different again so"), (5, None), (6, "")], "doc_id long, text string")
     assert sorted(map(tuple, simhash.keep_one(df).collect()), key=str) == sorted([(1, "A b c d"), (None, "other words here now"), (None, "quite different again so"), (5, None)], key=str)
     assert simhash.keep_one(df.limit(0)).count() == 0
+
+
+def five_word_set(text):
+    parts = (text or "").lower().split()
+    return {" ".join(parts[k : k + 5]) for k in range(max(1, len(parts) - 4))} if parts else set()
+
+
+def test_stage_links_what_shares_four_fifths_of_its_shingles(spark):
+    rng = random.Random(11)
+    texts = []
+    for _ in range(12):
+        words = [f"w{rng.randrange(5000)}" for _ in range(200)]
+        texts.append(" ".join(words))
+        for edits in (1, 2, 3, 4, 5, 6, 8):
+            near = list(words)
+            for at in rng.sample(range(len(near)), edits):
+                near[at] = f"new{rng.randrange(10**6)}"
+            texts.append(" ".join(near))
+    sets = [five_word_set(t) for t in texts]
+    label = list(range(len(texts)))
+    far = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                far += (brute_mark(texts[i]) ^ brute_mark(texts[j])).bit_count() > 3
+                label = [label[j] if x == label[i] else x for x in label]
+    assert far > 20 and len(set(label)) > 12
+    first = {}
+    for k, x in enumerate(label):
+        first.setdefault(x, k)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    assert sorted(r.doc_id for r in simhash.keep_one(df).collect()) == sorted(first.values())
