@@ -85,8 +85,11 @@ def shard_counts(drawn: DataFrame) -> DataFrame:
     return drawn.groupBy("shard", "source_key").agg(F.count("*").alias("n_blocks"), F.sum("taken").alias("n_words"))
 
 
-def mixture(docs: DataFrame, block: int = BLOCK) -> DataFrame:
-    """doc_id, source_key, tie, size, source_size, target, taken, first_shard of each row of docs (doc_id, text, source). tie: a hash of the text."""
+def drawn_rows(docs: DataFrame, block: int = BLOCK) -> DataFrame:
+    """doc_id, source_key, tie, size, source_size, target, taken, first_shard and drawn of each row of docs (doc_id, text, source). tie: a hash of the text.
+
+    drawn: the row's words from low to high that a block covers, how many times they are taken, and the end of what is taken of them once more.
+    """
     rows = common.stage(docs.select("doc_id", _key(F.col("source")).alias("source_key"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("tie")).withColumn("bucket", F.pmod(F.coalesce("doc_id", F.lit(0)), F.lit(BUCKETS))))
     buckets = rows.groupBy("source_key", "bucket").agg(F.sum("size").alias("words"))
     sources = common.stage(targets(buckets.groupBy("source_key").agg(F.sum("words").alias("source_size"))))
@@ -102,11 +105,19 @@ def mixture(docs: DataFrame, block: int = BLOCK) -> DataFrame:
         "part_taken", F.coalesce("times", F.lit(0)) * (F.col("high") - F.col("low")) + F.greatest(F.lit(0), F.least(F.col("high"), F.col("index") * block + F.coalesce("part", F.lit(0))) - F.col("low"))
     )
     keys = ["source_key", "start", "doc_id", "tie", "size", "source_size", "target"]
-    summed = met.groupBy(*keys).agg(F.sum("part_taken").alias("taken"), F.min(F.when(F.col("part_taken") > 0, F.col("shard"))).alias("first_shard"))
-    blank = set_out.where("size = 0").select(*keys, F.lit(0).cast("long").alias("taken"), F.lit(None).cast("long").alias("first_shard"))
+    met = met.withColumns({"from": F.col("low") - F.col("start"), "to": F.col("high") - F.col("start"), "times": F.coalesce("times", F.lit(0))})
+    met = met.withColumn("more", F.greatest("from", F.least("to", F.col("index") * block + F.coalesce("part", F.lit(0)) - F.col("start"))))
+    drawn = F.collect_list(F.when(F.col("part_taken") > 0, F.struct("from", "to", "times", "more"))).alias("drawn")
+    summed = met.groupBy(*keys).agg(F.sum("part_taken").alias("taken"), F.min(F.when(F.col("part_taken") > 0, F.col("shard"))).alias("first_shard"), drawn)
+    blank = set_out.where("size = 0").select(*keys, F.lit(0).cast("long").alias("taken"), F.lit(None).cast("long").alias("first_shard"), F.lit(None).alias("drawn"))
     return summed.unionByName(blank).drop("start")
 
 
+def mixture(docs: DataFrame, block: int = BLOCK) -> DataFrame:
+    """doc_id, source_key, tie, size, source_size, target, taken, first_shard of each row of docs (doc_id, text, source). tie: a hash of the text."""
+    return drawn_rows(docs, block).drop("drawn")
+
+
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture(common.documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "first_shard")
 
@@ -136,21 +147,23 @@ summed AS (SELECT r, sum(got)::BIGINT AS taken, min(CASE WHEN got > 0 THEN shard
 SELECT doc_id, size, source_size, target, coalesce(taken, 0)::BIGINT AS taken, first_shard FROM laid JOIN sources USING (k) LEFT JOIN summed USING (r)"""
 
 
-def first_words(text: Column, n: Column) -> Column:
-    """The text up to the end of its n-th word, without the white space before the first."""
+def words_of(text: Column, ranges: Column) -> Column:
+    """The words of the text in the ranges (from, to), with the white space between them; a range begins where the one before ends or later."""
     parts = F.split(F.regexp_replace(text, f"^[{SPACE}]+", ""), f"(?<=[{SPACE}])(?=[^{SPACE}])")
-    return F.regexp_replace(F.array_join(F.slice(parts, F.lit(1), n.cast("int")), ""), f"[{SPACE}]+$", "")
+    held = F.flatten(F.transform(ranges, lambda r: F.slice(parts, (r["from"] + 1).cast("int"), (r["to"] - r["from"]).cast("int"))))
+    return F.regexp_replace(F.array_join(held, ""), f"[{SPACE}]+$", "")
 
 
-def apply(docs: DataFrame) -> DataFrame:
-    """docs mixed: each row as often as it is taken whole, and once more cut to the words that are left; rows that nothing is taken of go."""
+def apply(docs: DataFrame, block: int = BLOCK) -> DataFrame:
+    """docs mixed: each row as often as it is taken whole, and once more cut to the words that the last pass has drawn; rows that nothing is taken of go."""
     copy = W.partitionBy("doc_id", "source_key", "tie").orderBy("size")
-    planned = mixture(docs).where("taken > 0").select("doc_id", "source_key", "tie", "size", "taken").withColumn("copy", F.row_number().over(copy))
+    planned = drawn_rows(docs, block).where("taken > 0").select("doc_id", "source_key", "tie", "size", F.sort_array("drawn").alias("drawn")).withColumn("copy", F.row_number().over(copy))
     texts = docs.withColumns({"_key": _key(F.col("source")), "_tie": F.xxhash64("text")})
     texts = texts.withColumn("_copy", F.row_number().over(W.partitionBy("doc_id", "_key", "_tie").orderBy("n_chars")))
-    planned = planned.select(F.col("doc_id").alias("_id"), F.col("source_key").alias("_key2"), F.col("tie").alias("_tie2"), F.col("copy").alias("_copy2"), F.col("size").alias("_size"), F.col("taken").alias("_taken"))
+    planned = planned.select(F.col("doc_id").alias("_id"), F.col("source_key").alias("_key2"), F.col("tie").alias("_tie2"), F.col("copy").alias("_copy2"), F.col("size").alias("_size"), F.col("drawn").alias("_drawn"))
     met = texts.join(planned, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_key2")) & (F.col("_tie") == F.col("_tie2")) & (F.col("_copy") == F.col("_copy2")))
-    each = met.withColumn("_turn", F.explode(F.expr("sequence(1L, (_taken + _size - 1) div _size)")))
-    left = F.col("_taken") - (F.col("_turn") - 1) * F.col("_size")
-    cut = each.withColumn("text", F.when(left >= F.col("_size"), F.col("text")).otherwise(first_words(F.col("text"), left)))
+    each = met.withColumn("_turn", F.explode(F.expr("sequence(1L, array_max(transform(_drawn, d -> d.times + IF(d.more > d.from, 1L, 0L))))")))
+    each = each.withColumn("_ranges", F.expr("transform(filter(_drawn, d -> d.times >= _turn OR (d.times = _turn - 1 AND d.more > d.from)), d -> struct(d.from AS from, IF(d.times >= _turn, d.to, d.more) AS to))"))
+    whole = F.expr("aggregate(_ranges, 0L, (n, r) -> n + r.to - r.from)") == F.col("_size")
+    cut = each.withColumn("text", F.when(whole, F.col("text")).otherwise(words_of(F.col("text"), F.col("_ranges"))))
     return cut.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)

@@ -87,3 +87,21 @@ def test_applied_mix_has_the_words_taken(spark):
     rows = mixed.collect()
     assert abs(sum(len(r.text.split()) for r in rows) - total) <= 7
     assert all(r.n_chars == len(r.text) for r in rows)
+
+
+def test_applied_mix_has_the_words_of_the_drawn_blocks(spark):
+    rng, block = random.Random(5), 10
+    sizes = [rng.choice([3, 25, 130]) for _ in range(60)]
+    rows = [(k, "x", "abc"[k % 3], "\n".join(f"d{k}w{i}" for i in range(n)), 0) for k, n in enumerate(sizes)]
+    df = spark.createDataFrame(rows, "doc_id long, lang string, source string, text string, n_chars long").repartition(3)
+    order = {s: sorted((k for k in range(60) if "abc"[k % 3] == s), key=lambda k: (k % mixing.BUCKETS, k)) for s in "abc"}
+    stream = {"s" + s: [f"d{k}w{i}" for k in order[s] for i in range(sizes[k])] for s in "abc"}
+    totals = spark.createDataFrame([(s, len(w)) for s, w in stream.items()], "source_key string, source_size long")
+    want = Counter()
+    for r in mixing.draws(mixing.targets(totals), block).collect():
+        want.update(stream[r.source_key][r["index"] * block : r["index"] * block + r.taken])
+    texts = [r.text.split() for r in mixing.apply(df, block).collect()]
+    assert Counter(w for t in texts for w in t) == want
+    places = [[int(w.split("w")[1]) for w in t] for t in texts]
+    assert all(p == sorted(set(p)) for p in places)
+    assert any(p[0] > 0 for p in places)
