@@ -3,8 +3,8 @@
 Pieces matter by their length alone, and there are at most LIMIT lengths, so the program has at most LIMIT
 rows however many pieces there are. It is solved by multiplicative weights: each round prices the
 lengths, a knapsack dynamic program finds the most valuable filling of one sequence (a configuration), and the prices
-of what it covers fall. The fractional amounts are rounded to whole ones and the remainder is priced again, turn by turn;
-what is left in the end goes best-fit by decreasing length. Only the histogram and the table of places by length
+of what it covers fall. Rounds cover whole sequences and go on until every piece has its place. Where best fit by decreasing length
+packs the end of that solution into over a thousandth fewer sequences, it takes over there. Only the histogram and the table of places by length
 (at most as many rows as there are configurations times their lengths, not as there are pieces) pass the driver.
 
 A piece's place follows from its rank among the pieces of its length; ranks are taken in buckets, so
@@ -16,6 +16,7 @@ table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import itertools
 import zlib
 from collections.abc import Iterator
 from typing import NamedTuple
@@ -31,9 +32,9 @@ from . import common, tokens
 LIMIT, END = 4096, 1
 #: Buckets in which the pieces of a length are ranked.
 BUCKETS = 256
-#: Rounds of pricing in one solution of the program, the share of a configuration's scarcest size that a round covers,
-#: how fast prices fall, and how often the remainder is solved anew.
-ROUNDS, STEP, FALL, REPEATS = 200, 0.25, 2.0, 3
+#: The share of a configuration's scarcest size that a round of pricing covers, how fast prices fall, at how many
+#: places of the program's solution best fit is tried for the rest, and how much longer the program's plan may be.
+STEP, FALL, CUTS, GAP = 0.25, 2.0, 16, 0.001
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -84,38 +85,34 @@ def _offer(values: np.ndarray, sizes: np.ndarray, rng: np.random.Generator, most
     return np.unique(np.concatenate([dear, rng.choice(len(sizes), most // 2, replace=False)]))
 
 
-def solve(sizes: np.ndarray, counts: np.ndarray, room: int, rounds: int = ROUNDS, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
-    """Configurations (rows: how many of each size) and amounts that together cover the counts fractionally.
+def _rounds(sizes: np.ndarray, counts: np.ndarray, room: int, seed: int = 1) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+    """Configurations as (places of sizes, how many of each, how many sequences) that together cover the counts, no size more often than it occurs.
 
     Multiplicative weights on the covering rows: the price of a size falls exponentially with the share of its count covered so far.
-    Prices start at the share of the room, plus one for sizes of which no two fit together. Rounds may end before all is covered.
+    Prices start at the share of the room, plus one for sizes of which no two fit together. A round covers STEP of its scarcest size, one sequence
+    at least; rounds go on until all sizes are covered.
     """
     rng = np.random.default_rng(seed)
-    covered, start = np.zeros(len(sizes)), np.log(sizes / room + (2 * sizes > room))
-    found: dict[bytes, int] = {}
-    configs, amounts = [], []
-    for _ in range(rounds):
-        open_ = covered < counts - 1e-9
-        if not open_.any():
-            break
-        logs = start - FALL * covered / counts
-        value = np.where(open_, np.exp(logs - logs[open_].max()), 0.0)
-        offer = _offer(value, sizes, rng)
-        config = np.zeros(len(sizes), np.int64)
-        config[offer] = price(value[offer], sizes[offer], np.where(open_[offer], counts[offer], 0), room)
-        used = config > 0
-        if not used.any():
-            continue
-        step = float(np.min(counts[used] / config[used])) * STEP
-        covered += step * config
-        key = config.tobytes()
-        if key in found:
-            amounts[found[key]] += step
-        else:
-            found[key] = len(configs)
-            configs.append(config)
-            amounts.append(step)
-    return np.array(configs).reshape(-1, len(sizes)), np.array(amounts)
+    left, start = counts.astype(np.int64).copy(), np.log(sizes / room + (2 * sizes > room))
+    while left.any():
+        some = np.flatnonzero(left)
+        logs = start[some] - FALL * (1 - left[some] / counts[some])
+        value = np.exp(logs - logs.max())
+        offer = _offer(value, sizes[some], rng)
+        count = price(value[offer], sizes[some[offer]], left[some[offer]], room)
+        used, each = some[offer[count > 0]], count[count > 0]
+        n = min(int(np.min(left[used] // each)), max(1, int(np.min(np.ceil(counts[used] * STEP) // each))))
+        left[used] -= n * each
+        yield used, each, n
+
+
+def solve(sizes: np.ndarray, counts: np.ndarray, room: int, rounds: int | None = None, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """The configurations of all rounds (or so many at most) as rows of a matrix, and their amounts."""
+    found = list(itertools.islice(_rounds(sizes, counts, room, seed), rounds))
+    configs = np.zeros((len(found), len(sizes)), np.int64)
+    for row, (used, each, _) in enumerate(found):
+        configs[row, used] = each
+    return configs, np.array([n for _, _, n in found], np.int64)
 
 
 def _best_fit(sizes: np.ndarray, counts: np.ndarray, room: int) -> Iterator[tuple[int, list[tuple[int, int]]]]:
@@ -146,6 +143,23 @@ def _best_fit(sizes: np.ndarray, counts: np.ndarray, room: int) -> Iterator[tupl
             yield n, list(held)
 
 
+def _hand_over(sizes: np.ndarray, counts: np.ndarray, room: int, found: list[tuple[np.ndarray, np.ndarray, int]]) -> tuple[int, list]:
+    """How many of the configurations to keep, and best fit's sequences for what these leave: the most whose plan is at most GAP longer than the shortest.
+
+    Looked at are all of them, none, and CUTS - 1 places between; so a plan is at most GAP longer than best fit's own.
+    """
+    plans, left, done, need = [], counts.copy(), 0, 0
+    for k in sorted({round(len(found) * cut / CUTS) for cut in range(CUTS + 1)}):
+        for used, each, n in found[done:k]:
+            left[used] -= n * each
+            need += n
+        done = k
+        plans.append((need + sum(n for n, _ in _best_fit(sizes, left, room)), k, left.copy()))
+    shortest = min(p[0] for p in plans)
+    k, left = next(p[1:] for p in reversed(plans) if p[0] <= shortest * (1 + GAP))
+    return k, list(_best_fit(sizes, left, room))
+
+
 def plan(sizes: np.ndarray, counts: np.ndarray, room: int = LIMIT) -> Plan:
     """Where the pieces of each length go. sizes: distinct lengths up to room; counts: how many of each."""
     sizes, left = sizes.astype(np.int64), counts.astype(np.int64).copy()
@@ -153,18 +167,11 @@ def plan(sizes: np.ndarray, counts: np.ndarray, room: int = LIMIT) -> Plan:
     for k in np.flatnonzero(sizes >= room).tolist():  # such a piece fills a sequence
         patterns.append((int(left[k]), [(k, 1)]))
         left[k] = 0
-    for turn in range(REPEATS):
-        some = np.flatnonzero(left)
-        if not len(some):
-            break
-        configs, amounts = solve(sizes[some], left[some], room, seed=turn)
-        for c in range(len(configs)):
-            used = np.flatnonzero(configs[c])
-            n = min(int(amounts[c] + 0.5), int(np.min(left[some[used]] // configs[c][used])))
-            if n > 0:
-                patterns.append((n, [(int(some[u]), int(configs[c][u])) for u in used]))
-                left[some[used]] -= n * configs[c][used]
-    patterns += _best_fit(sizes, left, room)
+    some = np.flatnonzero(left)
+    found = list(_rounds(sizes[some], left[some], room))
+    placed, rest = _hand_over(sizes[some], left[some], room, found)
+    patterns += [(n, [(int(some[u]), e) for u, e in zip(used.tolist(), each.tolist(), strict=True)]) for used, each, n in found[:placed]]
+    patterns += [(n, [(int(some[u]), each) for u, each in held]) for n, held in rest]
     rank = np.zeros(len(sizes), np.int64)
     rows, sequence = [], 0
     for n, held in patterns:

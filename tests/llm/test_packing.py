@@ -94,3 +94,16 @@ def test_query_is_whole(spark, tmp_path):
 
 def test_empty_table(spark):
     assert packing.pack(packing.pieces(spark.createDataFrame([], "doc_id long, text string"))).count() == 0
+
+
+def test_the_program_goes_on_until_every_piece_has_its_place():
+    rng = np.random.default_rng(3)
+    sizes = np.unique(np.concatenate([rng.integers(2049, 4096, 600), rng.integers(1, 600, 500)]))
+    counts = np.where(sizes > 2048, 1, rng.integers(1, 40, len(sizes)))
+    configs, amounts = packing.solve(sizes, counts, 4096)
+    assert (configs @ sizes <= 4096).all() and (amounts == np.round(amounts)).all()
+    assert (amounts @ configs == counts).all()
+    plan = packing.plan(sizes, counts)
+    check(plan, sizes, counts, 4096)
+    fit = sum(n for n, _ in packing._best_fit(sizes, counts, 4096))
+    assert plan.sequences <= 1.001 * fit
