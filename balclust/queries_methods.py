@@ -355,6 +355,17 @@ def half_space_order(s, sf):
     return pts(s, sf, i).select("tag", *C.order_key(i.spec.coordinates, *i.centres, 2)[:1], "x0", "x1").orderBy("diff", "x0", "x1", "tag").limit(50).select("tag", "diff")
 
 
+@query("m24_half_space_ranks", f"WITH {O.points(WL.ORD)}, d AS (SELECT tag, ({O.dist(WL.ORD.coordinates, WL.W04.centres[0], 2)}) - ({O.dist(WL.ORD.coordinates, WL.W04.centres[1], 2)}) AS diff, x0, x1 FROM pts) SELECT tag, diff, row_number() OVER (ORDER BY diff, x0, x1, tag) AS place FROM d")
+def half_space_ranks(s, sf):
+    """The place of every row in the order: within runs of differences, and the runs' sizes before."""
+    i = WL.W04
+    p = pts(s, sf, i).select("tag", *C.order_key(i.spec.coordinates, *i.centres, 2)[:1], "x0", "x1").withColumn("run", F.floor(F.col("diff") / 4096))
+    runs = p.groupBy("run").agg(F.count("*").alias("n"))  # at most 1,024 by the lattice's bounds
+    before = runs.select("run", F.coalesce(F.sum("n").over(W.orderBy("run").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    inside = F.row_number().over(W.partitionBy("run").orderBy("diff", "x0", "x1", "tag"))
+    return p.withColumn("inside", inside).join(F.broadcast(before), "run").select("tag", "diff", (F.col("inside") + F.col("before")).alias("place"))
+
+
 def _assigned(s, sf, i):
     """A deterministic assignment of the summary: to the nearest centre."""
     return C.nearest(built(s, sf, i).coreset, i.centres, i.params.r)

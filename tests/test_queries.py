@@ -35,3 +35,10 @@ def test_query_equals_its_twin(spark, duck, name):
     assert sorted(order) == names
     want = sorted((tuple(dict(zip(order, r))[c] for c in names) for r in sql.fetchall()), key=repr)
     assert got == want
+
+
+def test_half_space_order_ranks_every_row(spark, duck):
+    got = [tuple(r) for r in catalogue.queries()["m24_half_space_ranks"](spark, SF).select("place", "tag", "diff").collect()]
+    want = duck.execute(f"SELECT place, tag, diff FROM ({catalogue.oracle_sql()['m24_half_space_ranks']})").fetchall()
+    assert len(want) == duck.execute("SELECT count(*) FROM orders").fetchone()[0] > 50
+    assert sorted(got) == sorted(want)
