@@ -1,10 +1,11 @@
 """Best-fit packing by the configuration linear program over the length histogram.
 
 Pieces matter by their length alone, and there are at most LIMIT lengths, so the program has at most LIMIT
-rows however many pieces there are. It is solved by multiplicative weights: each round prices the
-lengths, a knapsack dynamic program finds the most valuable filling of one sequence (a configuration), and the prices
-of what it covers fall. Rounds cover whole sequences and go on until every piece has its place. Where best fit by decreasing length
-packs the end of that solution into over a thousandth fewer sequences, it takes over there. Only the histogram and the table of places by length
+rows however many pieces there are. It is solved by multiplicative weights: each round prices all
+lengths by a knapsack dynamic program, takes whole sequences of the most valuable fillings (configurations) through each length, and the prices
+of what they cover fall. What the program leaves once its rounds place little goes by best fit, longest first; of the places where best
+fit could take over the one with fewest sequences counts, its start among them, so that the plan is never longer than best fit's own.
+Only the histogram and the table of places by length
 (at most as many rows as there are configurations times their lengths, not as there are pieces) pass the driver.
 
 A piece's place follows from its rank among the pieces of its length; ranks are taken in buckets, so
@@ -32,9 +33,10 @@ from . import common, tokens
 LIMIT, END = 4096, 1
 #: Buckets in which the pieces of a length are ranked.
 BUCKETS = 256
-#: The share of a configuration's scarcest size that a round of pricing covers, how fast prices fall, at how many
-#: places of the program's solution best fit is tried for the rest, and how much longer the program's plan may be.
-STEP, FALL, CUTS, GAP = 0.25, 2.0, 16, 0.001
+#: The share of a size's count that a round covers, how fast prices fall with it, the bends of the starting prices that are tried, the share of
+#: pieces under which a round has placed little, the most room to spare of a round's configurations, how often
+#: one of them takes another size for one that is used up, and at how many places best fit is tried for the rest.
+STEP, FALL, BENDS, SLOW, SPARE, SWAPS, CUTS = 0.25, 0.2, (0.0, 0.5), 0.02, 64, 2, 8
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -77,38 +79,88 @@ def price(values: np.ndarray, sizes: np.ndarray, most: np.ndarray, room: int) ->
     return count
 
 
-def _offer(values: np.ndarray, sizes: np.ndarray, rng: np.random.Generator, most: int = 192) -> np.ndarray:
-    """The lengths that a round prices: the dearest per token, and others by chance so that every length has its turn."""
-    if len(sizes) <= most:
-        return np.arange(len(sizes))
-    dear = np.argsort(-values / sizes, kind="stable")[: most // 2]
-    return np.unique(np.concatenate([dear, rng.choice(len(sizes), most // 2, replace=False)]))
+def table(values: np.ndarray, sizes: np.ndarray, room: int) -> tuple[np.ndarray, np.ndarray]:
+    """The unbounded knapsack over all sizes (ascending, distinct): best[c] is the most value that fits c, pick[c] one size of such a set, the largest of ties (-1: none that c - 1 has not)."""
+    low, high = int(sizes[0]), int(sizes[-1])
+    best, pick = np.zeros(room + 1), np.full(room + 1, -1)
+    down, place = np.full(high + 1, -np.inf), np.full(high + 1, -1)
+    down[high - sizes], place[sizes] = values, np.arange(len(sizes))
+    for c in range(low, room + 1):
+        top = min(high, c)
+        found = down[high - top : high - low + 1] + best[c - top : c - low + 1]
+        j = int(found.argmax())
+        best[c] = best[c - 1]
+        if found[j] > best[c] + 1e-12:
+            best[c], pick[c] = found[j], place[top - j]
+    return best, pick
 
 
-def _rounds(sizes: np.ndarray, counts: np.ndarray, room: int, seed: int = 1) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
-    """Configurations as (places of sizes, how many of each, how many sequences) that together cover the counts, no size more often than it occurs.
+def _start(sizes: np.ndarray, room: int, bend: float) -> np.ndarray:
+    """Logarithms of the starting prices: the share of the room (bent, so that a token of a large size is dearer), plus one for sizes of which no two fit together."""
+    return np.logaddexp((1 + bend) * np.log(sizes / room), np.where(2 * sizes > room, 0.0, -np.inf))
+
+
+def _rounds(sizes: np.ndarray, counts: np.ndarray, room: int, bend: float = 0.0, whole: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+    """Configurations as (places of sizes, how many of each, how many sequences) that cover the counts, no size more often than it occurs. sizes: ascending.
 
     Multiplicative weights on the covering rows: the price of a size falls exponentially with the share of its count covered so far.
-    Prices start at the share of the room, plus one for sizes of which no two fit together. A round covers STEP of its scarcest size, one sequence
-    at least; rounds go on until all sizes are covered.
+    Each round prices all sizes that are left by one knapsack table, and takes from it the best configuration through each
+    size, the largest first: whole sequences up to STEP of that size's count. Configurations with more room to spare than the round allows wait; a round that
+    places little makes the next one twice as lenient. Beyond SPARE the others are priced one at a time by the bounded knapsack until all is covered (whole), or left.
     """
-    rng = np.random.default_rng(seed)
-    left, start = counts.astype(np.int64).copy(), np.log(sizes / room + (2 * sizes > room))
-    while left.any():
+    left, start, spare = counts.astype(np.int64).copy(), _start(sizes, room, bend), 0
+    while left.any() and spare <= SPARE:
         some = np.flatnonzero(left)
+        size, total, had = sizes[some], counts[some].tolist(), int(left.sum())
         logs = start[some] - FALL * (1 - left[some] / counts[some])
         value = np.exp(logs - logs.max())
-        offer = _offer(value, sizes[some], rng)
-        count = price(value[offer], sizes[some[offer]], left[some[offer]], room)
-        used, each = some[offer[count > 0]], count[count > 0]
-        n = min(int(np.min(left[used] // each)), max(1, int(np.min(np.ceil(counts[used] * STEP) // each))))
-        left[used] -= n * each
-        yield used, each, n
+        best, picks = table(value, size, room)
+        now, pick, wide = left[some], picks.tolist(), size.tolist()
+        have = now.tolist()
+        for a in range(len(some) - 1, -1, -1):
+            if not have[a]:
+                continue
+            used, rest, swaps = {a: 1}, room - wide[a], 0
+            while rest > 0:
+                at = pick[rest]
+                if at < 0:
+                    rest -= 1
+                    continue
+                if have[at] <= used.get(at, 0):  # used up: the best of the others, SWAPS times; then the size waits for a round with new prices
+                    swaps += 1
+                    if swaps > SWAPS:
+                        break
+                    free = now[: np.searchsorted(size, rest, "right")] > 0
+                    free[[j for j, e in used.items() if j < len(free) and have[j] <= e]] = False
+                    free = np.flatnonzero(free)[::-1]
+                    if not len(free):
+                        break
+                    at = int(free[(value[free] + best[rest - size[free]]).argmax()])
+                used[at] = used.get(at, 0) + 1
+                rest -= wide[at]
+            if room - sum(wide[j] * e for j, e in used.items()) > spare:
+                continue
+            n = min(min(have[j] // e for j, e in used.items()), max(1, -int(-total[a] * STEP // 1) // used[a]))
+            for j, e in used.items():
+                have[j] -= n * e
+                now[j] = have[j]
+            yield some[list(used)], np.array(list(used.values())), n
+        left[some] = now
+        if had - int(left.sum()) < SLOW * had:
+            spare = max(1, 2 * spare)
+    while whole and left.any():
+        some = np.flatnonzero(left)
+        logs = start[some] - FALL * (1 - left[some] / counts[some])
+        each = price(np.exp(logs - logs.max()), sizes[some], left[some], room)
+        some, each = some[each > 0], each[each > 0]
+        n = int(np.min(left[some] // each))
+        left[some] -= n * each
+        yield some, each, n
 
 
-def solve(sizes: np.ndarray, counts: np.ndarray, room: int, rounds: int | None = None, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
+def solve(sizes: np.ndarray, counts: np.ndarray, room: int, rounds: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """The configurations of all rounds (or so many at most) as rows of a matrix, and their amounts."""
-    found = list(itertools.islice(_rounds(sizes, counts, room, seed), rounds))
+    found = list(itertools.islice(_rounds(sizes, counts, room), rounds))
     configs = np.zeros((len(found), len(sizes)), np.int64)
     for row, (used, each, _) in enumerate(found):
         configs[row, used] = each
@@ -143,35 +195,37 @@ def _best_fit(sizes: np.ndarray, counts: np.ndarray, room: int) -> Iterator[tupl
             yield n, list(held)
 
 
-def _hand_over(sizes: np.ndarray, counts: np.ndarray, room: int, found: list[tuple[np.ndarray, np.ndarray, int]]) -> tuple[int, list]:
-    """How many of the configurations to keep, and best fit's sequences for what these leave: the most whose plan is at most GAP longer than the shortest.
+def _hand_over(sizes: np.ndarray, counts: np.ndarray, room: int) -> list[tuple[int, list[tuple[int, int]]]]:
+    """The shortest plan that keeps the program's first configurations and leaves what is left to best fit; of ties the one with most configurations.
 
-    Looked at are all of them, none, and CUTS - 1 places between; so a plan is at most GAP longer than best fit's own.
+    The program runs once for each way to bend its starting prices. Looked at are all of its configurations, none, and CUTS - 1 places between; so no plan is longer than best fit's own.
     """
-    plans, left, done, need = [], counts.copy(), 0, 0
-    for k in sorted({round(len(found) * cut / CUTS) for cut in range(CUTS + 1)}):
-        for used, each, n in found[done:k]:
-            left[used] -= n * each
-            need += n
-        done = k
-        plans.append((need + sum(n for n, _ in _best_fit(sizes, left, room)), k, left.copy()))
-    shortest = min(p[0] for p in plans)
-    k, left = next(p[1:] for p in reversed(plans) if p[0] <= shortest * (1 + GAP))
-    return k, list(_best_fit(sizes, left, room))
+    least, chosen = None, (0, [])
+    for found in (list(_rounds(sizes, counts, room, bend, whole=False)) for bend in BENDS):
+        left, done, need = counts.copy(), 0, 0
+        for k in sorted({round(len(found) * cut / CUTS) for cut in range(CUTS + 1)}):
+            for used, each, n in found[done:k]:
+                left[used] -= n * each
+                need += n
+            done = k
+            now = (need + sum(n for n, _ in _best_fit(sizes, left, room)), -k)
+            if least is None or now < least:
+                least, chosen = now, (k, found, left.copy())
+    k, found, left = chosen
+    return [(n, list(zip(used.tolist(), each.tolist(), strict=True))) for used, each, n in found[:k]] + list(_best_fit(sizes, left, room))
 
 
 def plan(sizes: np.ndarray, counts: np.ndarray, room: int = LIMIT) -> Plan:
     """Where the pieces of each length go. sizes: distinct lengths up to room; counts: how many of each."""
-    sizes, left = sizes.astype(np.int64), counts.astype(np.int64).copy()
+    order = np.argsort(sizes)
+    sizes, left = sizes[order].astype(np.int64), counts[order].astype(np.int64)
     patterns: list[tuple[int, list[tuple[int, int]]]] = []
     for k in np.flatnonzero(sizes >= room).tolist():  # such a piece fills a sequence
         patterns.append((int(left[k]), [(k, 1)]))
         left[k] = 0
     some = np.flatnonzero(left)
-    found = list(_rounds(sizes[some], left[some], room))
-    placed, rest = _hand_over(sizes[some], left[some], room, found)
-    patterns += [(n, [(int(some[u]), e) for u, e in zip(used.tolist(), each.tolist(), strict=True)]) for used, each, n in found[:placed]]
-    patterns += [(n, [(int(some[u]), each) for u, each in held]) for n, held in rest]
+    if len(some):
+        patterns += [(n, [(int(some[u]), each) for u, each in held]) for n, held in _hand_over(sizes[some], left[some], room)]
     rank = np.zeros(len(sizes), np.int64)
     rows, sequence = [], 0
     for n, held in patterns:
