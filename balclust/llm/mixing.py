@@ -4,13 +4,17 @@ Each source's texts, in order, form one stream of words cut into blocks of fixed
 output shard draws how many blocks of each source it gets; the draws are multinomial, given
 that all shards together take a source's target to the word. The k-th draw of a source is the block at
 the k-th place of that source's pseudorandom index permutation (a new one for each pass over the source; the
-short last block comes last), and joins the texts that the block covers by its index.
+short last block comes last), and joins the texts that the block covers by its index. The permutation is a keyed
+swap-or-not shuffle: in each round an index and its mirror image about the round's key change places if a coin that both share
+says so, which is a bijection for any number of blocks.
 
 All is DataFrame work: no text moves, no source lies in one task (a source's running totals are taken
-in BUCKETS buckets and then over the buckets), and drawn blocks are dealt out in runs.
+in buckets of a hash of doc_id, whose number grows with the rows, and then over the buckets), and drawn blocks are dealt out in runs.
 
 Defined cases: a null or blank text has size 0 and nothing of it is taken; a null source is a source, the
-last; repeated rows each get their row and their own share; an empty table gives an empty result; other columns are ignored.
+last; rows alike in doc_id and size follow each other by a hash of the text; repeated rows each get their row and their own share; a
+text of any length is a number of words and the blocks that these cover; an empty table gives an empty result; other columns, of whatever name, are ignored
+or, where rows are given back, come back as they were.
 """
 
 from __future__ import annotations
@@ -22,10 +26,12 @@ from pyspark.sql.window import Window as W
 from . import common
 
 WEIGHTS, MOST = (5, 2, 1), 3
-#: Words in a block, blocks in an output shard on average, buckets of a source, draws made by one row.
-BLOCK, SHARD_BLOCKS, BUCKETS, RUN = 1024, 4096, 1024, 65_536
-# Primes; one that does not divide a source's number of blocks permutes them.
-PRIMES = (1_000_003, 1_000_033, 1_000_037)
+#: Words in a block, blocks in an output shard on average, draws made by one row.
+BLOCK, SHARD_BLOCKS, RUN = 1024, 4096, 65_536
+#: The least number of buckets, and rows that a bucket holds on average beyond it.
+BUCKETS, BUCKET_ROWS = 1024, 100_000
+#: Rounds of a permutation, and the prime of the rounds' coins.
+ROUNDS, FIELD = 24, (1 << 31) - 1
 SPACE = r"\x20\x09-\x0D"
 
 
@@ -56,6 +62,16 @@ def targets(sizes: DataFrame) -> DataFrame:
     return filled.select("source_key", "source_size", "place", F.least(F.col("cap").cast("double"), F.col("weight") * F.col("level")).alias("target"))
 
 
+def _number(*parts: str) -> str:
+    """SQL of a whole number made of the parts: the first 48 bits of an MD5."""
+    return f"conv(substring(md5(concat_ws(':', {', '.join(parts)})), 1, 12), 16, 10)"
+
+
+def bucket(doc_id: Column, buckets: int) -> Column:
+    """The bucket of a row: by a hash, so that neither steps nor nulls among the ids crowd one."""
+    return (F.conv(F.substring(F.md5(F.coalesce(doc_id.cast("string"), F.lit(""))), 1, 12), 16, 10).cast("long") % buckets).cast("long")
+
+
 def draws(sources: DataFrame, block: int = BLOCK) -> DataFrame:
     """source_key, shard, index (of the block), taken (words from its start), whole: one row per block drawn. sources: as targets gives."""
     each = (
@@ -65,14 +81,19 @@ def draws(sources: DataFrame, block: int = BLOCK) -> DataFrame:
         .withColumn("blocks", F.col("full") + (F.col("tail") > 0).cast("long"))
         .withColumn("passes", F.expr("words div source_size")).withColumn("left", F.col("words") % F.col("source_size"))
         .withColumn("n", F.col("passes") * F.col("blocks") + F.expr(f"(left + {block - 1}) div {block}"))
-        .withColumn("step", F.when(F.col("full") % PRIMES[0] != 0, PRIMES[0]).when(F.col("full") % PRIMES[1] != 0, PRIMES[1]).otherwise(PRIMES[2]).cast("long"))
+        # Keys of all rounds of all passes (MOST + 1 at most): about what a round mirrors, and the factor and the summand of its coin.
+        .withColumn("mirror", F.expr(f"transform(sequence(0, {(MOST + 1) * ROUNDS - 1}), i -> cast({_number("'mirror'", 'place', 'i')} as long) % greatest(full, 1L))"))
+        .withColumn("factor", F.expr(f"transform(sequence(0, {(MOST + 1) * ROUNDS - 1}), i -> cast({_number("'factor'", 'place', 'i')} as long) % {FIELD - 1} + 1)"))
+        .withColumn("summand", F.expr(f"transform(sequence(0, {(MOST + 1) * ROUNDS - 1}), i -> cast({_number("'summand'", 'place', 'i')} as long) % {FIELD})"))
         .withColumn("shards", F.expr(f"(sum(n) OVER () + {SHARD_BLOCKS - 1}) div {SHARD_BLOCKS}"))
     )
     runs = each.where("n > 0").withColumn("run", F.explode(F.expr(f"sequence(0L, (n - 1) div {RUN})"))).repartition("source_key", "run")
+    at, image = f"cast(pass as int) * {ROUNDS} + r", f"pmod(mirror[cast(pass as int) * {ROUNDS} + r] - x, full)"
+    shuffle = f"aggregate(sequence(0, {ROUNDS - 1}), j, (x, r) -> IF((greatest(x, {image}) % {FIELD} * factor[{at}] + summand[{at}]) % {FIELD} % 2 = 1, {image}, x))"
     one = runs.withColumn("k", F.explode(F.expr(f"sequence(run * {RUN}, least(n, (run + 1) * {RUN}) - 1)")))
     return (
         one.withColumn("pass", F.expr("k div blocks")).withColumn("j", F.col("k") % F.col("blocks"))
-        .withColumn("index", F.when(F.col("j") < F.col("full"), (F.col("step") * F.col("j") + 7919 * F.col("place") + 104_729 * F.col("pass")) % F.col("full")).otherwise(F.col("full")))
+        .withColumn("index", F.when(F.col("j") < F.col("full"), F.expr(shuffle)).otherwise(F.col("full")))
         .withColumn("length", F.when(F.col("j") < F.col("full"), F.lit(block).cast("long")).otherwise(F.col("tail")))
         .withColumn("taken", F.when(F.col("pass") < F.col("passes"), F.col("length")).otherwise(F.least("length", F.col("left") - F.col("j") * block)))
         .withColumn("shard", F.conv(F.substring(F.md5(F.concat_ws(":", "place", "k")), 1, 12), 16, 10).cast("long") % F.col("shards"))
@@ -90,18 +111,20 @@ def drawn_rows(docs: DataFrame, block: int = BLOCK) -> DataFrame:
 
     drawn: the row's words from low to high that a block covers, how many times they are taken, and the end of what is taken of them once more.
     """
-    rows = common.stage(docs.select("doc_id", _key(F.col("source")).alias("source_key"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("tie")).withColumn("bucket", F.pmod(F.coalesce("doc_id", F.lit(0)), F.lit(BUCKETS))))
+    rows = common.stage(docs.select("doc_id", _key(F.col("source")).alias("source_key"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("tie")))
+    rows = rows.withColumn("bucket", bucket(F.col("doc_id"), max(BUCKETS, rows.count() // BUCKET_ROWS)))
     buckets = rows.groupBy("source_key", "bucket").agg(F.sum("size").alias("words"))
     sources = common.stage(targets(buckets.groupBy("source_key").agg(F.sum("words").alias("source_size"))))
     before = W.partitionBy("source_key").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)
     buckets = buckets.withColumn("base", F.coalesce(F.sum("words").over(before), F.lit(0))).join(sources.select("source_key", "source_size", "target"), "source_key").drop("words")
     inside = W.partitionBy("source_key", "bucket").orderBy("doc_id", "size", "tie").rowsBetween(W.unboundedPreceding, -1)
-    set_out = rows.withColumn("start", F.coalesce(F.sum("size").over(inside), F.lit(0))).join(buckets, ["source_key", "bucket"]).withColumn("start", F.col("start") + F.col("base"))
+    set_out = rows.withColumn("start", F.coalesce(F.sum("size").over(inside), F.lit(0))).join(buckets.hint("merge"), ["source_key", "bucket"]).withColumn("start", F.col("start") + F.col("base"))
 
     taken = draws(sources, block).groupBy("source_key", "index").agg(F.sum(F.col("whole").cast("long")).alias("times"), F.max(F.when(~F.col("whole"), F.col("taken"))).alias("part"), F.min("shard").alias("shard"))
     parts = set_out.where("size > 0").withColumn("index", F.explode(F.expr(f"sequence(start div {block}, (start + size - 1) div {block})")))
     parts = parts.withColumn("low", F.greatest("start", F.col("index") * block)).withColumn("high", F.least(F.col("start") + F.col("size"), (F.col("index") + 1) * block))
-    met = parts.join(taken, ["source_key", "index"], "left").withColumn(
+    # Both sides grow with the corpus: neither is broadcast.
+    met = parts.join(taken.hint("merge"), ["source_key", "index"], "left").withColumn(
         "part_taken", F.coalesce("times", F.lit(0)) * (F.col("high") - F.col("low")) + F.greatest(F.lit(0), F.least(F.col("high"), F.col("index") * block + F.coalesce("part", F.lit(0))) - F.col("low"))
     )
     keys = ["source_key", "start", "doc_id", "tie", "size", "source_size", "target"]
@@ -122,6 +145,20 @@ def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture(common.documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "first_shard")
 
 
+def _sql_rounds() -> str:
+    """The rounds of the shuffle, one step each: x becomes its mirror image y where the coin of the larger of both is odd."""
+
+    def number(what: str, r: int) -> str:
+        return f"CAST('0x' || substr(md5('{what}:' || place || ':' || ((t // blocks) * {ROUNDS} + {r})), 1, 12) AS BIGINT)"
+
+    steps = ["turn0 AS (SELECT *, t % blocks AS x FROM drawn)"]
+    for r in range(ROUNDS):
+        mirrored = f"SELECT *, (({number('mirror', r)} % greatest(nfull, 1) - x) % greatest(nfull, 1) + greatest(nfull, 1)) % greatest(nfull, 1) AS y FROM turn{r}"
+        coin = f"(greatest(x, y) % {FIELD} * ({number('factor', r)} % {FIELD - 1} + 1) + {number('summand', r)} % {FIELD}) % {FIELD} % 2"
+        steps.append(f"turn{r + 1} AS (SELECT * EXCLUDE (x, y), CASE WHEN {coin} = 1 THEN y ELSE x END AS x FROM ({mirrored}))")
+    return ",\n".join(steps)
+
+
 OP8_SQL = f"""WITH rows AS (
   SELECT doc_id, CASE WHEN source IS NULL THEN 't' ELSE 's' || source END AS k, len(regexp_extract_all(coalesce(text, ''), '[^{SPACE}]+'))::BIGINT AS size FROM documents),
 sized AS (SELECT k, sum(size)::BIGINT AS source_size, row_number() OVER (ORDER BY k) - 1 AS place FROM rows GROUP BY k),
@@ -132,14 +169,14 @@ sources AS (SELECT k, source_size, place, least(cap::DOUBLE, w * max(CASE WHEN c
 counted AS (SELECT *, least(3 * source_size, floor(target + 0.5)::BIGINT) AS words, source_size // {BLOCK} AS nfull, source_size % {BLOCK} AS tail FROM sources WHERE source_size > 0 AND target > 0),
 planned AS (SELECT *, nfull + (tail > 0)::BIGINT AS blocks, words // source_size AS passes, words % source_size AS rem,
   (words // source_size) * (nfull + (tail > 0)::BIGINT) + (words % source_size + {BLOCK - 1}) // {BLOCK} AS n FROM counted),
-sharded AS (SELECT *, ((sum(n) OVER ())::BIGINT + {SHARD_BLOCKS - 1}) // {SHARD_BLOCKS} AS shards,
-  CASE WHEN nfull % {PRIMES[0]} != 0 THEN {PRIMES[0]} WHEN nfull % {PRIMES[1]} != 0 THEN {PRIMES[1]} ELSE {PRIMES[2]} END AS step FROM planned),
+sharded AS (SELECT *, ((sum(n) OVER ())::BIGINT + {SHARD_BLOCKS - 1}) // {SHARD_BLOCKS} AS shards FROM planned),
 drawn AS (SELECT *, unnest(range(0, n)) AS t FROM sharded),
-slots AS (SELECT k, CASE WHEN t % blocks < nfull THEN (step * (t % blocks) + 7919 * place + 104729 * (t // blocks)) % nfull ELSE nfull END AS idx,
+{_sql_rounds()},
+slots AS (SELECT k, CASE WHEN t % blocks < nfull THEN x ELSE nfull END AS idx,
   CASE WHEN t % blocks < nfull THEN {BLOCK} ELSE tail END AS length, t // blocks < passes AS early, rem - (t % blocks) * {BLOCK} AS room,
-  CAST('0x' || substr(md5(place || ':' || t), 1, 12) AS BIGINT) % shards AS shard FROM drawn),
+  CAST('0x' || substr(md5(place || ':' || t), 1, 12) AS BIGINT) % shards AS shard FROM turn{ROUNDS}),
 takes AS (SELECT k, idx, sum((early OR room >= length)::BIGINT)::BIGINT AS times, max(CASE WHEN NOT early AND room < length THEN room END) AS part, min(shard) AS shard FROM slots GROUP BY k, idx),
-laid AS (SELECT *, row_number() OVER () AS r, coalesce(sum(size) OVER (PARTITION BY k ORDER BY ((coalesce(doc_id, 0) % {BUCKETS}) + {BUCKETS}) % {BUCKETS}, doc_id NULLS FIRST, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start FROM rows),
+laid AS (SELECT *, row_number() OVER () AS r, coalesce(sum(size) OVER (PARTITION BY k ORDER BY CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), '')), 1, 12) AS BIGINT) % (SELECT greatest({BUCKETS}, count(*) // {BUCKET_ROWS}) FROM rows), doc_id NULLS FIRST, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start FROM rows),
 parts AS (SELECT *, unnest(range(start // {BLOCK}, (start + size - 1) // {BLOCK} + 1)) AS idx FROM laid WHERE size > 0),
 met AS (SELECT r, parts.idx, coalesce(times, 0) * (least(start + size, (idx + 1) * {BLOCK}) - greatest(start, idx * {BLOCK}))
   + greatest(0, least(start + size, idx * {BLOCK} + coalesce(part, 0)) - greatest(start, idx * {BLOCK})) AS got, shard FROM parts LEFT JOIN takes USING (k, idx)),
@@ -155,15 +192,20 @@ def words_of(text: Column, ranges: Column) -> Column:
 
 
 def apply(docs: DataFrame, block: int = BLOCK) -> DataFrame:
-    """docs mixed: each row as often as it is taken whole, and once more cut to the words that the last pass has drawn; rows that nothing is taken of go."""
+    """docs mixed: each row as often as it is taken whole, and once more cut to the words that the last pass has drawn; rows that nothing is taken of go.
+
+    The row travels as one struct, so that no column of docs meets one of ours. n_chars follows the text where docs has it.
+    """
     copy = W.partitionBy("doc_id", "source_key", "tie").orderBy("size")
     planned = drawn_rows(docs, block).where("taken > 0").select("doc_id", "source_key", "tie", "size", F.sort_array("drawn").alias("drawn")).withColumn("copy", F.row_number().over(copy))
-    texts = docs.withColumns({"_key": _key(F.col("source")), "_tie": F.xxhash64("text")})
-    texts = texts.withColumn("_copy", F.row_number().over(W.partitionBy("doc_id", "_key", "_tie").orderBy("n_chars")))
-    planned = planned.select(F.col("doc_id").alias("_id"), F.col("source_key").alias("_key2"), F.col("tie").alias("_tie2"), F.col("copy").alias("_copy2"), F.col("size").alias("_size"), F.col("drawn").alias("_drawn"))
-    met = texts.join(planned, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_key2")) & (F.col("_tie") == F.col("_tie2")) & (F.col("_copy") == F.col("_copy2")))
-    each = met.withColumn("_turn", F.explode(F.expr("sequence(1L, array_max(transform(_drawn, d -> d.times + IF(d.more > d.from, 1L, 0L))))")))
-    each = each.withColumn("_ranges", F.expr("transform(filter(_drawn, d -> d.times >= _turn OR (d.times = _turn - 1 AND d.more > d.from)), d -> struct(d.from AS from, IF(d.times >= _turn, d.to, d.more) AS to))"))
-    whole = F.expr("aggregate(_ranges, 0L, (n, r) -> n + r.to - r.from)") == F.col("_size")
-    cut = each.withColumn("text", F.when(whole, F.col("text")).otherwise(words_of(F.col("text"), F.col("_ranges"))))
-    return cut.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    texts = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")).select("row", F.col("row.doc_id").alias("id"), _key(F.col("row.source")).alias("key"), F.xxhash64("row.text").alias("hash"))
+    texts = texts.withColumn("place", F.row_number().over(W.partitionBy("id", "key", "hash").orderBy(F.xxhash64("row"))))
+    same = F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("source_key") == F.col("key")) & (F.col("tie") == F.col("hash")) & (F.col("copy") == F.col("place"))
+    met = texts.join(planned.hint("merge"), same)
+    each = met.withColumn("turn", F.explode(F.expr("sequence(1L, array_max(transform(drawn, d -> d.times + IF(d.more > d.from, 1L, 0L))))")))
+    each = each.withColumn("ranges", F.expr("transform(filter(drawn, d -> d.times >= turn OR (d.times = turn - 1 AND d.more > d.from)), d -> struct(d.from AS from, IF(d.times >= turn, d.to, d.more) AS to))"))
+    whole = F.expr("aggregate(ranges, 0L, (n, r) -> n + r.to - r.from)") == F.col("size")
+    text = F.when(whole, F.col("row.text")).otherwise(words_of(F.col("row.text"), F.col("ranges")))
+    cut = each.select(F.col("row"), text.alias("text"))
+    own = {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
+    return cut.select(*(own[c].alias(c) if c in own else F.col(f"row.`{c}`").alias(c) for c in docs.columns))

@@ -1,8 +1,10 @@
+import hashlib
 import random
 import re
 from collections import Counter
 
 import duckdb
+from pyspark.sql import functions as F
 
 from balclust.llm import mixing
 
@@ -94,7 +96,7 @@ def test_applied_mix_has_the_words_of_the_drawn_blocks(spark):
     sizes = [rng.choice([3, 25, 130]) for _ in range(60)]
     rows = [(k, "x", "abc"[k % 3], "\n".join(f"d{k}w{i}" for i in range(n)), 0) for k, n in enumerate(sizes)]
     df = spark.createDataFrame(rows, "doc_id long, lang string, source string, text string, n_chars long").repartition(3)
-    order = {s: sorted((k for k in range(60) if "abc"[k % 3] == s), key=lambda k: (k % mixing.BUCKETS, k)) for s in "abc"}
+    order = {s: sorted((k for k in range(60) if "abc"[k % 3] == s), key=lambda k: (int(hashlib.md5(str(k).encode()).hexdigest()[:12], 16) % mixing.BUCKETS, k)) for s in "abc"}
     stream = {"s" + s: [f"d{k}w{i}" for k in order[s] for i in range(sizes[k])] for s in "abc"}
     totals = spark.createDataFrame([(s, len(w)) for s, w in stream.items()], "source_key string, source_size long")
     want = Counter()
@@ -105,3 +107,37 @@ def test_applied_mix_has_the_words_of_the_drawn_blocks(spark):
     places = [[int(w.split("w")[1]) for w in t] for t in texts]
     assert all(p == sorted(set(p)) for p in places)
     assert any(p[0] > 0 for p in places)
+
+
+def test_a_permutation_of_blocks_is_no_progression(spark):
+    """One pass over each source draws every block once, in an order without a step or a run, and other passes and sources have orders of their own."""
+    full = (178, 200, 1, 2, 3001)
+    sources = spark.createDataFrame([(f"s{k}", 100 * n, k, 300.0 * n) for k, n in enumerate(full)], "source_key string, source_size long, place long, target double")
+    orders = {}
+    for r in mixing.draws(sources, 100).collect():
+        orders.setdefault(r.source_key, []).append(r["index"])
+    for k, n in enumerate(full):
+        assert Counter(orders[f"s{k}"]) == Counter({i: 3 for i in range(n)})
+    half = mixing.draws(spark.createDataFrame([("s0", 17_800, 0, 8900.0), ("s4", 300_100, 4, 150_050.0)], "source_key string, source_size long, place long, target double"), 100).collect()
+    for name, n in (("s0", 178), ("s4", 3001)):
+        drawn = sorted(r["index"] for r in half if r.source_key == name)
+        gaps = Counter(b - a for a, b in zip(drawn, drawn[1:]))
+        assert len(drawn) == len(set(drawn)) == -(-n // 2)
+        # of a random half, half of the gaps are 1, a quarter 2, an eighth 3
+        assert 0.3 < gaps[1] / len(drawn) < 0.7 and gaps[3] > 0 and max(gaps) < 30
+
+
+def test_ids_in_steps_and_nulls_share_no_bucket(spark):
+    ids = spark.createDataFrame([(1024 * k,) for k in range(5000)], "doc_id long")
+    most = ids.select(mixing.bucket(F.col("doc_id"), 1024).alias("b")).groupBy("b").count().agg(F.max("count")).first()[0]
+    assert most < 25
+
+
+def test_applied_mix_keeps_columns_of_any_name(spark):
+    names = ["_key", "_tie", "_copy", "_turn", "_size", "_taken", "row", "size", "copy", "ranges", "drawn", "tie", "key", "hash", "turn", "place"]
+    rows = [(k, f"w{k} " * 50, "ab"[k % 2], *(f"{n}{k}" for n in names)) for k in range(20)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, " + ", ".join(f"`{n}` string" for n in names))
+    mixed = mixing.apply(docs)
+    assert mixed.columns == docs.columns
+    got = mixed.collect()
+    assert got and all(r[n] == f"{n}{r.doc_id}" for r in got for n in names)
