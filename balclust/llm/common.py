@@ -12,7 +12,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Bytes of text that one step of a Python worker holds at a time (a longer single text is one step).
 SLICE_BYTES = 2 << 20
@@ -23,12 +24,14 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; one of our own only where the session names none."""
+    """The folder that all executors share. Only a local master gets one of our own; on a cluster that names none this raises ValueError."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
+        if not context.master.startswith("local"):
+            raise ValueError("name a folder that driver and executors share in spark.checkpoint.dir")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="balclust-"))
     return context.getCheckpointDir().rstrip("/")
 
@@ -40,6 +43,14 @@ def stage(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def drop(spark: SparkSession, *staged: DataFrame) -> None:
+    """Delete the tables behind frames that stage gave, once nothing reads them any more."""
+    for frame in staged:
+        for file in frame.inputFiles()[:1]:
+            path = spark._jvm.org.apache.hadoop.fs.Path(file).getParent()
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def drop_stages(spark: SparkSession) -> None:
     """Delete the tables that steps have written; frames that read them are of no use afterwards."""
     path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/staged")
@@ -85,6 +96,16 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def as_row(df: DataFrame) -> DataFrame:
+    """Each row as one struct named row: no column of df can meet one of ours."""
+    return df.select(F.struct(*(F.col("`" + c.replace("`", "``") + "`") for c in df.columns)).alias("row"))
+
+
+def from_row(df: DataFrame, columns: list[str], **own: Column) -> DataFrame:
+    """The way back; own: columns that take the place of those of the row, where it has them."""
+    return df.select(*(own[c].alias(c) if c in own else F.col("row").getField(c).alias(c) for c in columns))
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 

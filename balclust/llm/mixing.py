@@ -198,7 +198,7 @@ def apply(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """
     copy = W.partitionBy("doc_id", "source_key", "tie").orderBy("size")
     planned = drawn_rows(docs, block).where("taken > 0").select("doc_id", "source_key", "tie", "size", F.sort_array("drawn").alias("drawn")).withColumn("copy", F.row_number().over(copy))
-    texts = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")).select("row", F.col("row.doc_id").alias("id"), _key(F.col("row.source")).alias("key"), F.xxhash64("row.text").alias("hash"))
+    texts = common.as_row(docs).select("row", F.col("row.doc_id").alias("id"), _key(F.col("row.source")).alias("key"), F.xxhash64("row.text").alias("hash"))
     texts = texts.withColumn("place", F.row_number().over(W.partitionBy("id", "key", "hash").orderBy(F.xxhash64("row"))))
     same = F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("source_key") == F.col("key")) & (F.col("tie") == F.col("hash")) & (F.col("copy") == F.col("place"))
     met = texts.join(planned.hint("merge"), same)
@@ -207,5 +207,4 @@ def apply(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     whole = F.expr("aggregate(ranges, 0L, (n, r) -> n + r.to - r.from)") == F.col("size")
     text = F.when(whole, F.col("row.text")).otherwise(words_of(F.col("row.text"), F.col("ranges")))
     cut = each.select(F.col("row"), text.alias("text"))
-    own = {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
-    return cut.select(*(own[c].alias(c) if c in own else F.col(f"row.`{c}`").alias(c) for c in docs.columns))
+    return common.from_row(cut, docs.columns, text=F.col("text"), n_chars=F.length("text").cast("long"))

@@ -55,7 +55,8 @@ def place(df: DataFrame, key: str, shards: Sequence[str], slots: int = SLOTS, we
     """df with the slot and the shard of each row's key."""
     owners = ",".join(map(str, fill(shards, slots, weights)))
     table = df.sparkSession.range(1).select(F.posexplode(F.split(F.lit(owners), ",")).alias("_slot", "_shard")).select(F.col("_slot").cast("long").alias("slot"), F.col("_shard").cast("int").alias("shard"))
-    return df.drop("slot", "shard").withColumn("slot", slot_of(F.col(key), slots)).join(F.broadcast(table), "slot")
+    rows = common.as_row(df).withColumn("slot", slot_of(F.col("row").getField(key), slots)).join(F.broadcast(table), "slot")
+    return rows.select(*(F.col("row").getField(c).alias(c) for c in df.columns if c not in ("slot", "shard")), "slot", "shard")
 
 
 def _shards() -> list[str]:

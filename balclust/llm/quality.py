@@ -3,15 +3,16 @@
 Trusted positives (texts labelled good) and unlabelled web text train one linear model that minimises
 the non-negative unbiased risk: with class prior p, p times the positives' loss as positives, plus what is left of the
 unlabelled texts' loss as negatives once p times the positives' loss as negatives is taken off, never below
-zero. Where a step finds that difference below zero it climbs back instead. The prior is the share of
-good among the labelled rows of the training folds, or, with no negatives labelled, the unlabelled
-texts' mean score over the positives' mean score under a plain positive-against-unlabelled fit.
+zero. Where a step finds that difference below zero it climbs back instead. The prior is estimated from
+positives and unlabelled texts alone: a plain fit that tells the two apart gives a positive the score 1 / (1 + p).
 
-The fit uses at most POSITIVES and UNLABELLED rows, chosen by a hash of doc_id; every row is scored.
+The positives are at most POSITIVES labelled rows, chosen by a hash; the unlabelled texts are all rows of the training folds. Their features are
+staged once, and each step sums its gradient over all of them on the executors, in whole numbers, so that sums do not depend on order.
 Features are text statistics and hashed byte-pair shares of the whole text, computed over byte arrays.
 
-Defined cases: a null text is empty and is scored; a null doc_id is held out; repeated rows each get their row; without
-positives every score is the prior's default 0.5; an empty table gives an empty result; other columns are ignored.
+Defined cases: a null text is empty and is scored; a null doc_id is held out; repeated rows each get their row (among the positives each
+doc_id and text counts once); without positives or unlabelled texts every score is 0.5; a text longer than a slice is one step, whose arrays
+take about 150 bytes a byte of it; an empty table gives an empty result; other columns, of whatever name, are ignored or come back as they were.
 """
 
 from __future__ import annotations
@@ -26,10 +27,13 @@ from pyspark.sql import functions as F
 
 from . import common
 
-#: Largest numbers of rows that the fit uses; folds by CRC-32, of which fold 0 is held out; least score of a good text.
-POSITIVES, UNLABELLED, FOLDS, LEAST = 6_000, 12_000, 5, 0.3
+#: Most labelled rows that the fit uses; folds by CRC-32, of which fold 0 is held out; least score of a good text.
+POSITIVES, FOLDS, LEAST = 6_000, 5, 0.3
 PAIRS = 128
-STEPS, PACE, DECAY, SLACK = 300, 0.05, 1e-4, 0.0
+#: Steps of a fit, and the pull of weights to zero.
+STEPS, DECAY = 16, 1e-4
+#: What a standardised feature, a score and a raw feature are counted in: sums of whole numbers are the same in any order.
+UNIT_X, UNIT_S, UNIT_RAW, CLIP = 256, 65_536, 4096, 8
 
 _CLASSES = [b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz", b"0123456789", b".,;:", b"!?", b"#*$%&|<>@^~=+_", b"\"'()[]{}-/\\", b" \t\r\x0b\x0c", b"\n"]
 _CLASS = np.full(256, len(_CLASSES), np.uint8)
@@ -87,44 +91,97 @@ class Model(NamedTuple):
         return 1 / (1 + np.exp(-np.clip(z.astype(np.float64), -30, 30)))
 
 
-def _descend(good: np.ndarray, any_: np.ndarray, prior: float) -> tuple[np.ndarray, float]:
-    """Weights and bias that minimise the non-negative risk under the logistic loss (Adam, whole batches)."""
-    dim = good.shape[1]
-    w, first, second = np.zeros(dim + 1), np.zeros(dim + 1), np.zeros(dim + 1)
-    w[-1] = np.log(prior / (1 - prior))
+def _squash(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
-    def squash(z: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
-    for t in range(1, STEPS + 1):
-        zp, zu = good @ w[:-1] + w[-1], any_ @ w[:-1] + w[-1]
-        left = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
-        as_negative_u, as_negative_p = squash(zu) / len(zu), prior * squash(zp) / len(zp)
-        rest = np.append(any_.T @ as_negative_u - good.T @ as_negative_p, as_negative_u.sum() - as_negative_p.sum())
-        if left < -SLACK:  # the unlabelled part has gone below zero: climb back by its gradient alone
-            grad = -rest
+def _standard(x: np.ndarray, mean: np.ndarray, scale: np.ndarray) -> np.ndarray:
+    """Standardised features and a one at the end, as whole numbers of 1 / UNIT_X in floats."""
+    out = np.full((len(x), x.shape[1] + 1), float(UNIT_X))
+    out[:, :-1] = np.rint(np.clip((x - mean) / scale, -CLIP, CLIP) * UNIT_X)
+    return out
+
+
+def _moments(x: np.ndarray) -> np.ndarray:
+    """Rows, and sums of features and of their squares, as whole numbers."""
+    x = x.astype(np.float64)
+    return np.concatenate([[len(x)], np.rint(x * UNIT_RAW).sum(axis=0), np.rint(x * x * UNIT_RAW).sum(axis=0)]).astype(np.int64)
+
+
+def _curve(x: np.ndarray) -> np.ndarray:
+    """Sums of products of the standardised features, as whole numbers."""
+    return (x.T @ x).astype(np.int64).ravel()
+
+
+def _slope(x: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Sums of the loss as negatives and of its gradient, as whole numbers."""
+    z = x @ w / UNIT_X
+    return np.append(np.rint(np.logaddexp(0, z) * UNIT_S).sum(), x.T @ np.rint(_squash(z) * UNIT_S)).astype(np.int64)
+
+
+def _descend(good: np.ndarray, slope, curve: np.ndarray, prior: float | None) -> np.ndarray:
+    """Weights that minimise the non-negative risk under the logistic loss, or with no prior the risk of telling positives from the unlabelled.
+
+    good: standardised positives; slope(w): (mean loss as negatives, its gradient) over the unlabelled; curve: their mean products. A quarter of
+    the curve bounds the risk's curvature everywhere, so that a step of its inverse never overshoots; momentum starts anew after each climb.
+    """
+    good = good / UNIT_X
+    bound = curve / 4 + (0 if prior is not None else good.T @ good / len(good) / 4) + max(DECAY, 1e-3) * np.eye(len(curve))
+    w = np.zeros(len(curve))
+    if prior is not None:
+        w[-1] = np.log(prior / (1 - prior))
+    ahead, run = w, 0
+    for _ in range(STEPS):
+        loss, grad = slope(ahead)
+        zp = good @ ahead
+        if prior is None:
+            grad = grad - good.T @ _squash(-zp) / len(good)
         else:
-            as_positive = -prior * squash(-zp) / len(zp)
-            grad = rest + np.append(good.T @ as_positive, as_positive.sum())
-        grad[:-1] += DECAY * w[:-1]
-        first, second = 0.9 * first + 0.1 * grad, 0.999 * second + 0.001 * grad**2
-        w -= PACE * (first / (1 - 0.9**t)) / (np.sqrt(second / (1 - 0.999**t)) + 1e-8) * min(1.0, 2 * (1 - t / (STEPS + 1)))
-    return w[:-1], float(w[-1])
+            rest = grad - prior * (good.T @ _squash(zp)) / len(good)
+            if loss - prior * np.logaddexp(0, zp).mean() < 0:  # the unlabelled part has gone below zero: climb back by its gradient alone
+                w = ahead = ahead + np.linalg.solve(bound, rest)
+                run = 0
+                continue
+            grad = rest - prior * (good.T @ _squash(-zp)) / len(good)
+        pull = DECAY * ahead
+        pull[-1] = 0
+        new = ahead - np.linalg.solve(bound, grad + pull)
+        run += 1
+        ahead, w = new + (new - w) * ((run - 1) / (run + 2)), new
+    return w
+
+
+def _fit(good: np.ndarray, mean: np.ndarray, scale: np.ndarray, slope, curve: np.ndarray, prior: float | None) -> Model:
+    good = _standard(good, mean, scale)
+    if prior is None:
+        held = float(_squash(good @ _descend(good, slope, curve, None) / UNIT_X).mean())
+        prior = (1 - held) / held
+    prior = min(0.98, max(0.02, prior))
+    w = _descend(good, slope, curve, prior)
+    return Model(mean, scale, w[:-1], float(w[-1]), prior)
+
+
+def _unfit(width: int) -> Model:
+    return Model(np.zeros(width), np.ones(width), np.zeros(width), 0.0, 0.5)
+
+
+def _scale(moments: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
+    n, width = int(moments[0]), len(moments) // 2
+    mean = moments[1 : width + 1] / UNIT_RAW / max(n, 1)
+    return n, mean, np.sqrt(np.maximum(0, moments[width + 1 :] / UNIT_RAW / max(n, 1) - mean**2)) + 1e-3
 
 
 def fit(good: np.ndarray, any_: np.ndarray, prior: float | None = None) -> Model:
-    """A model from rows of features of trusted positives and of unlabelled texts."""
-    width = (any_ if len(any_) else good).shape[1]
+    """A model from rows of features of trusted positives and of unlabelled texts, all at hand."""
     if not len(good) or not len(any_):
-        return Model(np.zeros(width), np.ones(width), np.zeros(width), 0.0, 0.5)
-    mean, scale = any_.mean(axis=0, dtype=np.float64), any_.std(axis=0, dtype=np.float64) + 1e-3
-    good, any_ = (np.clip((x - mean) / scale, -8, 8) for x in (good, any_))
-    if prior is None:  # with unit prior on both sides the risk is that of telling positives from the unlabelled
-        w, b = _descend(good, any_, 0.5)
-        prior = float((1 / (1 + np.exp(-(any_ @ w + b)))).mean() / (1 / (1 + np.exp(-(good @ w + b)))).mean())
-    prior = min(0.98, max(0.02, prior))
-    w, b = _descend(good, any_, prior)
-    return Model(mean, scale, w, b, prior)
+        return _unfit((any_ if len(any_) else good).shape[1])
+    n, mean, scale = _scale(_moments(any_))
+    x = _standard(any_, mean, scale)
+    return _fit(good, mean, scale, lambda w: _mean_slope(_slope(x, w), n), _curve(x).reshape(x.shape[1], -1) / UNIT_X**2 / n, prior)
+
+
+def _mean_slope(sums: np.ndarray, n: int) -> tuple[float, np.ndarray]:
+    return sums[0] / UNIT_S / n, sums[1:] / UNIT_S / UNIT_X / n
 
 
 def fold(doc_id: Column) -> Column:
@@ -134,25 +191,66 @@ def fold(doc_id: Column) -> Column:
 def _featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for part in common.slices(batches, "text"):
         x = features(*common.text_bytes(common.column(part, "text")))
-        yield pa.RecordBatch.from_arrays([common.column(part, "good"), pa.array(list(x), pa.list_(pa.float32()))], ["good", "x"])
-
-
-def train(docs: DataFrame, labels: DataFrame) -> Model:
-    """A model of labels.quality from the folds that are not held out. Only ids are sorted, and only chosen rows' features reach the driver."""
-    known = labels.where(fold(F.col("doc_id")) != 0).where("quality IS NOT NULL")
-    good, bad = known.agg(F.count(F.when(F.col("quality") == 1, 1)), F.count(F.when(F.col("quality") == 0, 1))).first()
-    draw = F.xxhash64(F.col("doc_id"), F.lit(17))
-    trusted = known.where("quality = 1").select("doc_id").distinct().orderBy(draw, "doc_id").limit(POSITIVES).select("doc_id", F.lit(True).alias("good"))
-    web = docs.where(fold(F.col("doc_id")) != 0).select("doc_id").orderBy(F.xxhash64(F.col("doc_id"), F.lit(23)), "doc_id").limit(UNLABELLED).select("doc_id", F.lit(False).alias("good"))
-    chosen = docs.select("doc_id", "text").join(F.broadcast(trusted.unionByName(web.distinct())), "doc_id")  # at most POSITIVES + UNLABELLED rows
-    table = chosen.select("good", "text").mapInArrow(_featured, "good boolean, x array<float>").toArrow().combine_chunks()
-    is_good = table["good"].to_numpy(zero_copy_only=False).astype(bool)
-    width = features(np.zeros(0, np.uint8), np.zeros(2, np.int64)).shape[1]
-    x = table["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, width) if len(is_good) else np.zeros((0, width), np.float32)
-    # Rows came in the order of the tasks; a fixed order makes the sums, and so the model, the same each time.
-    order = np.lexsort([*x[:, :6].T, is_good])
-    x, is_good = x[order], is_good[order]
-    return fit(x[is_good], x[~is_good], good / (good + bad) if bad else None)
+        flat = pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), x.shape[1]).cast(pa.list_(pa.float32()))
+        yield pa.RecordBatch.from_arrays([common.column(part, "doc_id"), common.column(part, "hash"), flat], ["doc_id", "hash", "x"])
+
+
+WIDTH = features(np.zeros(0, np.uint8), np.zeros(2, np.int64)).shape[1]
+
+
+def featured(docs: DataFrame) -> DataFrame:
+    """doc_id, hash (of the text) and x (its features) of each row of docs (doc_id, text), staged."""
+    return common.stage(docs.select("doc_id", "text", F.xxhash64("text").alias("hash")).mapInArrow(_featured, "doc_id long, hash long, x array<float>"))
+
+
+def _rows(batch: pa.RecordBatch) -> np.ndarray:
+    return common.column(batch, "x").flatten().to_numpy(zero_copy_only=False).reshape(-1, WIDTH)
+
+
+#: Partial sums come to the driver from so many tasks, however many there are before.
+PARTS = 16
+
+
+def totals(table: DataFrame, kernel) -> np.ndarray:
+    """The sum over all rows of what kernel (features of some rows -> whole numbers) gives; each task adds up its own first."""
+
+    def own(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = 0
+        for b in batches:
+            for start in range(0, b.num_rows, 1 << 14):
+                held = held + kernel(_rows(b.slice(start, 1 << 14)))
+        if not isinstance(held, int):
+            yield pa.RecordBatch.from_arrays([pa.array([held.tobytes()], pa.binary())], ["sums"])
+        common.give_back()
+
+    def together(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.frombuffer(s, np.int64) for b in batches for s in common.column(b, "sums").to_pylist()]
+        if held:
+            yield pa.RecordBatch.from_arrays([pa.array([np.sum(held, axis=0).tobytes()], pa.binary())], ["sums"])
+
+    parts = table.select("x").mapInArrow(own, "sums binary").repartition(PARTS).mapInArrow(together, "sums binary").collect()  # at most PARTS rows
+    return np.sum([np.frombuffer(r.sums, np.int64) for r in parts], axis=0) if parts else kernel(np.zeros((0, WIDTH), np.float32))
+
+
+def train(docs: DataFrame, labels: DataFrame, table: DataFrame | None = None, prior: float | None = None) -> Model:
+    """A model of labels.quality from the folds that are not held out. Only the features of the trusted positives reach the driver. table: as featured gives of docs."""
+    own = featured(docs) if table is None else table
+    web = own.where(fold(F.col("doc_id")) != 0)
+    known = labels.where(fold(F.col("doc_id")) != 0).where("quality = 1").select("doc_id").distinct()
+    trusted = known.orderBy(F.xxhash64(F.col("doc_id"), F.lit(17)), "doc_id").limit(POSITIVES)
+    # Rows of one id that are alike count once; of what is left again POSITIVES rows at most.
+    rows = web.join(F.broadcast(trusted), "doc_id").groupBy("doc_id", "hash").agg(F.min("x").alias("x")).orderBy(F.xxhash64(F.col("doc_id"), F.lit(17)), "doc_id", "hash").limit(POSITIVES)
+    sums = totals(web, _moments)
+    n, mean, scale = _scale(sums)
+    good = rows.select("doc_id", "hash", "x").toArrow().combine_chunks().sort_by([("doc_id", "ascending"), ("hash", "ascending")])
+    if not good.num_rows or not n:
+        return _unfit(WIDTH)
+    good = np.array(good["x"].to_pylist(), np.float32)
+    curve = totals(web, lambda x: _curve(_standard(x, mean, scale))).reshape(WIDTH + 1, -1) / UNIT_X**2 / n
+    model = _fit(good, mean, scale, lambda w: _mean_slope(totals(web, lambda x: _slope(_standard(x, mean, scale), w)), n), curve, prior)
+    if table is None:
+        common.drop(docs.sparkSession, own)
+    return model
 
 
 def _scored(model: Model):
@@ -166,18 +264,31 @@ def _scored(model: Model):
 
 
 def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """docs with _score of each row; docs has a column text."""
+    """docs with _score of each row (in place of a column of that name); docs has a column text."""
+    docs = docs.drop("_score")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
     return docs.mapInArrow(_scored(model), f"{fields}, _score double")
 
 
+def _scored_table(model: Model):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([common.column(b, "doc_id"), pa.array(model.score(_rows(b)), pa.float64())], ["doc_id", "score"])
+
+    return run
+
+
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.documents(spark, sf_dir).select("doc_id", "text")
-    model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return scored(docs, model).select("doc_id", (fold(F.col("doc_id")) == 0).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= LEAST).cast("int").alias("predicted"))
+    table = featured(docs)
+    model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), table)
+    found = table.select("doc_id", "x").mapInArrow(_scored_table(model), "doc_id long, score double")
+    return found.select("doc_id", (fold(F.col("doc_id")) == 0).alias("held_out"), "score", (F.col("score") >= LEAST).cast("int").alias("predicted"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of docs that the classifier takes for good."""
+    """The rows of docs that the classifier takes for good; all columns come back, one named _score too."""
     model = train(docs.select("doc_id", "text"), labels)
-    return scored(docs, model).where(F.col("_score") >= LEAST).select(*docs.columns)
+    rows = common.as_row(docs).withColumn("text", F.col("row.text"))
+    kept = rows.mapInArrow(_scored(model), f"row {rows.schema['row'].dataType.simpleString()}, text string, _score double").where(F.col("_score") >= LEAST)
+    return common.from_row(kept, docs.columns)

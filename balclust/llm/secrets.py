@@ -5,7 +5,8 @@ of one rule found in one blob; only pairs of blob and rule version that the ledg
 are scanned, each once, however many paths hold the blob. Findings then join back to all paths.
 
 Defined cases: a null text is the empty text; a null path is a path like any other; repeated
-rows each get their row; an empty table gives an empty result; other columns are ignored.
+rows each get their row; findings that start together come in the order of the rules; a text of any length is searched as a whole; an empty
+table gives an empty result; other columns, of whatever name, are ignored or come back as they were.
 """
 
 from __future__ import annotations
@@ -39,6 +40,8 @@ RULES = (
     Rule("hex", 1, r"[0-9a-f]+", re.ASCII, 0, 24),
 )
 
+#: Batches in which the query lets the versions come.
+BATCHES = 2
 SPANS = "array<struct<start:int,stop:int>>"
 LEDGER = f"blob string, kind string, version int, spans {SPANS}"
 
@@ -99,8 +102,27 @@ def listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["stop"].cast("string"))), ",")
 
 
+def batch_of(path: Column, batches: int) -> Column:
+    """In which of so many batches a path's version comes."""
+    return F.pmod(F.xxhash64(path), F.lit(batches))
+
+
+def history(docs: DataFrame, rules: tuple[Rule, ...] = RULES, batches: int = BATCHES) -> tuple[DataFrame, DataFrame]:
+    """(versions, ledger) of docs (doc_id, text) that come in batches, one after the other.
+
+    The ledger is a table in the shared folder that each batch adds its missing entries to: a blob that an earlier batch held is not scanned again.
+    """
+    versions, ledger = None, None
+    for k in range(batches):
+        seen, missing = update_ledger(docs.where(batch_of(F.col("doc_id"), batches) == k), ledger, rules)
+        missing = common.stage(missing)
+        versions = seen if versions is None else versions.unionByName(seen)
+        ledger = missing if ledger is None else ledger.unionByName(missing)
+    return versions, ledger
+
+
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
-    versions, ledger = update_ledger(common.documents(spark, sf_dir).select("doc_id", "text"))
+    versions, ledger = history(common.documents(spark, sf_dir).select("doc_id", "text"))
     found = findings(versions, ledger)
 
     def count(kind: str) -> Column:
@@ -113,8 +135,8 @@ def redact(docs: DataFrame) -> DataFrame:
     """docs with every finding in its text replaced by its kind in brackets; n_chars follows."""
     versions, ledger = update_ledger(docs.select("doc_id", "text"))
     hit = findings(versions, ledger).where(F.size("spans") > 0).select("path", "blob", "spans").dropDuplicates(["path", "blob"])
-    keyed = docs.withColumn("_blob", F.sha2(F.coalesce("text", F.lit("")), 256))
-    joined = keyed.join(hit, F.col("doc_id").eqNullSafe(F.col("path")) & (F.col("_blob") == F.col("blob")), "left")
+    keyed = common.as_row(docs).select("row", F.col("row.doc_id").alias("id"), F.col("row.text").alias("text"), F.sha2(F.coalesce("row.text", F.lit("")), 256).alias("own"))
+    joined = keyed.join(hit, F.col("id").eqNullSafe(F.col("path")) & (F.col("own") == F.col("blob")), "left")
     # Overlapping findings make one gap; text between gaps stays as it is.
     step = F.aggregate(
         "spans",
@@ -122,4 +144,7 @@ def redact(docs: DataFrame) -> DataFrame:
         lambda a, s: F.when(s["stop"] <= a["at"], a).otherwise(F.struct(F.concat(a["out"], F.substring(F.col("text"), a["at"] + 1, F.greatest(s["start"] - a["at"], F.lit(0))), F.concat(F.lit("["), s["kind"], F.lit("]"))).alias("out"), s["stop"].alias("at"))),
     )
     clean = F.when(F.col("spans").isNull(), F.col("text")).otherwise(F.concat(step["out"], F.substring(F.col("text"), step["at"] + 1, F.length("text"))))
-    return joined.withColumn("text", clean).withColumn("n_chars", F.when(F.col("spans").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long"))).select(*docs.columns)
+    own = {"text": clean}
+    if "n_chars" in docs.columns:
+        own["n_chars"] = F.when(F.col("spans").isNull(), F.col("row.n_chars")).otherwise(F.length(clean).cast("long"))
+    return common.from_row(joined, docs.columns, **own)

@@ -13,7 +13,8 @@ come from bands of least hashes there, and each link is an exact comparison of s
 
 Defined cases: a null text has no words and fingerprint zero, which links like any other; a text of
 fewer words than a shingle is one shingle; repeated rows each get their row; a null path counts for no
-component's smallest; an empty table gives an empty result; other columns are ignored.
+component's smallest; of rows alike in doc_id and text the stage keeps one; a text longer than a slice is one step; an empty table gives an empty result;
+other columns, of whatever name, are ignored or come back as they were.
 """
 
 from __future__ import annotations
@@ -194,7 +195,8 @@ def components(edges: DataFrame) -> DataFrame:
         # ... then the small ones, with the node itself.
         down = wide.groupBy("a").agg(F.min("b").alias("m"))
         near = wide.join(down, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        edges = common.stage(near.unionByName(down.withColumnRenamed("m", "b")).distinct())
+        before, edges = edges, common.stage(near.unionByName(down.withColumnRenamed("m", "b")).distinct())
+        common.drop(edges.sparkSession, before)
 
 
 def near_duplicates(docs: DataFrame, words: int = WORDS) -> DataFrame:
@@ -327,7 +329,7 @@ def near_copies(docs: DataFrame) -> DataFrame:
 def keep_one(docs: DataFrame) -> DataFrame:
     """docs with one row of each component of near copies: that of the smallest doc_id (null last), then of the smallest hash of the text."""
     best = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tie")).alias("best")
-    kept = near_copies(docs).groupBy("root").agg(best).select(F.col("best.doc_id").alias("_id"), F.col("best.tie").alias("_tie"))
-    hashed = docs.withColumn("_own", F.xxhash64("text"))
-    met = hashed.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_tie")))
-    return met.dropDuplicates(["doc_id", "_own"]).select(*docs.columns)
+    kept = near_copies(docs).groupBy("root").agg(best).select("best.doc_id", "best.tie")
+    hashed = common.as_row(docs).select("row", F.col("row.doc_id").alias("id"), F.xxhash64("row.text").alias("hash"))
+    met = hashed.join(kept, F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("hash") == F.col("tie")))
+    return common.from_row(met.dropDuplicates(["id", "hash"]), docs.columns)

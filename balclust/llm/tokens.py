@@ -9,8 +9,8 @@ ASCII white space never joins tokens, so a text is the sum of its words. Words w
 a "<" or a point from 0x180 on are normalised and cut by the vocabulary file's own rules instead,
 and those with a special string are encoded by the library. A bounded memo spares known runs.
 
-Defined cases: a null text is empty; the empty text has no tokens; repeated rows each get
-their row; an empty table gives an empty result; other columns are ignored.
+Defined cases: a null text is empty; the empty text has no tokens; a text longer than a slice is one step, whose arrays take about
+60 bytes a byte of it; repeated rows each get their row (there are no ties to break); an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -164,6 +164,8 @@ class Encoder:
         self.lower1[:128] = lower[:128]
         self.lower, self.kind = lower, kind
         self.odd: dict[bytes, list[int]] = {}
+        #: Ids of the odd words of the slice at hand; places beyond the store's end mean these.
+        self.extra = np.zeros(0, np.int32)
         self.forget()
 
     def forget(self) -> None:
@@ -192,7 +194,7 @@ class Encoder:
         return self.start[at], self.size[at]
 
     def runs(self, data: np.ndarray, where: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(place in the bytes, begin in self.store, number of ids) of each pre-token or odd word, in order."""
+        """(place in the bytes, begin in self.store followed by self.extra, number of ids) of each pre-token or odd word, in order."""
         kind, low = self.kind1[data], self.lower1[data]
         lead = np.flatnonzero((data >= 0xC2) & (data <= 0xC5))
         point = ((data[lead].astype(np.int64) & 0x1F) << 6) | (data[np.minimum(lead + 1, len(data) - 1)] & 0x3F)
@@ -201,7 +203,7 @@ class Encoder:
         low[lead], low[lead + 1] = 0xC0 | (low_point >> 6), 0x80 | (low_point & 0x3F)
         tail = np.zeros(len(data), bool)
         tail[lead + 1] = True
-        odd_place = np.zeros(0, np.int64)
+        odd_place, self.extra = np.zeros(0, np.int64), np.zeros(0, np.int32)
         odd_ids: list[list[int]] = []
         if (kind == 4).any():
             starts, stops = common.word_runs(data, where)
@@ -234,7 +236,7 @@ class Encoder:
         if len(odd_place):
             n = np.array([len(x) for x in odd_ids], np.int64)
             begin = np.concatenate([begin, len(self.store) + np.cumsum(n) - n])
-            self.store = np.concatenate([self.store, np.array([i for x in odd_ids for i in x], np.int32)])
+            self.extra = np.array([i for x in odd_ids for i in x], np.int32)
             place = np.concatenate([starts, odd_place])
             order = np.argsort(place, kind="stable")
             return place[order], begin[order], np.concatenate([size, n])[order]
@@ -252,7 +254,8 @@ class Encoder:
             return np.zeros(0, np.int32), np.zeros(len(where), np.int64)
         place, begin, size = self.runs(data, where)
         ends = np.cumsum(size)
-        ids = self.store[np.repeat(begin - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)]
+        store = np.concatenate([self.store, self.extra]) if len(self.extra) else self.store
+        ids = store[np.repeat(begin - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)]
         return ids, np.append(0, ends)[np.searchsorted(place, where)]
 
 
