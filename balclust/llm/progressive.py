@@ -10,8 +10,9 @@ coefficient arrays. It runs all restart intervals of all images of a like frame
 time, over one array of the joined bits. Coefficients times quantisation steps go through the inverse
 transform in exact integers, chroma is upsampled to full resolution, and RGB tensors come out.
 
-Defined cases: a null text is empty, its payload is all padding; texts of any length; repeated rows each get their row; an
-empty table gives an empty result; other columns are ignored. What isn't such an image raises ValueError.
+Defined cases: a null text is empty, its payload is all padding; a text longer than a batch is one step, whose arrays take about 200 bytes a byte
+of it; repeated rows each get their row (there are no ties to break); an empty table gives an empty result; other columns are ignored. A null image has a null
+tensor; what isn't such an image, or ends early, raises ValueError.
 """
 
 from __future__ import annotations
@@ -315,6 +316,8 @@ def read(data: bytes) -> Image:
             at = stop
         elif 0xC0 <= marker <= 0xCF:
             raise ValueError("not a progressive Huffman image")
+    else:
+        raise ValueError("the image ends early")
     if frame is None or any(c.across > 4 or c.down > 4 for c in frame.components):
         raise ValueError("no frame")
     return Image(frame, tuple(steps.get(c.table, (1,) * 64) for c in frame.components), payload, restart, tuple(scans), tuple(bodies))
@@ -456,7 +459,14 @@ def _ac_refine(bits: Bits, at: np.ndarray, unit: np.ndarray, stop: np.ndarray, p
 
 
 def decode(files: list[bytes]) -> list[tuple[Image, list[np.ndarray]]]:
-    """Each image with the coefficients of its components: a row of 64 for each block of the grid, in natural order."""
+    """Each image with the coefficients of its components: a row of 64 for each block of the grid, in natural order. Bytes that end early or contradict themselves raise ValueError."""
+    try:
+        return _decode(files)
+    except (IndexError, KeyError, TypeError, AttributeError) as broken:
+        raise ValueError("the image is cut off or damaged") from broken
+
+
+def _decode(files: list[bytes]) -> list[tuple[Image, list[np.ndarray]]]:
     images = [read(f) for f in files]
     kinds: dict[tuple, list[int]] = {}
     for k, i in enumerate(images):
@@ -573,10 +583,11 @@ def store(texts: pa.Array) -> list[bytes]:
 
 
 def features(files: list[bytes]) -> list[tuple[bytes, np.ndarray]]:
-    """Of each stored form: the payload read back, and the RGB tensor. Images one MCU wide stand on each other as one tall image."""
+    """Of each image: the payload read back (empty where it is not one of ours), and the RGB tensor. Ours that are one MCU wide stand on each other as one tall image."""
     decoded = decode(files)
     out: list = [None] * len(files)
-    strips = [k for k, (i, _) in enumerate(decoded) if i.frame.mcus[0] == 1]
+    ours = [i.payload >= 0 and i.frame.components == YUV420 and all(s == (1,) * 64 for s in i.steps) for i, _ in decoded]
+    strips = [k for k, (i, _) in enumerate(decoded) if ours[k] and i.frame.mcus[0] == 1]
     if strips:
         rows = np.array([decoded[k][0].frame.mcus[1] for k in strips])
         tall = [np.concatenate([decoded[k][1][c] for k in strips]) for c in range(3)]
@@ -588,7 +599,7 @@ def features(files: list[bytes]) -> list[tuple[bytes, np.ndarray]]:
             out[k] = (raw[a * MCU : a * MCU + decoded[k][0].payload], image[16 * a : 16 * (a + m)])
     for k, (i, c) in enumerate(decoded):
         if out[k] is None:
-            out[k] = (payload(i, c), tensor(i.frame, i.steps, c))
+            out[k] = (payload(i, c) if ours[k] else b"", tensor(i.frame, i.steps, c))
     return out
 
 
@@ -600,8 +611,11 @@ def describe(rgb: np.ndarray) -> str:
 
 def _tensors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for part in common.slices(batches, "media", BATCH):
-        got = features(common.column(part, "media").to_pylist())
-        yield pa.RecordBatch.from_arrays([common.column(part, "doc_id"), pa.array([x.shape[0] for _, x in got], pa.int32()), pa.array([x.shape[1] for _, x in got], pa.int32()), pa.array([x.tobytes() for _, x in got], pa.binary())], ["doc_id", "height", "width", "rgb"])
+        files = common.column(part, "media").to_pylist()
+        found = iter([x for _, x in features([f for f in files if f is not None])])
+        got = [None if f is None else next(found) for f in files]
+        size = [pa.array([None if x is None else x.shape[k] for x in got], pa.int32()) for k in range(2)]
+        yield pa.RecordBatch.from_arrays([common.column(part, "doc_id"), *size, pa.array([None if x is None else x.tobytes() for x in got], pa.binary())], ["doc_id", "height", "width", "rgb"])
 
 
 def _stored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -615,7 +629,7 @@ def stored(docs: DataFrame) -> DataFrame:
 
 
 def tensors(media: DataFrame) -> DataFrame:
-    """doc_id, height, width, rgb (the full-resolution tensor's bytes) of each row of media (doc_id, media)."""
+    """doc_id, height, width, rgb (the full-resolution tensor's bytes) of each row of media (doc_id, media); null for null."""
     return media.select("doc_id", "media").mapInArrow(_tensors, "doc_id long, height int, width int, rgb binary")
 
 

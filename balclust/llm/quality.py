@@ -123,22 +123,26 @@ def _descend(good: np.ndarray, slope, curve: np.ndarray, prior: float | None) ->
     """Weights that minimise the non-negative risk under the logistic loss, or with no prior the risk of telling positives from the unlabelled.
 
     good: standardised positives; slope(w): (mean loss as negatives, its gradient) over the unlabelled; curve: their mean products. A quarter of
-    the curve bounds the risk's curvature everywhere, so that a step of its inverse never overshoots; momentum starts anew after each climb.
+    the curve bounds the risk's curvature everywhere, so that a step of its inverse never overshoots; momentum starts anew after each climb. Of the points looked at
+    the one of least risk is given, a part below zero counting by its size.
     """
     good = good / UNIT_X
     bound = curve / 4 + (0 if prior is not None else good.T @ good / len(good) / 4) + max(DECAY, 1e-3) * np.eye(len(curve))
     w = np.zeros(len(curve))
     if prior is not None:
         w[-1] = np.log(prior / (1 - prior))
-    ahead, run = w, 0
+    ahead, run, least, best = w, 0, np.inf, w
     for _ in range(STEPS):
         loss, grad = slope(ahead)
         zp = good @ ahead
         if prior is None:
             grad = grad - good.T @ _squash(-zp) / len(good)
         else:
-            rest = grad - prior * (good.T @ _squash(zp)) / len(good)
-            if loss - prior * np.logaddexp(0, zp).mean() < 0:  # the unlabelled part has gone below zero: climb back by its gradient alone
+            rest, over = grad - prior * (good.T @ _squash(zp)) / len(good), loss - prior * np.logaddexp(0, zp).mean()
+            risk = prior * np.logaddexp(0, -zp).mean() + abs(over)
+            if risk < least:
+                least, best = risk, ahead
+            if over < 0:  # the unlabelled part has gone below zero: climb back by its gradient alone
                 w = ahead = ahead + np.linalg.solve(bound, rest)
                 run = 0
                 continue
@@ -148,7 +152,7 @@ def _descend(good: np.ndarray, slope, curve: np.ndarray, prior: float | None) ->
         new = ahead - np.linalg.solve(bound, grad + pull)
         run += 1
         ahead, w = new + (new - w) * ((run - 1) / (run + 2)), new
-    return w
+    return w if prior is None else best
 
 
 def _fit(good: np.ndarray, mean: np.ndarray, scale: np.ndarray, slope, curve: np.ndarray, prior: float | None) -> Model:

@@ -53,3 +53,9 @@ def test_query_equals_sql_and_edges(spark, tmp_path):
     con.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{path}/*.parquet')")
     assert got == sorted(con.execute(placement.op5_sql()).fetchall(), key=str)
     assert placement.place(df.limit(0), "doc_id", ["a", "b"], 7).count() == 0
+
+
+def test_columns_of_any_name_come_back(spark):
+    df = spark.createDataFrame([(5, "a", "b", 1)], "slot long, row string, `_slot` string, `_shard` int")
+    (r,) = placement.place(df, "slot", ["x", "y", "z"]).collect()
+    assert r.asDict().keys() == {"row", "_slot", "_shard", "slot", "shard"} and (r.row, r._slot, r._shard) == ("a", "b", 1)

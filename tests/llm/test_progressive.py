@@ -188,3 +188,43 @@ def test_other_files_are_refused():
     for data in (b"", b"GIF89a", b"\xff\xd8\xff\xc0\x00\x0b\x08\x00\x08\x00\x08\x01\x01\x11\x00"):
         with pytest.raises(ValueError):
             media.read(data)
+
+
+def test_feature_equals_a_plain_decoder():
+    """Colours from the payload by the cosine formula in floats, without the writer, the reader or the transform of the module."""
+    text = "Some text, é, 0123; " * 40
+    raw = payload(text)
+    raw += raw[:0] + bytes(-len(raw) % 384)
+    (file,) = media.store(pa.array([text]))
+    (got, rgb) = media.features([file])[0]
+    assert got == payload(text)
+    cos = [[np.cos((2 * x + 1) * u * np.pi / 16) * (np.sqrt(1 / 8) if u == 0 else 0.5) for u in range(8)] for x in range(8)]
+    zigzag = sorted(((y, x) for y in range(8) for x in range(8)), key=lambda p: (sum(p), p[0] if sum(p) % 2 else p[1]))
+    filled = len(payload(text)) // 384  # whole units of six blocks, whose coefficients are all known
+    for m in range(filled):
+        planes = []
+        for b in range(6):
+            own = np.zeros((8, 8))
+            for value, (v, u) in zip(raw[384 * m + 64 * b : 384 * m + 64 * b + 64], zigzag):
+                own[v, u] = value + 2
+            c = np.array(cos)
+            planes.append(np.clip(np.floor(c @ own @ c.T + 0.5) + 128, 0, 255))
+        luma = np.block([[planes[0], planes[1]], [planes[2], planes[3]]])
+        blue, red = (np.kron(p, np.ones((2, 2))) - 128 for p in planes[4:])
+        want = np.clip(np.stack([luma + 1.402 * red, luma - 0.344136 * blue - 0.714136 * red, luma + 1.772 * blue], -1) + 0.5, 0, 255).astype(int)
+        assert np.abs(rgb[16 * m : 16 * m + 16].astype(int) - want).max() <= 2
+    sums = rgb.reshape(-1, 3).astype(int).sum(axis=0)
+    assert media.describe(rgb) == f"{rgb.shape[1]}x{rgb.shape[0]};{sums[0]},{sums[1]},{sums[2]};{zlib.crc32(rgb.tobytes()):08x}"
+
+
+def test_tensors_of_null_grey_and_damaged_images(spark):
+    rng = np.random.default_rng(4)
+    blocks = rng.integers(-3, 4, (6, 64))
+    grey, strip = plain_image(blocks, 3, 2, 0), plain_image(blocks[:2], 1, 2, 0)
+    (own,) = media.store(pa.array(["text"]))
+    got = media.tensors(spark.createDataFrame([(1, None), (2, grey), (3, strip), (4, own), (5, None)], "doc_id long, media binary").coalesce(1)).collect()
+    assert [(r.height, r.width) for r in got] == [(None, None), (16, 24), (16, 8), (32, 16), (None, None)]
+    assert got[0].rgb is None and len(got[1].rgb) == 16 * 24 * 3
+    for cut in (own[:40], own[: len(own) // 2], own[:-40]):
+        with pytest.raises(ValueError):
+            media.features([cut])

@@ -72,3 +72,48 @@ def test_features_of_a_text_do_not_depend_on_its_neighbours():
     together = quality.features(*common.text_bytes(pa.array(texts)))
     alone = np.concatenate([quality.features(*common.text_bytes(pa.array([t]))) for t in texts])
     assert np.array_equal(together, alone) and np.isfinite(together).all()
+
+
+def test_repeated_rows_of_an_id_count_once(spark, monkeypatch):
+    monkeypatch.setattr(quality, "POSITIVES", 50)
+    docs, labels = corpus(120, seed=3)
+    many = spark.createDataFrame(docs + docs[:2] * 300, "doc_id long, text string, score string")
+    seen = []
+    inner = quality._fit
+    monkeypatch.setattr(quality, "_fit", lambda good, *rest: seen.append(len(good)) or inner(good, *rest))
+    quality.train(many, spark.createDataFrame(labels, "doc_id long, quality int, toxic int"))
+    assert 0 < seen[0] <= 50
+
+
+def plain_risk(model, good, any_, w, b):
+    """(the positives' part, the unlabelled part) of the unbiased risk, written out."""
+    zp, zu = (np.clip((x - model.mean) / model.scale, -8, 8) @ w + b for x in (good, any_))
+    return 0.5 * np.logaddexp(0, -zp).mean(), np.logaddexp(0, zu).mean() - 0.5 * np.logaddexp(0, zp).mean()
+
+
+def test_steps_reach_the_least_risk():
+    """Classes that overlap, so that the least risk is inside: random moves from the end point find nothing clearly better."""
+    rng = np.random.default_rng(2)
+    good, any_ = rng.normal(0.3, 1, (3000, 3)), np.concatenate([rng.normal(0.3, 1, (2000, 3)), rng.normal(-0.3, 1, (2000, 3))])
+    model = quality.fit(good.astype(np.float32), any_.astype(np.float32), 0.5)
+    best = sum(plain_risk(model, good, any_, model.weights, model.bias))
+    assert plain_risk(model, good, any_, model.weights, model.bias)[1] > 0
+    for s in (0.01, 0.1, 0.5):
+        for _ in range(200):
+            first, rest = plain_risk(model, good, any_, model.weights + rng.normal(0, s, 3), model.bias + rng.normal(0, s))
+            assert first + max(0, rest) > best - 2e-3
+
+
+def test_the_unlabelled_part_never_stays_below_zero():
+    rng = np.random.default_rng(3)
+    for apart in (0.7, 2.0, 4.0):
+        good, any_ = rng.normal(apart, 1, (100, 5)), np.concatenate([rng.normal(apart, 1, (200, 5)), rng.normal(-apart, 1, (200, 5))])
+        model = quality.fit(good.astype(np.float32), any_.astype(np.float32), 0.5)
+        first, rest = plain_risk(model, good, any_, model.weights, model.bias)
+        assert first < 0.12 and -0.02 < rest < 0.12
+
+
+def test_columns_of_any_name_come_back(spark):
+    docs = spark.createDataFrame([(1, "some text", "mine", 2)], "doc_id long, text string, `_score` string, row int")
+    none = spark.createDataFrame([], "doc_id long, quality int")
+    assert quality.keep_good(docs, none).collect() == docs.collect()

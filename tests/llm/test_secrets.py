@@ -60,3 +60,18 @@ def test_redaction_keeps_the_rest(spark):
     got = sorted((r.doc_id, r.text, r.n_chars) for r in secrets.redact(df).collect() if r.text)
     assert got == [(1, "a [assign] b", 12), (1, "a [assign] b", 12), (3, "clean", 5)]
     assert secrets.redact(df).count() == 4
+
+
+def test_a_later_batch_scans_only_blobs_that_are_new(spark):
+    df = rows(spark, ["token=abcdef", "token=abcdef", "token=abcdef", "other", "other", "fresh"] * 5)
+    versions, ledger = secrets.history(df, batches=3)
+    assert versions.count() == 30
+    assert ledger.count() == 9 == ledger.select("blob", "kind", "version").distinct().count()
+    assert sum(len(r.spans) for r in secrets.findings(versions, ledger).collect()) == 15
+
+
+def test_redaction_keeps_columns_of_any_name(spark):
+    names = ["path", "blob", "spans", "_blob", "row", "own", "id"]
+    df = spark.createDataFrame([(1, "a token=abcdef b", *names)], "doc_id long, text string, " + ", ".join(f"`{n}` string" for n in names))
+    (got,) = secrets.redact(df).collect()
+    assert tuple(got) == (1, "a [assign] b", *names)

@@ -120,3 +120,9 @@ def test_stage_links_what_shares_four_fifths_of_its_shingles(spark):
         first.setdefault(x, k)
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
     assert sorted(r.doc_id for r in simhash.keep_one(df).collect()) == sorted(first.values())
+
+
+def test_kept_rows_keep_columns_of_any_name(spark):
+    names = ["_id", "_tie", "_own", "tie", "hash", "root", "row", "id"]
+    df = spark.createDataFrame([(k, "one two three four five six", *names) for k in (4, 2, 2)], "doc_id long, text string, " + ", ".join(f"`{n}` string" for n in names))
+    assert [tuple(r) for r in simhash.keep_one(df).collect()] == [(2, "one two three four five six", *names)]

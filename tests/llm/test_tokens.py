@@ -45,3 +45,14 @@ def test_memory_of_runs_is_bounded(library, monkeypatch):
 
 def test_empty_table(spark):
     assert tokens.count_tokens(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_odd_words_leave_nothing_in_the_store(library):
+    import pyarrow as pa
+
+    encoder = tokens.Encoder(tokens.vocabulary())
+    for k in range(4):
+        texts = [f"日本語 テキスト {k} it's"] * 50
+        ids, where = encoder.encode(*common.text_bytes(pa.array(texts)))
+        assert ids[: where[1]].tolist() == library.encode(texts[0], add_special_tokens=False).ids
+        assert len(encoder.store) < 20
