@@ -38,18 +38,18 @@ def assign_summary(summary: DataFrame, centres: C.Centres, capacity: float, r: f
 
 
 def extend(points: DataFrame, built: S.Summary, assigned: DataFrame, centres: C.Centres, transfer: bool = True) -> DataFrame:
-    """points with level, j: every input row's centre. Only tables of the summary's size are broadcast or joined with the points' leaves."""
+    """points with level, j: every input row's centre. Heavy cells, parts and tallies, whose number the guess bounds, go to the points; no point moves."""
     params, grid, k = built.params, built.grid, len(centres)
     part_key = ["level", *(f"p{m}" for m in range(grid.d))]
-    leaves = partition.leaf_counts(points, grid)
-    routed = partition.leaf_levels(leaves, partition.cell_counts(leaves, grid), grid, params)
     ends = halfspace.derive(assigned, centres, params.r)
     tally = halfspace.tallies(halfspace.regions(assigned, ends, centres, params.r), k, part_key)
     sizes = S.important_parts(built.parts, params).select(*part_key, "size")
-    keyed = points.select("*", *grid.leaf([f"x{m}" for m in range(grid.d)])).join(routed, grid.names, "left").drop(*grid.names)
-    placed = halfspace.regions(keyed, ends, centres, params.r).join(sizes, part_key, "left")
+    rows = partition.held(built.heavy, grid)
+    small = F.broadcast if rows is not None else (lambda df: df)  # no more parts than heavy cells
+    keyed = partition.routed_points(points, built.heavy, grid, rows)
+    placed = halfspace.regions(keyed, ends, centres, params.r).join(small(sizes), part_key, "left")
     if transfer:
-        moved = halfspace.transfer(placed, tally, k, part_key, 2 * params.xi * F.col("size"))
+        moved = halfspace.transfer(placed, small(tally), k, part_key, 2 * params.xi * F.col("size"))
     else:
         moved = placed.withColumn("j", F.when(F.col("region") > 0, F.col("region") - 1).cast("int"))
     near = C.nearest(moved.withColumnRenamed("j", "own"), centres, params.r).withColumnRenamed("j", "near")

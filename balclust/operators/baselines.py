@@ -24,12 +24,14 @@ def uniform_sample(points: DataFrame, rate: float, h: P.Hash, d: int) -> DataFra
 
 def parts_of(points: DataFrame, grid: P.Grid, params: Params) -> DataFrame:
     """points with level, p0.., size of their part."""
-    leaves = partition.leaf_counts(points, grid)
-    cells = partition.cell_counts(leaves, grid)
-    routed = partition.leaf_levels(leaves, cells, grid, params)
+    cells = partition.cell_counts(partition.leaf_counts(points, grid), grid)
     key = ["level", *(f"p{m}" for m in range(grid.d))]
-    sizes = partition.part_sizes(partition.mark_exact(cells, grid, params), grid)
-    return points.select("*", *grid.leaf([f"x{m}" for m in range(grid.d)])).join(routed, grid.names).drop(*grid.names).join(sizes, key)
+    heavy = partition.heavy_cells(cells, params).select("level", *grid.key_names, "n")
+    rows = partition.held(heavy, grid)
+    if rows is not None:
+        heavy = partition.frame(points.sparkSession, rows, grid)
+    sizes = partition.parts_of_cells(heavy, grid)
+    return partition.routed_points(points, heavy, grid, rows).join(sizes if rows is None else F.broadcast(sizes), key)
 
 
 def plain_coreset(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash, budget: int) -> DataFrame:

@@ -25,6 +25,26 @@ def estimate_cells(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash, w
     ).withColumn("estimate", F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()}))
 
 
+def sampled_cells(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash) -> DataFrame:
+    """level, k0.., n: estimated sizes of the cells that a sampled point lies in. Only sampled points are expanded by level, and nothing else is counted."""
+    coordinates = [f"x{m}" for m in range(grid.d)]
+    cut = {i: P.threshold(params.size_rates(i)[0]) for i in range(-1, params.levels + 1)}
+    hit = points.withColumn("h", P.poly_hash(["tag", *coordinates], h)).where(F.col("h") < max(cut.values())).select(*grid.leaf(coordinates), "h")
+    each = hit.select("*", F.explode(F.array(*(F.lit(i) for i in cut))).alias("level")).where(F.col("h") < partition.by_level("level", cut))
+    counted = each.groupBy("level", *(k.alias(n) for k, n in zip(grid.keys(F.col("level")), grid.key_names, strict=True))).agg(F.count("*").alias("hits"))
+    return counted.select("level", *grid.key_names, (F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()})).alias("n"))
+
+
+def sampled_parts(points: DataFrame, heavy: DataFrame, grid: P.Grid, params: Params, h: P.Hash, rows: list | None = None) -> DataFrame:
+    """level, p0.., size: estimated sizes of the parts that a sampled point lies in."""
+    coordinates = [f"x{m}" for m in range(grid.d)]
+    cut = {i: P.threshold(params.size_rates(i)[1]) for i in range(params.levels + 1)}
+    hit = points.withColumn("h", P.poly_hash(["tag", *coordinates], h)).where(F.col("h") < max(cut.values()))
+    each = partition.routed_points(hit, heavy, grid, rows).where(F.col("h") < partition.by_level("level", cut))
+    counted = each.groupBy("level", *(f"p{m}" for m in range(grid.d))).agg(F.count("*").alias("hits"))
+    return counted.select("level", *(f"p{m}" for m in range(grid.d)), (F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()})).alias("size"))
+
+
 def good_cells(cells: DataFrame, params: Params) -> DataFrame:
     """cells with good: within a tenth of the level's threshold, or within one per cent."""
     limit = {i: 0.1 * t for i, t in partition.thresholds(params).items()}

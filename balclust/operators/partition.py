@@ -83,11 +83,67 @@ def part_sizes(marked: DataFrame, grid: Grid) -> DataFrame:
 
 def leaf_levels(leaves: DataFrame, cells: DataFrame, grid: Grid, params: Params) -> DataFrame:
     """c0.., level, p0..: the part of each leaf, one level below its deepest heavy cell; leaves without one are left out."""
-    heavy = heavy_cells(cells, params).select("level", *grid.key_names)
+    return deepest(leaves, heavy_cells(cells, params), grid)
+
+
+def deepest(leaves: DataFrame, heavy: DataFrame, grid: Grid) -> DataFrame:
+    """The same for heavy cells however found."""
     levels = F.explode(F.array(*(F.lit(i) for i in range(-1, grid.levels)))).alias("level")
     each = leaves.select(*grid.names, levels).withColumns(dict(zip(grid.key_names, grid.keys(F.col("level")), strict=True)))
-    deepest = each.join(heavy, ["level", *grid.key_names], "left_semi").groupBy(*grid.names).agg((F.max("level") + 1).alias("level"))
-    return deepest.withColumns({f"p{m}": F.call_function("shiftright", F.col(f"c{m}"), (F.lit(grid.levels) - F.col("level") + 1).cast("int")) for m in range(grid.d)})
+    found = each.join(heavy.select("level", *grid.key_names), ["level", *grid.key_names], "left_semi").groupBy(*grid.names).agg((F.max("level") + 1).alias("level"))
+    return found.withColumns({f"p{m}": F.call_function("shiftright", F.col(f"c{m}"), (F.lit(grid.levels) - F.col("level") + 1).cast("int")) for m in range(grid.d)})
+
+
+#: Heavy cells that routing broadcasts; of more, points are joined with their leaves instead.
+BROADCAST_CELLS = 100_000
+
+
+def held(heavy: DataFrame, grid: Grid, most: int = BROADCAST_CELLS) -> list | None:
+    """The heavy cells (level, k0.., n) as rows on the driver, or None where there are more than so many."""
+    rows = heavy.select("level", *grid.key_names, "n").limit(most + 1).collect()
+    return None if len(rows) > most else rows
+
+
+def frame(spark, rows: list, grid: Grid) -> DataFrame:
+    """level, k0.., n of cells at hand."""
+    return spark.createDataFrame([tuple(r) for r in rows], f"level int, {', '.join(f'{k} long' for k in grid.key_names)}, n {'double' if any(isinstance(r['n'], float) for r in rows) else 'long'}")
+
+
+def route(points: DataFrame, rows: list, grid: Grid) -> DataFrame:
+    """points (x0..) with level and p0..: the part one level below the deepest heavy cell; points without one are left out.
+
+    rows: the heavy cells, each with its parent, so that a point's depth is the number of heavy cells it lies in: one small broadcast
+    look-up for each level that has any, and no shuffle of the points, however many share a leaf.
+    """
+    spark, by = points.sparkSession, {}
+    for r in rows:
+        by.setdefault(r["level"], []).append(tuple(r[k] for k in grid.key_names))
+    out, depth = points.select("*", *grid.leaf([f"x{m}" for m in range(grid.d)])), F.lit(0)
+    for level in sorted(by):
+        cells = spark.createDataFrame([(*k, 1) for k in by[level]], ", ".join(f"_h{m} long" for m in range(grid.d)) + f", _in{level + 1} int")
+        on = [F.expr(f"shiftright(c{m}, {grid.levels - level})") == F.col(f"_h{m}") for m in range(grid.d)]
+        out = out.join(F.broadcast(cells), on, "left").drop(*(f"_h{m}" for m in range(grid.d)))
+        depth = depth + F.coalesce(F.col(f"_in{level + 1}"), F.lit(0))
+    out = out.withColumn("level", (depth - 1).cast("int")).drop(*(f"_in{level + 1}" for level in by)).where("level >= 0")
+    parent = {f"p{m}": F.call_function("shiftright", F.col(f"c{m}"), (F.lit(grid.levels + 1) - F.col("level")).cast("int")) for m in range(grid.d)}
+    return out.withColumns(parent).drop(*grid.names)
+
+
+def routed_points(points: DataFrame, heavy: DataFrame, grid: Grid, rows: list | None = None) -> DataFrame:
+    """points with level and p0.. as route gives, by broadcast where the heavy cells are few, else by a join over their leaves."""
+    rows = held(heavy, grid) if rows is None else rows
+    if rows is not None:
+        return route(points, rows, grid)
+    keyed = points.select("*", *grid.leaf([f"x{m}" for m in range(grid.d)]))
+    leaves = keyed.select(*grid.names).distinct()
+    return keyed.join(deepest(leaves, heavy, grid), grid.names).drop(*grid.names)
+
+
+def parts_of_cells(heavy: DataFrame, grid: Grid) -> DataFrame:
+    """level, p0.., size of all parts from the heavy cells alone: what a heavy cell holds less what its heavy children hold."""
+    up = heavy.select((F.col("level") + 1).alias("level"), *(F.col(k).alias(f"p{m}") for m, k in enumerate(grid.key_names)), F.col("n").alias("size"))
+    down = heavy.where("level >= 0").select("level", *(F.expr(f"shiftright({k}, 1)").alias(f"p{m}") for m, k in enumerate(grid.key_names)), (-F.col("n")).alias("size"))
+    return up.unionByName(down).groupBy("level", *(f"p{m}" for m in range(grid.d))).agg(F.sum("size").alias("size")).where("size > 0")
 
 
 def level_masses(parts: DataFrame) -> DataFrame:

@@ -87,4 +87,4 @@ def solve(summary: DataFrame, k: int, capacity: float, r: float, d: int, eta: fl
     t = (1 + eta) * capacity
     found = [alternate(x[:, :d], w, k, t, r, seed_=s) for s in range(1, seeds + 1)]
     z, best = min(found, key=lambda f: f[1])
-    return local_search(x[:, :d], w, z, t, r) if np.isfinite(best) and len(x) <= 5_000 else (z, best)
+    return local_search(x[:, :d], w, z, t, r) if np.isfinite(best) else (z, best)

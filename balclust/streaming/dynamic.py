@@ -138,15 +138,99 @@ def counted(updates: DataFrame) -> DataFrame:
     return updates.groupBy("tag", "x0", "x1").transformWithStateInPandas(Counter(), "tag long, x0 long, x1 long, n long", "Update", "None")
 
 
-def sketched_summary(spark: SparkSession, sketches: DataFrame, points: DataFrame, grid: P.Grid, params, shape: cellstore.Shape, h: P.Hash) -> coreset.Summary | None:
-    """The summary from decoded exact leaf sketches (family 'leaf'); None where a sketch fails. points: survivors, for the sample alone."""
-    rows = sketches.where("family = 'leaf'").collect()  # at most shape.rows rows
-    found = cellstore.decoded(spark, rows, shape, grid.d, grid.levels + 1)
-    if found is None:
-        return None
-    leaves = found.select(*(F.col(k).alias(c) for k, c in zip(grid.key_names, grid.names, strict=True)), "n")
-    cells = partition.cell_counts(leaves, grid)
-    marked = partition.mark_exact(cells, grid, params)
-    parts = partition.part_sizes(marked, grid)
-    routed = partition.leaf_levels(leaves, cells, grid, params)
-    return coreset.Summary(params, grid, marked.where("kind = 'heavy'"), parts, coreset.sample(points, routed, parts, grid, params, h))
+#: Bits of a tag in a stored point.
+TAG_BITS = 32
+
+
+def point_key(grid: P.Grid) -> Column:
+    """One 62-bit number of a tagged point: tag, then coordinates."""
+    return cellstore.pack([F.col("tag"), *(F.col(f"x{m}") for m in range(grid.d))], grid.levels + 1)
+
+
+def sketch_cuts(params) -> dict[tuple[str, int], int]:
+    """Threshold of each family and level: sizes of cells (levels from -1), sizes of parts, and points of the summary."""
+    cells = {("cells", i): P.threshold(params.size_rates(i)[0]) for i in range(-1, params.levels + 1)}
+    parts = {("parts", i): P.threshold(params.size_rates(i)[1]) for i in range(params.levels + 1)}
+    return cells | parts | {("points", i): cut for i, cut in coreset.rates(params).items()}
+
+
+def summary_updates(updates: DataFrame, grid: P.Grid, params, hashes: dict[str, P.Hash]) -> DataFrame:
+    """family, level, key, sign of all three families at all levels; an update that no threshold takes has no row.
+
+    The cells of a level are kept by their keys. For parts and for the summary's points the sampled points themselves are kept, since which
+    part a point is in is known only at the end of the stream. Levels of one family and threshold share the rows of the first of them.
+    """
+    coordinates = [f"x{m}" for m in range(grid.d)]
+    if grid.d * (grid.levels + 1) + TAG_BITS > 62:
+        raise ValueError("a tagged point does not fit into a key of the sketch")
+    cuts = sketch_cuts(params)
+    keyed = updates.select("op", "tag", *coordinates, *grid.leaf(coordinates), *(P.poly_hash(["tag", *coordinates], h).alias(f"h_{name}") for name, h in hashes.items()))
+    taken, seen = [], set()
+    for (family, level), cut in cuts.items():
+        if family != "cells" and (family, cut) in seen:
+            continue
+        seen.add((family, cut))
+        key = cellstore.pack(grid.keys(level), grid.levels + 2) if family == "cells" else point_key(grid)
+        taken.append(F.when(F.col(f"h_{family}") < cut, F.struct(F.lit(family).alias("family"), F.lit(level).alias("level"), key.alias("key"))))
+    each = keyed.select(F.col("op").cast("long").alias("sign"), F.explode(F.filter(F.array(*taken), lambda x: x.isNotNull())).alias("u"))
+    return each.select("u.family", "u.level", "u.key", "sign")
+
+
+def sketched_summary(spark: SparkSession, sketches: DataFrame, grid: P.Grid, params, shape: cellstore.Shape) -> coreset.Summary | None:
+    """The summary from decoded sketches of summary_updates alone: no survivor is kept. None where a sketch that is needed fails.
+
+    sketches: family, level, rep, bucket and sums; their number of rows is the shape's for each family and level.
+    """
+    cuts, found = sketch_cuts(params), {}
+    rows: dict[tuple[str, int], list] = {}
+    for r in sketches.collect():  # families x levels x shape.rows rows at most
+        rows.setdefault((r["family"], r["level"]), []).append(r)
+    for key, own in rows.items():
+        found[key] = cellstore.decode(own, shape)
+    by_cut: dict[tuple[str, int], tuple[str, int]] = {}
+    for (family, level), cut in cuts.items():
+        by_cut.setdefault((family, cut), (family, level))
+
+    def kept(family: str, level: int) -> dict[int, int] | None:
+        return found.get(by_cut[family, cuts[family, level]] if family != "cells" else (family, level), {})
+
+    limit, bits = partition.thresholds(params), grid.levels + 2
+    parents, heavy = None, []
+    for level in range(-1, params.levels):
+        cells = kept("cells", level)
+        if cells is None:
+            return None
+        scale, own = P.FIELD / cuts["cells", level], set()
+        for key, n in cells.items():
+            place = cellstore.unpack(key, grid.d, bits)
+            if n * scale >= limit[level] and (parents is None or tuple(k >> 1 for k in place) in parents):
+                own.add(place)
+                heavy.append((level, *place, float(n * scale)))
+        parents = own
+        if not own:
+            break
+    names = ["tag", *(f"x{m}" for m in range(grid.d))]
+
+    def points(family: str, level: int) -> DataFrame | None:
+        held = kept(family, level)
+        if held is None:
+            return None
+        table = [(key >> (grid.d * (grid.levels + 1)), *cellstore.unpack(key & ((1 << grid.d * (grid.levels + 1)) - 1), grid.d, grid.levels + 1)) for key in held]
+        return spark.createDataFrame(table, ", ".join(f"{n} long" for n in names))
+
+    cells = spark.createDataFrame(heavy, f"level int, {', '.join(f'{k} long' for k in grid.key_names)}, n double")
+    cell_rows = cells.collect()
+    sizes, sampled = None, None
+    weight = {i: P.FIELD / cut for i, cut in coreset.rates(params).items()}
+    for level in sorted({h[0] + 1 for h in heavy}):
+        part, core = points("parts", level), points("points", level)
+        if part is None or core is None:
+            return None
+        key = ["level", *(f"p{m}" for m in range(grid.d))]
+        one = partition.route(part, cell_rows, grid).where(F.col("level") == level).groupBy(*key).agg((F.count("*") * F.lit(P.FIELD / cuts["parts", level])).alias("size"))
+        two = partition.route(core, cell_rows, grid).where(F.col("level") == level).select(*names, *key, F.lit(weight[level]).alias("w"))
+        sizes, sampled = (one, two) if sizes is None else (sizes.unionByName(one), sampled.unionByName(two))
+    if sizes is None:
+        return coreset.Summary(params, grid, cells, partition.parts_of_cells(cells, grid), points("points", params.levels).withColumn("w", F.lit(1.0)).limit(0))
+    some = coreset.important_parts(sizes, params)
+    return coreset.Summary(params, grid, cells, sizes, sampled.join(F.broadcast(some.drop("size")), ["level", *(f"p{m}" for m in range(grid.d))]).select(*names, "level", *(f"p{m}" for m in range(grid.d)), "w"))
