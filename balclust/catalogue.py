@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from balclust import queries_methods, queries_relational, queries_streaming  # noqa: F401  (they fill the register)
+from balclust import queries_measures, queries_methods, queries_relational, queries_streaming  # noqa: F401  (they fill the register)
 from balclust import register
 from balclust import workloads as WL
 

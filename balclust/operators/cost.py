@@ -50,14 +50,15 @@ def order_key(coordinates: Sequence[str], a: Sequence[int], b: Sequence[int], r:
 def two_centre_sweep(df: DataFrame, a: Sequence[int], b: Sequence[int], r: float = 2, buckets: int = 64) -> DataFrame:
     """m, cost: the cost of sending the first m points of the order to a and the others to b, for every m at which the difference changes.
 
-    Points of one difference count alike, so differences are counted first; running sums are taken within range-partitioned buckets of
-    differences and then over the buckets, never over all rows in one task.
+    Points of one difference count alike, so differences are counted first; running sums are taken within buckets of about equally many
+    differences, by their quantiles, and then over the buckets, never over all rows in one task.
     """
     coordinates = [f"x{m}" for m in range(len(a))]
     diff = (P.dist_r(P.sqdist(coordinates, a), r) - P.dist_r(P.sqdist(coordinates, b), r)).alias("diff")
     to_b = P.dist_r(P.sqdist(coordinates, b), r).alias("to_b")
     counted = df.select(diff, to_b).groupBy("diff").agg(F.count("*").alias("n"), F.sum("to_b").alias("to_b"))
-    split = counted.withColumn("bucket", F.floor(F.col("diff") / F.lit(1 << 40 if r == 2 else 10**9)))
+    edges = counted.agg(F.percentile_approx("diff", [k / buckets for k in range(1, buckets)], 10 * buckets)).first()[0] or []
+    split = counted.withColumn("bucket", F.size(F.filter(F.lit(sorted(set(edges))), lambda e: e < F.col("diff"))) if edges else F.lit(0))
     inner = W.partitionBy("bucket").orderBy("diff")
     part = split.withColumns({"m": F.sum("n").over(inner), "moved": F.sum(F.col("n") * F.col("diff")).over(inner)})
     totals = split.groupBy("bucket").agg(F.sum("n").alias("bn"), F.sum(F.col("n") * F.col("diff")).alias("bd"), F.sum("to_b").alias("bb"))
@@ -105,6 +106,26 @@ def bottleneck(df: DataFrame, centres: Centres, radius: int) -> DataFrame:
     return each.agg(F.count(F.when(F.col("cost") > radius, 1)).alias("n_far"))
 
 
+def _after(counted: DataFrame, column: str, skip: int) -> int:
+    """The value of the (skip + 1)-th largest entry of a histogram (column, n); 0 if there are no more."""
+    down = W.orderBy(F.col(column).desc())  # values of a lattice's squared distances: as many as its sides allow, not as there are points
+    found = counted.withColumn("upto", F.sum("n").over(down)).where(F.col("upto") > skip).agg(F.max(column)).first()[0]
+    return 0 if found is None else int(found)
+
+
+def two_centre_bottleneck(df: DataFrame, a: Sequence[int], b: Sequence[int], capacities: Sequence[int]) -> DataFrame:
+    """t, radius: the least squared radius within which all points can be assigned under each capacity t (r without bound); null if 2 t points are too few.
+
+    Points out of b's reach are a's, and the other way round; both must fit, and every point must be in reach of one.
+    """
+    coordinates = [f"x{m}" for m in range(len(a))]
+    both = df.select(P.sqdist(coordinates, a).cast("long").alias("da"), P.sqdist(coordinates, b).cast("long").alias("db"))
+    n, least = both.agg(F.count("*"), F.max(F.least("da", "db"))).first()
+    hist = {c: both.groupBy(c).agg(F.count("*").alias("n")) for c in ("da", "db")}
+    rows = [(int(t), max(least, _after(hist["da"], "da", t), _after(hist["db"], "db", t)) if 2 * t >= n and n else None) for t in capacities]
+    return df.sparkSession.createDataFrame(rows, "t long, radius long")
+
+
 #: Rows of a summary that the driver takes; more than that is an error, not a cut.
 MOST = 2_000_000
 

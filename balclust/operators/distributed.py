@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from balclust.functions import points as P
-from balclust.operators import partition
+from balclust.operators import coreset, partition
 
 
 def local_cells(points: DataFrame, grid: P.Grid, level: int) -> DataFrame:
@@ -61,3 +61,21 @@ def leaves_of_machines(points: DataFrame, grid: P.Grid) -> DataFrame:
 
 def cells_of_machines(points: DataFrame, grid: P.Grid) -> DataFrame:
     return partition.cell_counts(leaves_of_machines(points, grid), grid)
+
+
+def summary(points: DataFrame, grid: P.Grid, params, h: P.Hash) -> tuple[coreset.Summary, DataFrame]:
+    """(the summary that the coordinator makes, machine, n_leaves, n_points and bits of each machine). points: machine, x0.., tag.
+
+    Each machine sends its leaves with their counts; the coordinator adds them up, and sends the heavy cells to all; each machine then sends those of its
+    points that lie in important parts and that the shared hash samples. Which machine holds a point changes nothing.
+    """
+    local = local_cells(points, grid, grid.levels)
+    merged = merged_cells(local, grid).select(*(F.col(k).alias(c) for k, c in zip(grid.key_names, grid.names, strict=True)), "n")
+    made = coreset.from_cells(points.drop("machine"), partition.cell_counts(merged, grid), grid, params, h)
+    names = [f"x{m}" for m in range(grid.d)]
+    sent = points.select("machine", "tag", *names).join(made.coreset.select("tag", *names), ["tag", *names], "left_semi").groupBy("machine").agg(F.count("*").alias("n_points"))
+    counter = F.length(F.bin(F.col("held"))).cast("long")
+    up = local.groupBy("machine").agg(F.count("*").alias("n_leaves"), F.sum("n").alias("held")).join(sent, "machine", "left")
+    n_heavy = made.heavy.count()
+    bits = F.col("n_leaves") * (cell_bits(grid) + counter) + F.col("n_points") * (cell_bits(grid) + 64) + F.lit(n_heavy * cell_bits(grid))
+    return made, up.withColumn("n_points", F.coalesce("n_points", F.lit(0)).cast("long")).select("machine", "n_leaves", "n_points", bits.cast("long").alias("bits"))

@@ -11,6 +11,7 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window as W
 
 from balclust.functions import points as P
 from balclust.operators.cost import Centres
@@ -76,3 +77,15 @@ def transfer(df: DataFrame, tally: DataFrame, k: int, by: Sequence[str], least:
     own = reduce(lambda rest, i: F.when(F.col("region") == i, F.col(f"b{i}")).otherwise(rest), range(1, k + 1), F.lit(None).cast("double"))
     stays = (F.col("region") > 0) & (own >= least)
     return met.withColumn("j", F.when(F.col("b0").isNull(), None).when(stays, F.col("region") - 1).otherwise(fullest - 1).cast("int")).drop(*(f"b{i}" for i in range(k + 1)))
+
+
+def exchange_ties(assigned: DataFrame, a: Sequence[int], b: Sequence[int], r: float, by: Sequence[str] = ("level",)) -> DataFrame:
+    """assigned (x0.., tag, j of 0 or 1) with points of one difference exchanged until the lexicographically smaller ones are with the first centre; costs and sizes stay.
+
+    Points of one difference lie on one curve of the lattice; their places are ranks within it.
+    """
+    coordinates = [f"x{m}" for m in range(len(a))]
+    diff = P.dist_r(P.sqdist(coordinates, a), r) - P.dist_r(P.sqdist(coordinates, b), r)
+    tie = W.partitionBy(*by, "_diff")
+    ranked = assigned.withColumn("_diff", diff).withColumn("_first", F.sum((F.col("j") == 0).cast("long")).over(tie)).withColumn("_rank", F.row_number().over(tie.orderBy(*coordinates, "tag")))
+    return ranked.withColumn("j", F.when(F.col("_rank") <= F.col("_first"), 0).otherwise(1).cast("int")).drop("_diff", "_first", "_rank")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import time
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -61,6 +62,23 @@ def transfer_overhead(before: DataFrame, after: DataFrame, key: list[str], k: in
     return out.select("moved", (16 * k * xi * F.col("n")).alias("moved_bound"), (F.col("c1") / F.col("c0")).alias("cost_factor"))
 
 
+def purity(assigned: DataFrame, label: str) -> DataFrame:
+    """j, size, most (rows of the commonest label), purity of each cluster."""
+    counts = assigned.groupBy("j", label).agg(F.count("*").alias("n"))
+    return counts.groupBy("j").agg(F.sum("n").alias("size"), F.max("n").alias("most")).withColumn("purity", F.col("most") / F.col("size"))
+
+
+def timed_sweep(points: DataFrame, eighths: tuple[int, ...], run) -> DataFrame:
+    """eighths, n, seconds: how long run(points) takes, all of its rows made, on growing shares of the points by their tags."""
+    rows = []
+    for f in eighths:
+        part = points.where(F.col("tag") % 8 < f)
+        n, began = part.count(), time.perf_counter()
+        run(part).write.format("noop").mode("overwrite").save()
+        rows.append((f, n, time.perf_counter() - began))
+    return points.sparkSession.createDataFrame(rows, "eighths int, n long, seconds double")
+
+
 def residue(points_in_parts: DataFrame, important: DataFrame, key: list[str]) -> DataFrame:
     """n_left, share_left: points outside important parts."""
     n = points_in_parts.agg(F.count("*").alias("n"))

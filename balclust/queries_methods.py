@@ -256,7 +256,11 @@ def good_cells(s, sf):
     return estimate.good_cells(estimates(s, sf), i.params).groupBy("level").agg(F.count("*").alias("n_cells"), F.count_if("good").alias("n_good"))
 
 
-@query("m19_good_parts")
+_OFF_PARTS = {j: 0.1 * WL.W04.params.gamma * WL.W04.params.cell_threshold(j) for j in range(11)}
+_PART_CUT = {j: P.threshold(WL.W04.params.size_rates(j)[1]) for j in range(11)}
+
+
+@query("m19_good_parts", O.chain(WL.W04, *O.UP_TO_PARTS)[:-1] + f", {O.hashed(WL.W04, WL.W04.part_hash, 'routed', 'hashed')}, e AS (SELECT level, p0, p1, count(*) AS size, count(CASE WHEN h < {O.case('level', _PART_CUT)} THEN 1 END) * {O.case('level', {j: P.FIELD / t for j, t in _PART_CUT.items()})} AS estimate FROM hashed GROUP BY level, p0, p1) SELECT level, count(*) AS n_parts, count(CASE WHEN abs(estimate - size) <= {O.case('level', _OFF_PARTS)} OR abs(estimate - size) <= 0.1 * size THEN 1 END) AS n_good FROM e GROUP BY level")
 def good_parts(s, sf):
     i = WL.W04
     p = pts(s, sf, i)
@@ -415,9 +419,9 @@ def tie_exchange(s, sf):
 def tied_swap_pairs(s, sf):
     """Pairs that the tie exchange would swap, of an assignment that ignores the order: equal differences, later point at the earlier centre."""
     diff = P.sqdist(["x0", "x1"], WL.W04.centres[0]) - P.sqdist(["x0", "x1"], WL.W04.centres[1])
-    a = built(s, sf, WL.W04).coreset.select("level", diff.alias("diff"), F.struct("x0", "x1", "tag").alias("at"), (F.col("tag") % 2).alias("j"))
-    p, q = a.where("j = 0").select("level", "diff", "at"), a.where("j = 1").select("level", "diff", F.col("at").alias("other"))
-    return p.join(q, ["level", "diff"]).where("other < at").groupBy("level").agg(F.count("*").alias("n"))
+    a = built(s, sf, WL.W04).coreset.select("level", diff.alias("diff"), "x0", "x1", "tag", (F.col("tag") % 2).alias("j"))
+    before = W.partitionBy("level", "diff").orderBy("x0", "x1", "tag").rowsBetween(W.unboundedPreceding, -1)
+    return a.withColumn("earlier", F.coalesce(F.sum("j").over(before), F.lit(0))).where("j = 0 AND earlier > 0").groupBy("level").agg(F.sum("earlier").alias("n"))
 
 
 @query("theta_separator_violations", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", a AS (SELECT level, {_PLACE4} AS j, ({O.dist(WL.ORD.coordinates, WL.W04.centres[0], 2)}) - ({O.dist(WL.ORD.coordinates, WL.W04.centres[1], 2)}) AS diff FROM core), e AS (SELECT level, max(CASE WHEN j = 0 THEN diff END) AS last FROM a GROUP BY level) SELECT level, count(*) AS n FROM a JOIN e USING (level) WHERE j = 1 AND diff < last GROUP BY level")
@@ -561,20 +565,22 @@ def tree_merge(s, sf):
     return distributed.tree_merge(distributed.local_cells(_machines(s, sf), WL.W01.grid, 5), WL.W01.grid)
 
 
-def _bits_query(name, spec, key, sql_key, machines):
-    @query(name)
+def _bits_query(name, i, key, by, machines):
+    """by: the number that deals the rows to machines, alike in both engines."""
+    sizes = f"SELECT n.n AS machines, ({by}) % n.n AS machine, c0 >> 5 AS k0, c1 >> 5 AS k1, count(*) AS c FROM leaf, (SELECT unnest({list(machines)})::INTEGER AS n) n GROUP BY ALL"
+
+    @query(name, f"WITH {O.points(i.spec, (key,) if key != i.spec.key else ())}, {O.leaves(i)}, loc AS ({sizes}), per AS (SELECT machines, machine, count(*) * (22 + length(bin(sum(c)::BIGINT))) + coalesce(sum(CASE WHEN c <= 3 THEN c END), 0) * 22 AS bits FROM loc GROUP BY machines, machine) SELECT machines, sum(bits)::BIGINT AS bits FROM per GROUP BY machines")
     def run(s, sf):
         out = None
         for n in machines:
-            i = WL.W01 if spec is WL.LI2 else WL.W04
-            m = WL.load(s, sf, spec, (key,) if key != spec.key else ()).withColumn("machine", (F.pmod(F.hash(key), F.lit(n)) if key == "o_orderpriority" else F.pmod(key, F.lit(n))).cast("int"))
+            m = WL.load(s, sf, i.spec, (key,) if key != i.spec.key else ()).withColumn("machine", F.pmod(F.expr(by), F.lit(n)).cast("int"))
             one = distributed.messages(distributed.local_cells(m, i.grid, 5), i.grid, 10**6, 3).agg(F.lit(n).alias("machines"), F.sum("bits").alias("bits"))
             out = one if out is None else out.unionByName(one)
         return out
 
 
-_bits_query("w09_bits_by_machines", WL.LI2, "l_orderkey", "", (1, 2, 4, 8, 16))
-_bits_query("w10_bits_skewed_machines", WL.ORD, "o_orderpriority", "", (1, 5))
+_bits_query("w09_bits_by_machines", WL.W01, "l_orderkey", "l_orderkey", (1, 2, 4, 8, 16))
+_bits_query("w10_bits_skewed_machines", WL.W04, "o_orderpriority", "ascii(o_orderpriority)", (1, 5))
 
 
 @query("m41_solve_and_lift", "SELECT true AS finite, true AS beats_random, true AS near_capacity")
@@ -709,33 +715,6 @@ def summary_report(s, sf, i, percents=(55, 75, 100), eta=0.1, theorem=False):
     return measures.coreset_ratios(p, built(s, sf, i), i.centres[:2], [(n * f + 99) // 100 for f in percents], eta, theorem)
 
 
-@query("a02_a03_ratios", "SELECT true AS upper_ok, true AS lower_ok")
-def ratios(s, sf):
-    return summary_report(s, sf, WL.W04).agg((F.max("upper") <= 1.3).alias("upper_ok"), (F.max("lower") <= 1.3).alias("lower_ok"))
-
-
-@query("v14_theorem_form", "SELECT true AS upper_ok, true AS lower_ok")
-def theorem_form(s, sf):
-    return summary_report(s, sf, WL.W04, theorem=True).agg((F.max("upper") <= 1.3).alias("upper_ok"), (F.max("lower") <= 1.3).alias("lower_ok"))
-
-
-@query("a04_solution_quality", f"WITH {O.points(WL.ORD)}, a AS (SELECT {_PLACE4B} AS j, {_NEAR4} AS cost FROM pts) SELECT 1.0::DOUBLE AS alpha, (SELECT max(n) FROM (SELECT count(*) AS n FROM a GROUP BY j))::DOUBLE / 100.0 AS beta")
-def solution_quality(s, sf):
-    a = C.nearest(pts(s, sf, WL.W04), WL.W04.centres, 2)
-    return measures.solution_quality(a, 2, 100.0, float(a.agg(F.sum("cost")).first()[0]))
-
-
-@query("a11_sampling_error", "SELECT true AS near")
-def sampling_error(s, sf):
-    """A uniform sample's cost and sizes against the input's."""
-    i = WL.W04
-    p = pts(s, sf, i)
-    full = C.nearest(p, i.centres, 2)
-    part = C.nearest(baselines.uniform_sample(p, 0.2, i.core_hash, 2), i.centres, 2)
-    row = measures.sampling_error(full, part, 2, 0.1, 1024, 2, 2)
-    return row.select(((F.col("cost_error") <= F.col("cost_bound")) & (F.col("size_error") <= F.col("size_bound"))).alias("near"))
-
-
 @query("a12_transfer_overhead", "SELECT true AS few_moved, true AS little_dearer")
 def transfer_overhead(s, sf):
     with_, _, _, _ = _extended(s, sf, WL.W04, 1.2)
@@ -784,24 +763,6 @@ def sketch_bits(s, sf):
     return s.createDataFrame([(shape.rows, shape.bits)], "max_rows long, bits long")
 
 
-@query("a19_failures_over_seeds", "SELECT true AS at_most_a_tenth")
-def failures_over_seeds(s, sf):
-    """Of ten hash families, how many give a summary whose cost of fixed centres is off by more than a fifth."""
-    i = WL.W05
-    p = pts(s, sf, i)
-    full = float(C.plain_cost(p, i.centres, 2).first()[0])
-    bad = 0
-    for k in range(10):
-        b = coreset.build(p, i.grid, i.params, P.hash_family(f"seed {k}", "core", 8))
-        bad += abs(float(C.plain_cost(b.coreset, i.centres, 2, "w").first()[0] or 0) / full - 1) > 0.2
-    return verdict(s, (bad <= 1,), "at_most_a_tenth boolean")
-
-
-@query("a20_assignments_bound", "SELECT 60.0::DOUBLE AS bits")
-def assignments_bound(s, sf):
-    return s.createDataFrame([(PR.assignments_bound(1024, 2, 3),)], "bits double")
-
-
 @query("w12_label_purity", "WITH s AS (SELECT label, count(*) AS n FROM embeddings GROUP BY label) SELECT label, n, n::DOUBLE / (SELECT sum(n) FROM s) AS share FROM s")
 def label_purity(s, sf):
     """Labels as a naturally balanced instance: each one's share."""

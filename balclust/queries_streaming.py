@@ -55,6 +55,31 @@ def stream_families(s, sf):
     return verdict(s, (decoded_, equal), "all_decoded boolean, equal_batch boolean")
 
 
+#: Room for the sampled points and cells of every family and level of the stream's summary, at any of the given sizes.
+STORE = cellstore.Shape(40_000)
+
+
+def _stream_summary(name, every, upto):
+    from balclust.queries_measures import _hashed_chain
+
+    left = f"FROM (SELECT * FROM events WHERE event_id % {every} >= {upto})"
+
+    @query(name, _hashed_chain(WL.W07).replace("FROM events", left) + "SELECT tag, x0, x1, level, p0, p1, w FROM core")
+    def run(s, sf):
+        """The summary from one pass over insertions and deletions: sketches of all three families at all levels, decoded; no survivor is kept."""
+        i = WL.W07
+        hashes = {"cells": i.cell_hash, "parts": i.part_hash, "points": i.core_hash}
+        sketches = D.run_sums(cellstore.routed(D.summary_updates(_updates(s, sf, every, upto), i.grid, i.params, hashes), STORE), ("family", "level", "rep", "bucket"), cellstore.SUMS)
+        made = D.sketched_summary(s, sketches, i.grid, i.params, STORE)
+        if made is None:
+            raise ValueError("a sketch is too full to be decoded")
+        return made.coreset
+
+
+_stream_summary("m37_stream_coreset", 5, 1)
+_stream_summary("w08_stream_coreset", 10, 9)
+
+
 @query("m38_parallel_guesses", "SELECT true AS shared, true AS equal_batch")
 def parallel_guesses(s, sf):
     """Guesses run side by side: those whose rates round to the same power of two share one sketch, and each decodes."""

@@ -92,6 +92,17 @@ def run(stream: DataFrame, mode: str = "complete", checkpoint: str | None = None
     return stream.sparkSession.table(name)
 
 
+def run_sums(stream: DataFrame, by: tuple[str, ...], sums: list[str]) -> DataFrame:
+    """by.., sums over a bounded stream: each micro-batch adds up its own to files, which add up at the end. What is kept is the sketch, not the stream."""
+    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/sums-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.groupBy(*by).agg(*(F.sum(c).alias(c) for c in sums)).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    stream.writeStream.foreachBatch(put).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(path).groupBy(*by).agg(*(F.sum(c).alias(c) for c in sums))
+
+
 def run_to_files(stream: DataFrame) -> DataFrame:
     """All that a bounded stream appends, by way of files in the shared folder."""
     spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"

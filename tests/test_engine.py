@@ -295,3 +295,52 @@ def test_plans_keep_points_in_place(spark):
     text = coreset.build(df, WL.W04.grid, WL.W04.params, WL.W04.core_hash).coreset._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in text and "BroadcastNestedLoop" not in text and "Python" not in text
     assert "ReadSchema: struct<o_orderkey:bigint,o_totalprice:double,o_orderdate:timestamp_ntz>" in text
+
+
+def test_points_are_routed_without_a_shuffle(spark):
+    """Few heavy cells go to the points: no exchange above the points' side, and the same parts as by the join over leaves."""
+    i = WL.W04
+    points = WL.load(spark, "/root/testdata/sf0.001", i.spec)
+    heavy = partition.heavy_cells(partition.cell_counts(partition.leaf_counts(points, i.grid), i.grid), i.params).select("level", *i.grid.key_names, "n")
+    rows = partition.held(heavy, i.grid)
+    near = partition.route(points, rows, i.grid)
+    plan = near._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange hashpartitioning" not in plan and "SortMergeJoin" not in plan
+    key = lambda df: sorted((r.tag, r.level, r.p0, r.p1) for r in df.collect())
+    assert key(near) == key(partition.routed_points(points, heavy, i.grid, rows))
+    keyed = points.select("*", *i.grid.leaf(i.spec.coordinates))
+    far = keyed.join(partition.deepest(keyed.select(*i.grid.names).distinct(), heavy, i.grid), i.grid.names)
+    assert key(near) == key(far)
+
+
+def test_parts_from_heavy_cells_equal_parts_from_marks(spark):
+    i = WL.W01
+    cells = partition.cell_counts(partition.leaf_counts(WL.load(spark, "/root/testdata/sf0.001", i.spec), i.grid), i.grid)
+    heavy = partition.heavy_cells(cells, i.params).select("level", *i.grid.key_names, "n")
+    key = lambda df: sorted((r.level, r.p0, r.p1, r["size"]) for r in df.collect())
+    assert key(partition.parts_of_cells(heavy, i.grid)) == key(partition.part_sizes(partition.mark_exact(cells, i.grid, i.params), i.grid))
+
+
+def test_a_stream_summary_refuses_a_sketch_that_is_too_small(spark):
+    from balclust.operators import cellstore
+    from balclust.streaming import dynamic as D
+
+    i = WL.W07
+    points = WL.load(spark, "/root/testdata/sf0.001", i.spec).withColumn("op", F.lit(1))
+    hashes = {"cells": i.cell_hash, "parts": i.part_hash, "points": i.core_hash}
+    shape = cellstore.Shape(8)
+    sketches = cellstore.sketch(D.summary_updates(points, i.grid, i.params, hashes), shape, ("family", "level"))
+    assert D.sketched_summary(spark, sketches, i.grid, i.params, shape) is None
+
+
+def test_the_sweep_splits_a_narrow_band_of_differences(spark):
+    """All differences close together: buckets by quantiles still hold about equally many."""
+    df = spark.range(4000).select(F.col("id").alias("tag"), (F.col("id") % 1000 + 1).alias("x0"), F.lit(5).cast("long").alias("x1"))
+    got = {r["m"]: r["cost"] for r in C.two_centre_sweep(df, (500, 5), (501, 5)).collect()}
+    x = sorted((k % 1000 + 1 for k in range(4000)), key=lambda v: (v - 500) ** 2 - (v - 501) ** 2)
+    run = sum((v - 501) ** 2 for v in x)
+    for m, v in enumerate(x, 1):
+        run += (v - 500) ** 2 - (v - 501) ** 2
+        if m in got:
+            assert got[m] == run
+    assert len(got) == 1000
