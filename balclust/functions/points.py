@@ -11,8 +11,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
-#: The hash field: a prime below 2^31, so that products fit into 64 bits.
+#: The hash field: a prime below 2^31, so that products fit into 64 bits. A hash is a pair of its elements, a number below RANGE.
 FIELD = (1 << 31) - 1
+RANGE = FIELD * FIELD
 
 
 class Dimension(NamedTuple):
@@ -130,18 +131,28 @@ def grid(d: int, levels: int, seed: int) -> Grid:
     return Grid(d, levels, tuple(rng.randint(1, 1 << levels) for _ in range(d)))
 
 
-class Hash(NamedTuple):
-    """A polynomial of degree below the independence over a folded point; fold: evaluation point that merges tag and coordinates."""
+class Poly(NamedTuple):
+    """A polynomial over the field, of a point folded into one element; fold: the evaluation point that merges tag and coordinates."""
 
     fold: int
     coefficients: tuple[int, ...]
 
 
+class Hash(NamedTuple):
+    """Two polynomials of degree below the independence, each with a fold of its own: points collide only if they do in both, with a chance of about 2^-62."""
+
+    first: Poly
+    second: Poly
+
+
 def hash_family(seed: int, family: str, independence: int) -> Hash:
-    rng = random.Random(f"fold {seed}")
-    fold = rng.randrange(1 << 20, FIELD)
-    rng = random.Random(f"{family} {seed}")
-    return Hash(fold, tuple(rng.randrange(1, FIELD) for _ in range(independence)))
+    """The hash of a family; families share neither folds nor coefficients."""
+
+    def one(part: str) -> Poly:
+        rng = random.Random(f"{family} {part} {seed}")
+        return Poly(rng.randrange(1 << 20, FIELD), tuple(rng.randrange(1, FIELD) for _ in range(independence)))
+
+    return Hash(one("high"), one("low"))
 
 
 def folded(columns: Sequence[str], fold: int) -> Column:
@@ -152,14 +163,18 @@ def folded(columns: Sequence[str], fold: int) -> Column:
     return acc
 
 
-def poly_hash(columns: Sequence[str], h: Hash) -> Column:
-    point = folded(columns, h.fold)
-    acc = F.lit(h.coefficients[0]).cast("long")
-    for c in h.coefficients[1:]:
+def evaluated(columns: Sequence[str], p: Poly) -> Column:
+    point = folded(columns, p.fold)
+    acc = F.lit(p.coefficients[0]).cast("long")
+    for c in p.coefficients[1:]:
         acc = (acc * point + F.lit(c)) % F.lit(FIELD)
     return acc
 
 
+def poly_hash(columns: Sequence[str], h: Hash) -> Column:
+    return evaluated(columns, h.first) * F.lit(FIELD) + evaluated(columns, h.second)
+
+
 def threshold(rate: float) -> int:
-    """The hash values below it are sampled; threshold / FIELD is the rate that weights use."""
-    return FIELD if rate >= 1 else max(1, int(rate * FIELD))
+    """The hash values below it are sampled; threshold / RANGE is the rate that weights use."""
+    return RANGE if rate >= 1 else max(1, int(rate * RANGE))

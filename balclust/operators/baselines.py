@@ -13,13 +13,14 @@ from balclust.functions import points as P
 from balclust.operators import cost as C
 from balclust.operators import partition, solvers
 from balclust.plans.params import Params
+from balclust.sources.store import staged
 
 
 def uniform_sample(points: DataFrame, rate: float, h: P.Hash, d: int) -> DataFrame:
     """One rate everywhere."""
     cut = P.threshold(rate)
     kept = points.withColumn("h", P.poly_hash(["tag", *(f"x{m}" for m in range(d))], h)).where(F.col("h") < cut)
-    return kept.drop("h").withColumn("w", F.lit(P.FIELD / cut))
+    return kept.drop("h").withColumn("w", F.lit(P.RANGE / cut))
 
 
 def parts_of(points: DataFrame, grid: P.Grid, params: Params) -> DataFrame:
@@ -38,9 +39,9 @@ def plain_coreset(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash, bu
     """Every part sampled at budget over its size: right for costs without capacities."""
     coordinates = [f"x{m}" for m in range(grid.d)]
     met = parts_of(points, grid, params)
-    cut = F.least(F.lit(P.FIELD), F.floor(F.lit(float(P.FIELD)) * budget / F.col("size")))
+    cut = F.floor(F.least(F.lit(float(P.RANGE)), F.lit(float(P.RANGE)) * budget / F.col("size")))
     kept = met.withColumn("cut", cut).where(P.poly_hash(["tag", *coordinates], h) < F.col("cut"))
-    return kept.select("tag", *coordinates, "level", *(f"p{m}" for m in range(grid.d)), (F.lit(float(P.FIELD)) / F.col("cut")).alias("w"))
+    return kept.select("tag", *coordinates, "level", *(f"p{m}" for m in range(grid.d)), (F.lit(float(P.RANGE)) / F.col("cut")).alias("w"))
 
 
 def snap_coreset(points: DataFrame, grid: P.Grid, params: Params) -> DataFrame:
@@ -67,9 +68,9 @@ def ring_coreset(points: DataFrame, centres: C.Centres, h: P.Hash, budget: int)
     ring = F.when(F.col("cost") == 0, F.lit(-1)).otherwise(F.length(F.bin("cost")) - 1)
     near = near.withColumn("ring", ring.cast("int")).drop("cost")
     met = near.join(F.broadcast(near.groupBy("j", "ring").agg(F.count("*").alias("size"))), ["j", "ring"])  # centres times at most 64 rings
-    cut = F.least(F.lit(P.FIELD), F.floor(F.lit(float(P.FIELD)) * budget / F.col("size")))
+    cut = F.floor(F.least(F.lit(float(P.RANGE)), F.lit(float(P.RANGE)) * budget / F.col("size")))
     kept = met.withColumn("cut", cut).where(P.poly_hash(["tag", *coordinates], h) < F.col("cut"))
-    return kept.select("tag", *coordinates, "j", "ring", (F.lit(float(P.FIELD)) / F.col("cut")).alias("w"))
+    return kept.select("tag", *coordinates, "j", "ring", (F.lit(float(P.RANGE)) / F.col("cut")).alias("w"))
 
 
 def ring_cells(points: DataFrame, centres: C.Centres, fine: int = 3) -> DataFrame:
@@ -93,21 +94,41 @@ def three_pass(points: DataFrame, k: int, t: float, r: float, d: int) -> tuple[l
     return z.tolist(), cost, snapped
 
 
-def chunk_reduce(points: DataFrame, k: int, r: float, d: int, chunks: int = 16) -> DataFrame:
-    """x0.., w: each chunk reduced to weighted centres, in bounded chunks on executors."""
+def chunk_reduce(points: DataFrame, k: int, r: float, d: int, chunk_rows: int = 20_000) -> DataFrame:
+    """x0.., w: each chunk of about chunk_rows rows reduced to weighted centres on executors; the number of chunks grows with the input. points may carry weights w."""
     coordinates = [f"x{m}" for m in range(d)]
+    chunks = max(1, -(-points.count() // chunk_rows))
+    points = points if "w" in points.columns else points.withColumn("w", F.lit(1).cast("long"))
 
     def reduce_(pdf: pd.DataFrame) -> pd.DataFrame:
         x = pdf[coordinates].to_numpy(np.int64)
-        w = np.ones(len(x))
+        w = pdf["w"].to_numpy(float)
         z, _ = solvers.alternate(x, w, min(k, len(x)), float(len(x)), r, rounds=4)
-        near = np.bincount(((x[:, None] - z[None]) ** 2).sum(axis=2).argmin(axis=1), minlength=len(z))
+        near = np.bincount(((x[:, None] - z[None]) ** 2).sum(axis=2).argmin(axis=1), w, len(z))
         return pd.DataFrame({**{c: z[:, m] for m, c in enumerate(coordinates)}, "w": near.astype(np.int64)})
 
-    dealt = points.withColumn("chunk", F.pmod(F.xxhash64("tag", *coordinates), F.lit(chunks)))
+    dealt = points.withColumn("chunk", F.pmod(F.xxhash64(*(c for c in ("tag", *coordinates, "w") if c in points.columns)), F.lit(chunks)))
     return dealt.groupBy("chunk").applyInPandas(reduce_, ", ".join(f"{c} long" for c in coordinates) + ", w long")
 
 
+def hierarchy(points: DataFrame, k: int, t: float, r: float, d: int, per_chunk: int = 64, chunk_rows: int = 20_000) -> tuple[list, float, int]:
+    """(centres, cost on the weighted rest, rounds): chunks reduced to weighted centres, and those again, until one chunk holds what is left, which is solved under the capacity t."""
+    now, rounds = staged(chunk_reduce(points, per_chunk, r, d, chunk_rows)), 1
+    while now.count() > chunk_rows:
+        now, rounds = staged(chunk_reduce(now, per_chunk, r, d, chunk_rows)), rounds + 1
+    x, w = C.arrays(now.withColumn("tag", F.xxhash64(*now.columns)), d, "w")
+    z, cost = solvers.alternate(x[:, :d], w, k, t, r)
+    return z.tolist(), cost, rounds
+
+
+def merged_facilities(points: DataFrame, k: int, t: float, r: float, d: int, fee: float) -> tuple[list, float]:
+    """(centres, cost on the weighted facilities): the facilities of all partitions together, solved under the capacity t."""
+    found = facility_stream(points, r, d, fee)
+    x, w = C.arrays(found.withColumn("tag", F.xxhash64(*found.columns)), d, "w")
+    z, cost = solvers.alternate(x[:, :d], w, k, t, r)
+    return z.tolist(), cost
+
+
 def facility_stream(points: DataFrame, r: float, d: int, fee: float) -> DataFrame:
     """x0.., w: facilities that each partition opens in one pass, with chance in proportion to a point's distance over the fee."""
     coordinates = [f"x{m}" for m in range(d)]

@@ -53,7 +53,7 @@ def sample(points: DataFrame, heavy: DataFrame, parts: DataFrame, grid: P.Grid,
     some = important_parts(parts, params).select("level", *(f"p{m}" for m in range(grid.d)), "size")
     met = partition.routed_points(hashed, heavy, grid, rows).join(some if rows is None else F.broadcast(some), ["level", *(f"p{m}" for m in range(grid.d))])
     kept = met.where(F.col("h") < partition.by_level("level", cut))
-    weight = partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()})
+    weight = partition.by_level("level", {i: P.RANGE / t for i, t in cut.items()})
     return kept.select("tag", *coordinates, "level", *(f"p{m}" for m in range(grid.d)), weight.alias("w"))
 
 

@@ -22,7 +22,7 @@ def estimate_cells(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash, w
     each = keyed.select("*", levels)
     return each.select("level", *(k.alias(n) for k, n in zip(grid.keys(F.col("level")), grid.key_names, strict=True)), (F.col("h") < partition.by_level("level", cut)).alias("hit")).groupBy("level", *grid.key_names).agg(
         F.count("*").alias("n"), F.count_if("hit").alias("hits")
-    ).withColumn("estimate", F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()}))
+    ).withColumn("estimate", F.col("hits") * partition.by_level("level", {i: P.RANGE / t for i, t in cut.items()}))
 
 
 def sampled_cells(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash) -> DataFrame:
@@ -32,7 +32,7 @@ def sampled_cells(points: DataFrame, grid: P.Grid, params: Params, h: P.Hash) ->
     hit = points.withColumn("h", P.poly_hash(["tag", *coordinates], h)).where(F.col("h") < max(cut.values())).select(*grid.leaf(coordinates), "h")
     each = hit.select("*", F.explode(F.array(*(F.lit(i) for i in cut))).alias("level")).where(F.col("h") < partition.by_level("level", cut))
     counted = each.groupBy("level", *(k.alias(n) for k, n in zip(grid.keys(F.col("level")), grid.key_names, strict=True))).agg(F.count("*").alias("hits"))
-    return counted.select("level", *grid.key_names, (F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()})).alias("n"))
+    return counted.select("level", *grid.key_names, (F.col("hits") * partition.by_level("level", {i: P.RANGE / t for i, t in cut.items()})).alias("n"))
 
 
 def sampled_parts(points: DataFrame, heavy: DataFrame, grid: P.Grid, params: Params, h: P.Hash, rows: list | None = None) -> DataFrame:
@@ -42,7 +42,7 @@ def sampled_parts(points: DataFrame, heavy: DataFrame, grid: P.Grid, params: Par
     hit = points.withColumn("h", P.poly_hash(["tag", *coordinates], h)).where(F.col("h") < max(cut.values()))
     each = partition.routed_points(hit, heavy, grid, rows).where(F.col("h") < partition.by_level("level", cut))
     counted = each.groupBy("level", *(f"p{m}" for m in range(grid.d))).agg(F.count("*").alias("hits"))
-    return counted.select("level", *(f"p{m}" for m in range(grid.d)), (F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()})).alias("size"))
+    return counted.select("level", *(f"p{m}" for m in range(grid.d)), (F.col("hits") * partition.by_level("level", {i: P.RANGE / t for i, t in cut.items()})).alias("size"))
 
 
 def good_cells(cells: DataFrame, params: Params) -> DataFrame:
@@ -58,7 +58,7 @@ def estimate_parts(points: DataFrame, routed: DataFrame, grid: P.Grid, params: P
     cut = {i: P.threshold(params.size_rates(i)[1]) for i in range(params.levels + 1)}
     met = points.select(P.poly_hash(["tag", *coordinates], h).alias("h"), *grid.leaf(coordinates)).join(routed, grid.names)
     hit = F.col("h") < partition.by_level("level", cut)
-    return met.groupBy("level", *(f"p{m}" for m in range(grid.d))).agg(F.count("*").alias("size"), F.count_if(hit).alias("hits")).withColumn("estimate", F.col("hits") * partition.by_level("level", {i: P.FIELD / t for i, t in cut.items()}))
+    return met.groupBy("level", *(f"p{m}" for m in range(grid.d))).agg(F.count("*").alias("size"), F.count_if(hit).alias("hits")).withColumn("estimate", F.col("hits") * partition.by_level("level", {i: P.RANGE / t for i, t in cut.items()}))
 
 
 def good_parts(parts: DataFrame, params: Params) -> DataFrame:

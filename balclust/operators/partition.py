@@ -30,10 +30,11 @@ def cell_counts(leaves: DataFrame, grid: Grid) -> DataFrame:
 
 
 def by_level(level_column: str, values: dict[int, float]) -> F.Column:
-    """A column that takes a value for each level."""
-    out = F.lit(None).cast("double")
+    """A column that takes a value for each level; whole numbers stay exact."""
+    kind = "long" if all(isinstance(v, int) for v in values.values()) else "double"
+    out = F.lit(None).cast(kind)
     for level, value in values.items():
-        out = F.when(F.col(level_column) == level, F.lit(float(value))).otherwise(out)
+        out = F.when(F.col(level_column) == level, F.lit(value).cast(kind)).otherwise(out)
     return out
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from balclust.functions.points import FIELD, Hash, PointSpec
+from balclust.functions.points import FIELD, RANGE, Hash, PointSpec, Poly
 from balclust.operators.coreset import rates
 from balclust.plans.params import Params
 from balclust.workloads import Instance
@@ -72,24 +72,26 @@ def important(i: Instance) -> str:
     return f"important AS (SELECT * FROM parts WHERE size >= {case('level', {j: i.params.gamma * i.params.cell_threshold(j) for j in range(i.spec.levels + 1)})})"
 
 
-def poly(h: Hash, columns: list[str]) -> str:
-    point = f"({columns[0]} % {FIELD})"
+def poly(p: Poly, columns: list[str], point: str) -> tuple[str, str]:
+    """(the folded point, the polynomial of a column that holds it)."""
+    fold = f"({columns[0]} % {FIELD})"
     for c in columns[1:]:
-        point = f"(({point} * {h.fold} + {c}) % {FIELD})"
-    return point, f"CAST({h.coefficients[0]} AS BIGINT)"
+        fold = f"(({fold} * {p.fold} + {c}) % {FIELD})"
+    acc = f"CAST({p.coefficients[0]} AS BIGINT)"
+    for c in p.coefficients[1:]:
+        acc = f"(({acc} * {point} + {c}) % {FIELD})"
+    return fold, acc
 
 
 def hashed(i: Instance, h: Hash, source: str, name: str) -> str:
-    """name: source with h, one step of the polynomial in each common table expression's column."""
-    point, acc = poly(h, ["tag", *i.spec.coordinates])
-    for c in h.coefficients[1:]:
-        acc = f"(({acc} * pt + {c}) % {FIELD})"
-    return f"{name}_pt AS (SELECT *, {point} AS pt FROM {source}), {name} AS (SELECT *, {acc} AS h FROM {name}_pt)"
+    """name: source with h, the pair of both polynomials as one number."""
+    (fold1, acc1), (fold2, acc2) = (poly(p, ["tag", *i.spec.coordinates], pt) for p, pt in zip(h, ("pt1", "pt2"), strict=True))
+    return f"{name}_pt AS (SELECT *, {fold1} AS pt1, {fold2} AS pt2 FROM {source}), {name} AS (SELECT * EXCLUDE (pt1, pt2), {acc1} * {FIELD} + {acc2} AS h FROM {name}_pt)"
 
 
 def coreset(i: Instance) -> str:
     cut = rates(i.params)
-    return f"{hashed(i, i.core_hash, 'routed', 'hashed')}, core AS (SELECT hashed.*, size, {case('level', {j: FIELD / t for j, t in cut.items()})} AS w FROM hashed JOIN important USING ({part_key(i)}) WHERE h < {case('level', cut)})"
+    return f"{hashed(i, i.core_hash, 'routed', 'hashed')}, core AS (SELECT hashed.*, size, {case('level', {j: RANGE / t for j, t in cut.items()})} AS w FROM hashed JOIN important USING ({part_key(i)}) WHERE h < {case('level', cut)})"
 
 
 def chain(i: Instance, *steps: str) -> str:

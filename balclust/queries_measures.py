@@ -66,8 +66,8 @@ def _caps(n):
     return [(n * f + 99) // 100 for f in (55, 75, 100)]
 
 
-@query("w19_ablation", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", caps AS ({_CAP}), {O.hashed(WL.W04, WL.W04.core_hash, 'pts', 'uni_h')}, uni AS (SELECT *, {P.FIELD / P.threshold(0.02)!r}::DOUBLE AS w FROM uni_h WHERE h < {P.threshold(0.02)}), "
-       f"plain AS (SELECT hashed.*, {float(P.FIELD)!r}::DOUBLE / least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 40 / size)::BIGINT) AS w FROM hashed JOIN parts USING (level, p0, p1) WHERE h < least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 40 / size)::BIGINT)), "
+@query("w19_ablation", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", caps AS ({_CAP}), {O.hashed(WL.W04, WL.W04.core_hash, 'pts', 'uni_h')}, uni AS (SELECT *, {P.RANGE / P.threshold(0.02)!r}::DOUBLE AS w FROM uni_h WHERE h < {P.threshold(0.02)}), "
+       f"plain AS (SELECT hashed.*, {float(P.RANGE)!r}::DOUBLE / floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 40 / size))::BIGINT AS w FROM hashed JOIN parts USING (level, p0, p1) WHERE h < floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 40 / size))::BIGINT), "
        f"{_full_cost(WL.W04)}, " + ", ".join(two_cost(source, f"c_{source}", WL.W04, f"SELECT c * {1 + 0.1!r}e0 AS t FROM caps") for source in ("core", "uni", "plain")) + " "
        + " UNION ALL ".join(f"SELECT '{label}' AS method, c AS t, (SELECT count(*) FROM {source}) AS n_rows, round(coalesce(x.cost, 'inf'::DOUBLE) / (SELECT min(cost) FROM sweep WHERE m >= (SELECT count(*) FROM pts) - c AND m <= c), 4) AS upper FROM caps JOIN c_{source} x ON x.t = c * {1 + 0.1!r}e0" for label, source in (("summary", "core"), ("uniform", "uni"), ("plain parts", "plain"))))
 def ablation(s, sf):
@@ -337,7 +337,7 @@ def _hashed_chain(i):
     """SQL of the summary from hashed sizes: est, marked level by level, routed, parts, core."""
     levels, ks, cs = i.spec.levels, [f"k{m}" for m in range(i.spec.d)], [f"c{m}" for m in range(i.spec.d)]
     cut = [{j: P.threshold(i.params.size_rates(j)[w]) for j in range(-1 if w == 0 else 0, levels + 1)} for w in (0, 1)]
-    scale = [{j: P.FIELD / t for j, t in c.items()} for c in cut]
+    scale = [{j: P.RANGE / t for j, t in c.items()} for c in cut]
     limit = partition.thresholds(i.params)
     keys = ", ".join(f"{c} >> ({levels} - lvl) AS {k}" for c, k in zip(cs, ks, strict=True))
     steps = [O.points(i.spec), O.leaves(i), O.hashed(i, i.cell_hash, "leaf", "h1")]
@@ -464,3 +464,25 @@ def warehouses(s, sf):
     z, _ = solvers.solve(b.coreset, 4, max(n, weight) / 4, 2, 2)
     assigned, _ = assign.assign_summary(b.coreset, z.tolist(), 1.2 * max(n, weight) / 4, 2, 2)
     return assign.extend(p, b, assigned, z.tolist()).groupBy("j").agg(F.count("*").alias("load"), F.sum("cost").alias("cost"))
+
+
+@query("b00_solutions_compared")
+def solutions_compared(s, sf):
+    """By method: the cost of all customers at their nearest of the centres that it finds for three clusters of at most 1.2 equal shares, and its largest cluster."""
+    i = WL5
+    p, b = pts(s, sf, i), built(s, sf, i)
+    n = p.count()
+    t = 1.2 * n / 3
+    found = {
+        "summary": solvers.solve(b.coreset, 3, n / 3, 2, 1)[0].tolist(),
+        "three passes": baselines.three_pass(p, 3, t, 2, 1)[0],
+        "chunks": baselines.hierarchy(p, 3, t, 2, 1)[0],
+        "facilities": baselines.merged_facilities(p, 3, t, 2, 1, 40_000.0)[0],
+        "library": baselines.library_kmeans(p, 3, 1)[0],
+    }
+    out = None
+    for method, z in found.items():
+        a = C.nearest(p, z, 2)
+        one = a.agg(F.sum("cost").alias("cost")).join(F.broadcast(C.size_vector(a, 3).agg(F.max("size").alias("largest"))), F.lit(True)).select(F.lit(method).alias("method"), "cost", "largest")  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out

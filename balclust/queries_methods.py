@@ -237,7 +237,7 @@ def _estimate_sql(i, which):
     names = ", ".join(f"k{m}" for m in range(i.spec.d))
     keys = ", ".join(f"c{m} >> ({i.spec.levels} - lvl) AS k{m}" for m in range(i.spec.d))
     return O.chain(i, "points", "leaves")[:-1] + f""", {O.hashed(i, h, 'leaf', 'hashed')}
-SELECT level, {names}, count(*) AS n, count(CASE WHEN h < {O.case('level', cut)} THEN 1 END) AS hits, count(CASE WHEN h < {O.case('level', cut)} THEN 1 END) * {O.case('level', {j: P.FIELD / t for j, t in cut.items()})} AS estimate
+SELECT level, {names}, count(*) AS n, count(CASE WHEN h < {O.case('level', cut)} THEN 1 END) AS hits, count(CASE WHEN h < {O.case('level', cut)} THEN 1 END) * {O.case('level', {j: P.RANGE / t for j, t in cut.items()})} AS estimate
 FROM (SELECT lvl AS level, {keys}, h FROM hashed, (SELECT CAST(unnest(range(-1, {i.spec.levels + 1})) AS INTEGER) AS lvl)) GROUP BY level, {names}"""
 
 
@@ -260,7 +260,7 @@ _OFF_PARTS = {j: 0.1 * WL.W04.params.gamma * WL.W04.params.cell_threshold(j) for
 _PART_CUT = {j: P.threshold(WL.W04.params.size_rates(j)[1]) for j in range(11)}
 
 
-@query("m19_good_parts", O.chain(WL.W04, *O.UP_TO_PARTS)[:-1] + f", {O.hashed(WL.W04, WL.W04.part_hash, 'routed', 'hashed')}, e AS (SELECT level, p0, p1, count(*) AS size, count(CASE WHEN h < {O.case('level', _PART_CUT)} THEN 1 END) * {O.case('level', {j: P.FIELD / t for j, t in _PART_CUT.items()})} AS estimate FROM hashed GROUP BY level, p0, p1) SELECT level, count(*) AS n_parts, count(CASE WHEN abs(estimate - size) <= {O.case('level', _OFF_PARTS)} OR abs(estimate - size) <= 0.1 * size THEN 1 END) AS n_good FROM e GROUP BY level")
+@query("m19_good_parts", O.chain(WL.W04, *O.UP_TO_PARTS)[:-1] + f", {O.hashed(WL.W04, WL.W04.part_hash, 'routed', 'hashed')}, e AS (SELECT level, p0, p1, count(*) AS size, count(CASE WHEN h < {O.case('level', _PART_CUT)} THEN 1 END) * {O.case('level', {j: P.RANGE / t for j, t in _PART_CUT.items()})} AS estimate FROM hashed GROUP BY level, p0, p1) SELECT level, count(*) AS n_parts, count(CASE WHEN abs(estimate - size) <= {O.case('level', _OFF_PARTS)} OR abs(estimate - size) <= 0.1 * size THEN 1 END) AS n_good FROM e GROUP BY level")
 def good_parts(s, sf):
     i = WL.W04
     p = pts(s, sf, i)
@@ -635,13 +635,13 @@ def movement_bound(s, sf):
 # --- baselines
 
 
-@query("b02_plain_coreset", O.chain(WL.W04, *O.UP_TO_PARTS)[:-1] + f", {O.hashed(WL.W04, WL.W04.core_hash, 'routed', 'hashed')} SELECT tag, x0, x1, level, p0, p1, {float(P.FIELD)!r}::DOUBLE / least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 40 / size)::BIGINT) AS w FROM hashed JOIN parts USING (level, p0, p1) WHERE h < least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 40 / size)::BIGINT)")
+@query("b02_plain_coreset", O.chain(WL.W04, *O.UP_TO_PARTS)[:-1] + f", {O.hashed(WL.W04, WL.W04.core_hash, 'routed', 'hashed')} SELECT tag, x0, x1, level, p0, p1, {float(P.RANGE)!r}::DOUBLE / floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 40 / size))::BIGINT AS w FROM hashed JOIN parts USING (level, p0, p1) WHERE h < floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 40 / size))::BIGINT")
 def plain_coreset(s, sf):
     i = WL.W04
     return baselines.plain_coreset(pts(s, sf, i), i.grid, i.params, i.core_hash, 40)
 
 
-@query("b03_uniform_sample", f"WITH {O.points(WL.ORD)}, {O.hashed(WL.W04, WL.W04.core_hash, 'pts', 'hashed')} SELECT tag, x0, x1, {P.FIELD / P.threshold(0.02)!r}::DOUBLE AS w FROM hashed WHERE h < {P.threshold(0.02)}")
+@query("b03_uniform_sample", f"WITH {O.points(WL.ORD)}, {O.hashed(WL.W04, WL.W04.core_hash, 'pts', 'hashed')} SELECT tag, x0, x1, {P.RANGE / P.threshold(0.02)!r}::DOUBLE AS w FROM hashed WHERE h < {P.threshold(0.02)}")
 def uniform_sample(s, sf):
     return baselines.uniform_sample(pts(s, sf, WL.W04), 0.02, WL.W04.core_hash, 2)
 
@@ -655,7 +655,7 @@ _NEAR4, _PLACE4B = _near_sql(WL.W04, 2)
 _RINGS = f"WITH {O.points(WL.ORD)}, near AS (SELECT *, {_PLACE4B} AS j, {_NEAR4} AS cost FROM pts), ring AS (SELECT *, (CASE WHEN cost = 0 THEN -1 ELSE length(bin(cost)) - 1 END)::INTEGER AS ring FROM near)"
 
 
-@query("b06_ring_sample", _RINGS + f", sizes AS (SELECT j, ring, count(*) AS size FROM ring GROUP BY j, ring), {O.hashed(WL.W04, WL.W04.core_hash, 'ring', 'hashed')} SELECT tag, x0, x1, j::INTEGER AS j, ring, {float(P.FIELD)!r}::DOUBLE / least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 60 / size)::BIGINT) AS w FROM hashed JOIN sizes USING (j, ring) WHERE h < least({P.FIELD}, floor({float(P.FIELD)!r}::DOUBLE * 60 / size)::BIGINT)")
+@query("b06_ring_sample", _RINGS + f", sizes AS (SELECT j, ring, count(*) AS size FROM ring GROUP BY j, ring), {O.hashed(WL.W04, WL.W04.core_hash, 'ring', 'hashed')} SELECT tag, x0, x1, j::INTEGER AS j, ring, {float(P.RANGE)!r}::DOUBLE / floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 60 / size))::BIGINT AS w FROM hashed JOIN sizes USING (j, ring) WHERE h < floor(least({float(P.RANGE)!r}::DOUBLE, {float(P.RANGE)!r}::DOUBLE * 60 / size))::BIGINT")
 def ring_sample(s, sf):
     return baselines.ring_coreset(pts(s, sf, WL.W04), WL.W04.centres, WL.W04.core_hash, 60)
 

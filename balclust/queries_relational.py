@@ -437,11 +437,14 @@ def udf_hash(s, sf):
     @F.arrow_udf("long")
     def hashed(tag: pa.Array, x0: pa.Array, x1: pa.Array) -> pa.Array:
         t, a, b = (c.to_numpy(zero_copy_only=False).astype(np.int64) for c in (tag, x0, x1))
-        point = ((t % P.FIELD * h.fold + a) % P.FIELD * h.fold + b) % P.FIELD
-        acc = np.full(len(t), h.coefficients[0], np.int64)
-        for c in h.coefficients[1:]:
-            acc = (acc * point + c) % P.FIELD
-        return pa.array(acc)
+        both = []
+        for p in h:
+            point = ((t % P.FIELD * p.fold + a) % P.FIELD * p.fold + b) % P.FIELD
+            acc = np.full(len(t), p.coefficients[0], np.int64)
+            for c in p.coefficients[1:]:
+                acc = (acc * point + c) % P.FIELD
+            both.append(acc)
+        return pa.array(both[0] * P.FIELD + both[1])
 
     return pts(s, sf, WL.W04).agg(F.count_if(hashed("tag", "x0", "x1") != P.poly_hash(["tag", "x0", "x1"], h)).alias("mismatches"))
 

@@ -98,7 +98,7 @@ def parallel_guesses(s, sf):
 @query("stream_exact_survivors", "WITH " + O.points(WL.EV10).replace("FROM events", "FROM (SELECT * FROM events WHERE event_id % 5 >= 1)") + " SELECT tag, x0, x1 FROM pts")
 def exact_survivors(s, sf):
     """State per point, dropped at zero; the last count of each key is what is left."""
-    changes = D.run(D.survivors(_updates(s, sf)), "update")
+    changes = D.run_batches(D.survivors(_updates(s, sf)))
     return changes.groupBy("tag", "x0", "x1").agg(F.min("n").alias("least"), F.count("*").alias("c"), F.sum("n").alias("s")).where("least > 0").select("tag", "x0", "x1")
 
 
@@ -109,7 +109,7 @@ def state_processor(s, sf):
     before = s.conf.get(key, None)
     s.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        changes = D.run(D.counted(_updates(s, sf)), "update")
+        changes = D.run_batches(D.counted(_updates(s, sf)))
     finally:
         s.conf.set(key, before) if before else s.conf.unset(key)
     return changes.groupBy("tag", "x0", "x1").agg(F.min("n").alias("least")).where("least > 0").select("tag", "x0", "x1")

@@ -15,11 +15,13 @@ from balclust.plans.params import Params
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; one of our own only where the session names none."""
+    """The folder that all executors share. Only a local master gets one of our own; on a cluster that names none this raises ValueError."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     if spark.sparkContext.getCheckpointDir() is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("name a folder that driver and executors share in spark.checkpoint.dir")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="balclust-"))
     return spark.sparkContext.getCheckpointDir().rstrip("/")
 
@@ -28,6 +30,13 @@ def fresh(spark: SparkSession, what: str) -> str:
     return f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
 
 
+def staged(df: DataFrame) -> DataFrame:
+    """df written once and read back."""
+    path = fresh(df.sparkSession, "staged")
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def save(summary: Summary, path: str) -> None:
     """Four tables: parameters, heavy cells, parts, and the sample by level."""
     spark = summary.coreset.sparkSession

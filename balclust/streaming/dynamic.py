@@ -54,10 +54,10 @@ def lattice_updates(updates: DataFrame, spec: P.PointSpec) -> DataFrame:
     return updates.select("op", F.col("event_id").cast("long").alias("tag"), *(P.lattice(F.col(v), m.low, m.high, spec.levels).alias(x) for v, m, x in zip(values, spec.dimensions, spec.coordinates, strict=True)))
 
 
-def cell_updates(updates: DataFrame, grid: P.Grid, level: int, rate: int = P.FIELD, h: P.Hash | None = None) -> DataFrame:
+def cell_updates(updates: DataFrame, grid: P.Grid, level: int, rate: int = P.RANGE, h: P.Hash | None = None) -> DataFrame:
     """key, sign of the cells of one level; with a hash only points below the rate."""
     coordinates = [f"x{m}" for m in range(grid.d)]
-    if h is not None and rate < P.FIELD:
+    if h is not None and rate < P.RANGE:
         updates = updates.where(P.poly_hash(["tag", *coordinates], h) < rate)
     keyed = updates.select("op", *grid.leaf(coordinates))
     return keyed.select(cellstore.pack(grid.keys(level), grid.levels + 1).alias("key"), F.col("op").cast("long").alias("sign"))
@@ -103,6 +103,17 @@ def run_sums(stream: DataFrame, by: tuple[str, ...], sums: list[str]) -> DataFra
     return spark.read.parquet(path).groupBy(*by).agg(*(F.sum(c).alias(c) for c in sums))
 
 
+def run_batches(stream: DataFrame, mode: str = "update") -> DataFrame:
+    """All rows that a bounded stream emits in any mode, each micro-batch written to files: for results that grow with the input."""
+    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/batches-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
+
+
 def run_to_files(stream: DataFrame) -> DataFrame:
     """All that a bounded stream appends, by way of files in the shared folder."""
     spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
@@ -211,7 +222,7 @@ def sketched_summary(spark: SparkSession, sketches: DataFrame, grid: P.Grid, par
         cells = kept("cells", level)
         if cells is None:
             return None
-        scale, own = P.FIELD / cuts["cells", level], set()
+        scale, own = P.RANGE / cuts["cells", level], set()
         for key, n in cells.items():
             place = cellstore.unpack(key, grid.d, bits)
             if n * scale >= limit[level] and (parents is None or tuple(k >> 1 for k in place) in parents):
@@ -232,13 +243,13 @@ def sketched_summary(spark: SparkSession, sketches: DataFrame, grid: P.Grid, par
     cells = spark.createDataFrame(heavy, f"level int, {', '.join(f'{k} long' for k in grid.key_names)}, n double")
     cell_rows = cells.collect()
     sizes, sampled = None, None
-    weight = {i: P.FIELD / cut for i, cut in coreset.rates(params).items()}
+    weight = {i: P.RANGE / cut for i, cut in coreset.rates(params).items()}
     for level in sorted({h[0] + 1 for h in heavy}):
         part, core = points("parts", level), points("points", level)
         if part is None or core is None:
             return None
         key = ["level", *(f"p{m}" for m in range(grid.d))]
-        one = partition.route(part, cell_rows, grid).where(F.col("level") == level).groupBy(*key).agg((F.count("*") * F.lit(P.FIELD / cuts["parts", level])).alias("size"))
+        one = partition.route(part, cell_rows, grid).where(F.col("level") == level).groupBy(*key).agg((F.count("*") * F.lit(P.RANGE / cuts["parts", level])).alias("size"))
         two = partition.route(core, cell_rows, grid).where(F.col("level") == level).select(*names, *key, F.lit(weight[level]).alias("w"))
         sizes, sampled = (one, two) if sizes is None else (sizes.unionByName(one), sampled.unionByName(two))
     if sizes is None:

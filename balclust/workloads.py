@@ -21,9 +21,10 @@ def projection(row: int, seed: int = 7) -> Dimension:
     """A sum of the embedding's entries with random signs, in whole millionths."""
     rng = random.Random(f"projection {seed} {row}")
     signs = [rng.choice("+-") for _ in range(64)]
-    spark = " ".join(f"{s} cast(round(embedding[{k}] * 1e6) as bigint)" for k, s in enumerate(signs))
+    # One small expression, however many entries: a sum written out would be repeated in each step of the hashes.
+    spark = f"aggregate(zip_with(embedding, array({', '.join(f'{s}1L' for s in signs)}), (e, s) -> cast(round(e * 1e6) as bigint) * s), 0L, (a, b) -> a + b)"
     sql = " ".join(f"{s} CAST(round(embedding[{k + 1}] * 1e6) AS BIGINT)" for k, s in enumerate(signs))
-    return Dimension(f"(0 {spark}) / 1e6", -6, 6, f"(0 {sql}) / 1e6")
+    return Dimension(f"{spark} / 1e6", -6, 6, f"(0 {sql}) / 1e6")
 
 
 LI2 = PointSpec("li2", "lineitem", (Dimension("l_quantity", 1, 50), Dimension("l_extendedprice", 900, 105000)), 10, order=_LINE_ORDER)

@@ -191,11 +191,15 @@ def test_hash_is_independent_over_a_small_field():
 def test_hash_column_is_the_polynomial(spark):
     h = P.hash_family("x", "f", 5)
     row = spark.createDataFrame([(7, 11, 13)], "tag long, x0 long, x1 long").select(P.poly_hash(["tag", "x0", "x1"], h)).first()[0]
-    point = ((7 * h.fold + 11) % P.FIELD * h.fold + 13) % P.FIELD
-    acc = 0
-    for c in h.coefficients:
-        acc = (acc * point + c) % P.FIELD
-    assert row == acc
+    both = []
+    for p in h:
+        point = ((7 * p.fold + 11) % P.FIELD * p.fold + 13) % P.FIELD
+        acc = 0
+        for c in p.coefficients:
+            acc = (acc * point + c) % P.FIELD
+        both.append(acc)
+    assert row == both[0] * P.FIELD + both[1] < P.RANGE
+    assert len({p.fold for f in ("cells", "parts", "core") for p in P.hash_family("x", f, 5)}) == 6
 
 
 def test_regions_and_transfer(spark):
