@@ -262,9 +262,32 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(names[moved]), pa.array(names[label[moved]])], ["a", "b"])
 
 
+#: Bytes of one group's table of shared shingles; of a larger one pairs are compared set by set.
+TABLE = 256 << 20
+
+
+def _shared(sets: list[np.ndarray]) -> np.ndarray | None:
+    """A row of bits for each set, one bit for each shingle that two sets or more hold; None if the table would be too large."""
+    flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    _, place, times = np.unique(flat, return_inverse=True, return_counts=True)
+    column = np.cumsum(times > 1) - 1
+    wide = -(-int((times > 1).sum()) // 64)
+    if len(sets) * wide * 8 > TABLE:
+        return None
+    out = np.zeros((len(sets), max(1, wide)), np.uint64)
+    held = times[place] > 1
+    at = column[place[held]]
+    np.bitwise_or.at(out, (owner[held], at >> 6), np.uint64(1) << (at & 63).astype(np.uint64))
+    return out
+
+
 def alike(sets: list[np.ndarray], keys: np.ndarray, least: float = LEAST) -> np.ndarray:
-    """Labels (the smallest place of each component) of the sets linked by a Jaccard similarity of at least so much. Pairs without a common key are not compared."""
-    label, size, apart = np.arange(len(sets)), np.array([len(s) for s in sets]), set()
+    """Labels (the smallest place of each component) of the sets linked by a Jaccard similarity of at least so much. Pairs without a common key are not compared.
+
+    A set meets all those before it in its bucket at once, by the bits of the shingles that they share.
+    """
+    label, size = np.arange(len(sets)), np.array([len(s) for s in sets])
+    bits = _shared(sets)
     for band in range(keys.shape[1]):
         order = np.argsort(keys[:, band], kind="stable")
         cuts = np.flatnonzero(np.diff(keys[order, band])) + 1
@@ -272,18 +295,18 @@ def alike(sets: list[np.ndarray], keys: np.ndarray, least: float = LEAST) -> np.
             if len(bucket) < 2 or (label[bucket] == label[bucket[0]]).all():
                 continue
             for k in range(1, len(bucket)):
-                j, before = bucket[k], bucket[:k]
-                near = np.minimum(size[before], size[j]) >= least * np.maximum(size[before], size[j]) - 1e-9
-                for i in before[near]:
-                    pair = (min(i, j), max(i, j))
-                    if label[i] == label[j] or pair in apart:
-                        continue
-                    both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
-                    if both >= least * (size[i] + size[j] - both) - 1e-9:
-                        low, high = sorted((label[i], label[j]))
-                        label[label == high] = low
-                    else:
-                        apart.add(pair)
+                j, others = bucket[k], bucket[:k]
+                others = others[(label[others] != label[j]) & (np.minimum(size[others], size[j]) >= least * np.maximum(size[others], size[j]) - 1e-9)]
+                if not len(others):
+                    continue
+                if bits is None:
+                    both = np.array([len(np.intersect1d(sets[i], sets[j], assume_unique=True)) for i in others])
+                else:
+                    both = np.bitwise_count(bits[others] & bits[j]).sum(axis=1, dtype=np.int64)
+                near = others[both >= least * (size[others] + size[j] - both) - 1e-9]
+                if len(near):
+                    joined = np.unique(np.append(label[near], label[j]))
+                    label[np.isin(label, joined)] = joined[0]
     return label
 
 

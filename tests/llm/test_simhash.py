@@ -126,3 +126,27 @@ def test_kept_rows_keep_columns_of_any_name(spark):
     names = ["_id", "_tie", "_own", "tie", "hash", "root", "row", "id"]
     df = spark.createDataFrame([(k, "one two three four five six", *names) for k in (4, 2, 2)], "doc_id long, text string, " + ", ".join(f"`{n}` string" for n in names))
     assert [tuple(r) for r in simhash.keep_one(df).collect()] == [(2, "one two three four five six", *names)]
+
+
+def test_groups_by_bits_equal_all_pairs(monkeypatch):
+    """Sets of near copies and others: labels of all pairs compared plainly, with the table of bits and without."""
+    rng = random.Random(6)
+    words = [f"w{k}" for k in range(400)]
+    bases = [[rng.choice(words) for _ in range(60)] for _ in range(4)]
+    texts = [b"", b"one", b"ONE"]
+    for k in range(90):
+        x = list(bases[k % 4])
+        for _ in range(rng.randrange(5)):
+            x[rng.randrange(60)] = rng.choice(words)
+        texts.append(" ".join(x).encode())
+    sets = [simhash.shingle_set(t) for t in texts]
+    want = list(range(len(sets)))
+    for i in range(len(sets)):
+        for j in range(i):
+            both = len(set(sets[i].tolist()) & set(sets[j].tolist()))
+            if 5 * both >= 4 * (len(sets[i]) + len(sets[j]) - both):
+                low, high = sorted((want[i], want[j]))
+                want = [low if x == high else x for x in want]
+    for table in (simhash.TABLE, 0):
+        monkeypatch.setattr(simhash, "TABLE", table)
+        assert simhash.alike(sets, simhash.band_keys(sets)).tolist() == want
