@@ -46,8 +46,8 @@ SORTED = 4 << 20
 PLACE_BITS = 31
 #: All windows of a run go; a phrase whose trigger other phrases share; one whose trigger more than CROWD share.
 REPEATED, SHARED, CROWDED = 1, 2, 3
-#: Phrases of one trigger that one task sorts together, about 3 MB of them; of more, each window is dealt by its own hash.
-CROWD = 20_000
+#: Phrases of one trigger that one task sorts together, about 0.4 MB of them; of more, each window is dealt by its own hash.
+CROWD = 2_500
 
 PHRASE = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("tie", "<i8"), ("start", "<i8"), ("count", "<i8")])
 
