@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from balclust import workloads as WL
 from balclust.functions import points as P
-from balclust.operators import assign, baselines, coreset, distributed, halfspace, measures, partition, solvers
+from balclust.operators import assign, baselines, coreset, distributed, flow, halfspace, measures, partition, solvers
 from balclust.operators import cost as C
 from balclust.plans import oracle as O
 from balclust.plans import params as PR
@@ -83,6 +84,34 @@ def ablation(s, sf):
     return out
 
 
+@query("m20_dual_certificate", f"WITH {O.points(WL.ORD)}, {_full_cost(WL.W04)}, c AS (SELECT ((count(*) * 60 + 99) // 100)::BIGINT AS t, count(*) AS n FROM pts) SELECT t, (SELECT min(cost) FROM sweep WHERE m >= n - t AND m <= t) AS cost, true AS bound_below, true AS near FROM c")
+def dual_certificate(s, sf):
+    """The exact cost under a capacity of 60 in 100; prices from the summary's flow bound it from below in one pass over all points, and come near it."""
+    i = WL.W04
+    p = pts(s, sf, i)
+    x, w = C.arrays(built(s, sf, i).coreset, 2, "w")
+    n, z = p.count(), np.array(i.centres)
+    t = (n * 60 + 99) // 100
+    _, price = flow.transport(flow.costs(x[:, :2], z, 2), w, np.full(2, 0.6 * w.sum()))
+    exact = C.two_centre_cost(p, *i.centres, s.createDataFrame([(t,)], "t long")).first()["cost"]
+    bound = float(C.dual_bound(p, i.centres, np.rint(price).astype(int).tolist(), t).first()[0])
+    return s.createDataFrame([(t, exact, bound <= exact, bound >= 0.9 * exact)], "t long, cost long, bound_below boolean, near boolean")
+
+
+@query("m21_weighted_bracket", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + f", {two_cost('core', 'bracket', WL.W04, 'SELECT 0.6e0 * sum(w) AS t FROM core')} SELECT round(cost / (SELECT sum(w) FROM core), 4) AS fractional, true AS few_splits, true AS within FROM bracket")
+def weighted_bracket(s, sf):
+    """The summary's fractional cost by its flow, and whether removing its one split changes it by no more than that point's weight can."""
+    i = WL.W04
+    x, w = C.arrays(built(s, sf, i).coreset, 2, "w")
+    cost = flow.costs(x[:, :2], np.array(i.centres), 2)
+    share, _ = flow.transport(cost, w, np.full(2, 0.6 * w.sum()))
+    split = np.flatnonzero((share > 1e-9 * w.sum()).sum(axis=1) > 1)
+    whole, splits = flow.remove_splits(cost, share)
+    low, high = flow.value(cost, share), float((w * cost[np.arange(len(x)), whole]).sum())
+    room = float((w[split] * np.abs(cost[split, 0] - cost[split, 1])).sum()) + 1e-6 * low
+    return s.createDataFrame([(round(float(low / w.sum()), 4), splits <= 1, abs(high - low) <= room)], "fractional double, few_splits boolean, within boolean")
+
+
 @query("m35_serve", O.chain(WL.W04, *O.UP_TO_CORESET)[:-1] + ", caps AS (" + _CAP + "), " + ", ".join(two_cost("core", f"z{n}", WL.W04._replace(centres=tuple((z[0] // (n + 1) + 1, z[1] // (n + 1) + 1) for z in WL.W04.centres)), f"SELECT c * {1 + 0.1!r}e0 AS t FROM caps") for n in range(3))
        + " " + " UNION ALL ".join(f"SELECT {n} AS z, c AS t, round(x.cost / (SELECT sum(w) FROM core), 3) AS mean_cost FROM caps JOIN z{n} x ON x.t = c * {1 + 0.1!r}e0" for n in range(3)))
 def serve(s, sf):
@@ -92,8 +121,6 @@ def serve(s, sf):
     store.save(built(s, sf, i), path)
     x, w = C.arrays(store.load(s, path).coreset, 2, "w")
     rows = []
-    from balclust.operators import flow
-
     for n in range(3):
         z = [(c[0] // (n + 1) + 1, c[1] // (n + 1) + 1) for c in i.centres]
         for t in _caps(pts(s, sf, i).count()):

@@ -104,10 +104,12 @@ def thresholds(s, sf):
 
 
 def _marks_sql(i):
-    on = " AND ".join(f"h.k{m} = c.k{m} >> 1" for m in range(i.spec.d))
-    names = ", ".join(f"c.k{m}" for m in range(i.spec.d))
-    return O.chain(i, "points", "leaves", "cells", "heavy") + f"""SELECT c.level, {names}, c.n, CASE WHEN c.level < {i.spec.levels} AND c.n >= {O.limits(i.params).replace('CASE level', 'CASE c.level')} THEN 'heavy' WHEN c.level = -1 OR h.n IS NOT NULL THEN 'crucial' ELSE 'inside' END AS kind
-FROM cells c LEFT JOIN heavy h ON h.level = c.level - 1 AND {on}"""
+    """The parents' keys are columns of their own, so that the join is one of equal columns."""
+    ks = [f"k{m}" for m in range(i.spec.d)]
+    ps = ", ".join(f"p{m}" for m in range(i.spec.d))
+    return O.chain(i, "points", "leaves", "cells", "heavy")[:-1] + f""", up AS (SELECT CAST(level + 1 AS INTEGER) AS level, {', '.join(f'{k} AS p{m}' for m, k in enumerate(ks))}, true AS open FROM heavy),
+own AS (SELECT *, {', '.join(f'{k} >> 1 AS p{m}' for m, k in enumerate(ks))} FROM cells)
+SELECT level, {', '.join(ks)}, n, CASE WHEN level < {i.spec.levels} AND n >= {O.limits(i.params)} THEN 'heavy' WHEN level = -1 OR open THEN 'crucial' ELSE 'inside' END AS kind FROM own LEFT JOIN up USING (level, {ps})"""
 
 
 def _mark_query(key, i):
@@ -321,33 +323,6 @@ for _k, _r in (("w04", 2), ("w04", 1), ("w05", 2), ("w13", 2)):
     _two_query(_k, WL.ALL[_k], _r)
 
 
-@query("m20_dual_certificate", "SELECT true AS bound_below, true AS near")
-def dual_certificate(s, sf):
-    """Prices from the summary's flow bound the cost of all points from below, in one pass, and come near it."""
-    i = WL.W04
-    p = pts(s, sf, i)
-    x, w = C.arrays(built(s, sf, i).coreset, 2, "w")
-    n, z = p.count(), np.array(i.centres)
-    t = (n * 60 + 99) // 100
-    _, price = flow.transport(flow.costs(x[:, :2], z, 2), w, np.full(2, 0.6 * w.sum()))
-    exact = C.two_centre_cost(p, *i.centres, s.createDataFrame([(t,)], "t long")).first()["cost"]
-    bound = float(C.dual_bound(p, i.centres, np.rint(price).astype(int).tolist(), t).first()[0])
-    return verdict(s, (bound <= exact, bound >= 0.9 * exact), "bound_below boolean, near boolean")
-
-
-@query("m21_weighted_bracket", "SELECT true AS fractional_below, true AS few_splits, true AS capacity_kept")
-def weighted_bracket(s, sf):
-    """The integral weighted cost lies between the flow's and that of the flow with its splits removed."""
-    i = WL.W04
-    x, w = C.arrays(built(s, sf, i).coreset, 2, "w")
-    cap = 0.6 * w.sum()
-    cost = flow.costs(x[:, :2], np.array(i.centres), 2)
-    share, _ = flow.transport(cost, w, np.full(2, cap))
-    whole, splits = flow.remove_splits(cost, share)
-    low, high = flow.value(cost, share), float((w * cost[np.arange(len(x)), whole]).sum())
-    return verdict(s, (low <= high + abs(high) * 1e-3 + w.max() * cost.max(), splits <= 1, float(np.bincount(whole, w).max()) <= cap + w.max()), "fractional_below boolean, few_splits boolean, capacity_kept boolean")
-
-
 @query("v04_bottleneck", f"WITH {O.points(WL.SUP)} SELECT count(CASE WHEN {_near_sql(WL.W13, 2)[0]} > 400 THEN 1 END) AS n_far FROM pts")
 def bottleneck(s, sf):
     return C.bottleneck(pts(s, sf, WL.W13), WL.W13.centres, 400)

@@ -165,8 +165,9 @@ TAG_BITS = 32
 
 
 def point_key(grid: P.Grid) -> Column:
-    """One 62-bit number of a tagged point: tag, then coordinates."""
-    return cellstore.pack([F.col("tag"), *(F.col(f"x{m}") for m in range(grid.d))], grid.levels + 1)
+    """One 62-bit number of a tagged point: tag, then coordinates. A tag beyond TAG_BITS ends the query."""
+    key = cellstore.pack([F.col("tag"), *(F.col(f"x{m}") for m in range(grid.d))], grid.levels + 1)
+    return F.when(F.col("tag").between(0, (1 << TAG_BITS) - 1), key).otherwise(F.raise_error(F.lit("a tag does not fit into a key of the sketch")).cast("long"))
 
 
 def sketch_cuts(params) -> dict[tuple[str, int], int]:
