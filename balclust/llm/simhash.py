@@ -38,6 +38,8 @@ FRONTIER, DIRECT = 1 << 18, 64
 #: The pipeline's stage: words in a shingle and the similarity of shingle sets that links. Two sets of that similarity share
 #: no band key with a chance of (1 - LEAST ** PER_BAND) ** BANDS, 1.3 in ten million.
 STAGE_WORDS, LEAST, BANDS, PER_BAND = 5, 0.8, 40, 5
+#: Tasks that the links of one node may be dealt to.
+SALTS = 32
 
 
 def shingle_hashes(text: bytes, words: int = WORDS) -> list[int]:
@@ -179,23 +181,29 @@ def links(marks: DataFrame) -> DataFrame:
     return dealt.mapInArrow(_forest, "a long, b long")
 
 
+def with_least(rows: DataFrame, key: str, value: str, deal: str) -> DataFrame:
+    """rows with m, the least value of their key. The rows of one key are dealt to up to SALTS tasks by a hash of deal; none but the salts that a key has are joined."""
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64(deal), F.lit(SALTS)))
+    least = dealt.groupBy(key).agg(F.min(value).alias("m"), F.collect_set("salt").alias("salts")).select(key, "m", F.explode("salts").alias("salt"))
+    return dealt.join(least, [key, "salt"]).drop("salt")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node, root: the smallest node that each node of edges (a, b) reaches."""
     edges = common.stage(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a != b").distinct())
     while True:
         # Done once every node points to one other that points nowhere.
         forks = edges.groupBy("a").count().where("count > 1").select("a")
-        chains = edges.join(edges.select(F.col("b").alias("a")), "a", "left_semi").select("a")
+        chains = edges.join(edges.select(F.col("b").alias("a")).distinct(), "a", "left_semi").select("a")
         if forks.unionByName(chains).isEmpty():
             return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("m", "a"))
         # Large neighbours of each node move to its smallest one, ...
-        wide = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        wide = with_least(both, "a", "b", "b").where("b > a").select(F.col("b").alias("a"), F.least("m", "a").alias("b")).distinct()
         # ... then the small ones, with the node itself.
-        down = wide.groupBy("a").agg(F.min("b").alias("m"))
-        near = wide.join(down, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        before, edges = edges, common.stage(near.unionByName(down.withColumnRenamed("m", "b")).distinct())
+        met = with_least(wide, "a", "b", "b")
+        near = met.select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b"))
+        before, edges = edges, common.stage(near.distinct())
         common.drop(edges.sparkSession, before)
 
 
@@ -206,8 +214,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS) -> DataFrame:
     found = components(links(marks.select("mark")))
     members = found.unionByName(found.select(F.col("root").alias("node"), "root").distinct())
     held = members.join(marks, members.node == marks.mark).select("mark", "root", "least")
-    smallest = held.groupBy("root").agg(F.min("least").alias("component_id"))
-    joined = held.join(smallest, "root").select("mark", "root", "component_id")
+    joined = with_least(held, "root", "least", "mark").select("mark", "root", F.col("m").alias("component_id"))
     named = marks.join(joined, "mark", "left").select("mark", F.coalesce("root", "mark").alias("root"), F.coalesce("component_id", "least").alias("component_id"))
     return marked.join(common.stage(named), "mark").select("doc_id", "tie", "mark", "root", "component_id")
 

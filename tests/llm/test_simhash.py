@@ -77,6 +77,22 @@ def test_trie_join_finds_every_pair(frontier, monkeypatch):
     assert got == want and len(want) > 100
 
 
+def test_components_of_hubs_and_chains_of_hubs(spark):
+    """Stars of many more links than salts, joined by chains, and one whose hub is its largest node."""
+    edges = [(0, k) for k in range(1, 300)] + [(299, 1000)] + [(1000, 1000 + k) for k in range(1, 200)] + [(5000, k) for k in range(4000, 4100)]
+    edges += [(b, a) for a, b in edges[::7]] + edges[:20]
+    got = {r.node: r.root for r in simhash.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    nodes = {x for e in edges for x in e}
+    assert got == {n: 0 if n < 4000 else 4000 for n in nodes - {0, 4000}}
+
+
+def test_least_of_a_key_keeps_rows(spark):
+    rows = spark.createDataFrame([(1, k % 90, k) for k in range(500)] + [(2, None, 7), (3, 5, 1)], "key long, value long, deal long")
+    got = simhash.with_least(rows, "key", "value", "deal")
+    assert got.count() == 502
+    assert {(r.key, r.m) for r in got.collect()} == {(1, 0), (2, None), (3, 5)}
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(k, k + 1) for k in range(60)] + [(1000, 1000 + k) for k in range(1, 80)] + [(2001, 2000), (2000, 2001), (3000, 3000)]
     got = {r.node: r.root for r in simhash.components(spark.createDataFrame(edges, "a long, b long")).collect()}
