@@ -445,6 +445,50 @@ def purity_balanced(s, sf):
     return measures.purity(assign.extend(p, b, assigned, i.centres), "label")
 
 
+_REAL = [f"CAST(round(({m.sql}) * 1e6) AS BIGINT)" for m in WL.EMB.dimensions]
+_SPREAD = "CAST(sum(s2) AS DOUBLE) - sum(CAST(s1 AS DOUBLE) * CAST(s1 AS DOUBLE) / n)"
+
+
+@query("w11_projected_against_raw", f"WITH {O.points(WL.EMB, ('embedding',))}, a AS (SELECT {_P11} AS j, embedding FROM pts), e AS (SELECT j, generate_subscripts(embedding, 1) AS m, CAST(round(unnest(embedding) * 1e6) AS BIGINT) AS v FROM a), y AS ("
+       + " UNION ALL ".join(f"SELECT j, {k} AS m, {v} AS v FROM a" for k, v in enumerate(_REAL)) + f"), sums AS (SELECT j, m, count(*) AS n, sum(v) AS s1, sum(v * v) AS s2, 0 AS own FROM e GROUP BY j, m UNION ALL SELECT j, m, count(*), sum(v), sum(v * v), 1 FROM y GROUP BY j, m), spread AS (SELECT j, own, any_value(n) AS n, ({_SPREAD}) / 1e12 AS v FROM sums GROUP BY j, own) "
+       "SELECT r.j::INTEGER AS j, r.n, round(r.v, 3) AS raw, round(p.v, 3) AS projected FROM spread r JOIN spread p USING (j) WHERE r.own = 0 AND p.own = 1")
+def projected_against_raw(s, sf):
+    """By cluster of the projected space: the squared distances to its mean in all 64 columns, and in the four projected ones: four times the raw one on average for clusters that the projection did not choose, less for these."""
+    i = WL.W11
+    a = C.nearest(pts(s, sf, i, ("embedding",)), i.centres, 2).select("j", "embedding")
+
+    def whole(c):
+        return F.round(c * 1e6).cast("long")
+
+    def spread(values, name):
+        sums = values.groupBy("j", "m").agg(F.count("*").alias("n"), F.sum(F.col("v").cast("decimal(20,0)")).alias("s1"), F.sum((F.col("v") * F.col("v")).cast("decimal(20,0)")).alias("s2"))
+        squared = F.col("s1").cast("double") * F.col("s1").cast("double") / F.col("n")
+        return sums.groupBy("j").agg(F.max("n").alias("n"), F.round((F.sum("s2").cast("double") - F.sum(squared)) / 1e12, 3).alias(name))
+
+    raw = spread(a.select("j", F.posexplode("embedding").alias("m", "e")).select("j", "m", whole(F.col("e")).alias("v")), "raw")
+    own = spread(a.select("j", F.posexplode(F.array(*(whole(F.expr(m.expression)) for m in i.spec.dimensions))).alias("m", "v")), "projected")
+    return raw.join(own.drop("n"), "j").select("j", "n", "raw", "projected")
+
+
+def _sized(i, m, factor):
+    return i._replace(params=i.params._replace(m=m, guess=i.params.guess * factor))
+
+
+_SWEEP = [(m, f) for m in (8.0, 32.0, 128.0) for f in (1.0, 8.0)]
+
+
+@query("w19_size_sweep", " UNION ALL ".join(f"SELECT * FROM ({O.chain(_sized(WL.W06, m, f), *O.UP_TO_CORESET)} SELECT {m!r}::DOUBLE AS m, {f!r}::DOUBLE AS factor, (SELECT count(*) FROM heavy) AS n_heavy, count(*) AS n_summary FROM core)" for m, f in _SWEEP))
+def size_sweep(s, sf):
+    """Heavy cells and rows of the summary for each rate and each multiple of the guess."""
+    out = None
+    for m, f in _SWEEP:
+        b = built(s, sf, _sized(WL.W06, m, f))
+        heavy = b.heavy.agg(F.count("*").alias("n_heavy"))
+        one = heavy.join(F.broadcast(b.coreset.agg(F.count("*").alias("n_summary"))), F.lit(True)).select(F.lit(m).alias("m"), F.lit(f).alias("factor"), "n_heavy", "n_summary")  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 _N14, _P14 = _near_sql(WL.W14, 2)
 
 
@@ -454,6 +498,19 @@ def cluster_composition(s, sf):
     return a.groupBy("j").agg(F.count("*").alias("size"), F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("quality") == 0).alias("bad"), F.count_if(F.col("toxic") == 1).alias("toxic"))
 
 
+_BOTH = WL.DOC._replace(table="(SELECT doc_id, text, n_chars, 0 AS item FROM documents UNION ALL SELECT item_id, text, length(text), 1 FROM benchmark)")
+
+
+@query("w21_leakage_cells", f"WITH {O.points(_BOTH, ('item',))}, {O.leaves(WL.W14)} SELECT c0, c1, count(CASE WHEN item = 0 THEN 1 END) AS n_documents, count(CASE WHEN item = 1 THEN 1 END) AS n_items FROM leaf GROUP BY c0, c1 HAVING count(CASE WHEN item = 1 THEN 1 END) > 0")
+def leakage_cells(s, sf):
+    """Leaf cells of the documents' lattice that benchmark items lie in, with the documents there: where a copied item has to be looked for."""
+    i = WL.W14
+    docs = table(s, sf, "documents").select("text", F.col("n_chars").cast("long").alias("n_chars"), F.lit(0).alias("item"))
+    items = table(s, sf, "benchmark").select("text", F.length("text").cast("long").alias("n_chars"), F.lit(1).alias("item"))
+    met = P.discretize(docs.unionByName(items), i.spec, ["item"]).select("item", *i.grid.leaf(i.spec.coordinates))
+    return met.groupBy("c0", "c1").agg(F.count_if(F.col("item") == 0).alias("n_documents"), F.count_if(F.col("item") == 1).alias("n_items")).where("n_items > 0")
+
+
 def _region_centres(s, sf):
     """The mean lattice point of each region's customers: five rows."""
     nation = F.broadcast(table(s, sf, "nation").select("n_nationkey", "n_regionkey"))

@@ -16,6 +16,7 @@ NAMES = [
     "a02_a03_ratios", "w19_ablation", "m35_serve", "a04_solution_quality", "v04_capacitated_bottleneck", "v13_exhaustive_pairs", "a20_assignments_counted", "a07_heavy_bound", "a09_level_mass_bound", "a11_sampling_error",
     "w18_scale_sweep", "m25_half_spaces_four", "m28_regions_events", "m29_region_tallies_orders_r1", "m30_transfer_four", "m27_tie_exchange_orders", "v08_coreset_hashed_events", "m40_distributed_coreset_4", "m40_total_bits",
     "w10_skewed_coreset", "w10_bits_skewed_machines", "w12_purity_free", "w14_cluster_composition", "w16_free_territories", "m19_good_parts", "m37_stream_coreset", "tied_swap_pairs",
+    "w11_projected_against_raw", "w19_size_sweep", "w21_leakage_cells",
 ]
 
 
