@@ -114,6 +114,17 @@ def run_batches(stream: DataFrame, mode: str = "update") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
 
 
+def run_complete(stream: DataFrame) -> DataFrame:
+    """What a bounded stream's complete mode holds at its end, written to files by the tasks: each micro-batch's result takes the place of the one before."""
+    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/complete-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(path)
+
+    stream.writeStream.outputMode("complete").foreachBatch(put).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(path)
+
+
 def run_to_files(stream: DataFrame) -> DataFrame:
     """All that a bounded stream appends, by way of files in the shared folder."""
     spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
