@@ -10,6 +10,7 @@ import math
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -132,21 +133,36 @@ def run_to_files(stream: DataFrame) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path)
 
 
+#: Groups that points are dealt to by a hash. The state of one is the packed points in it that live: counts are added up for a group at once, not for each point.
+GROUPS = 1024
+
+
+def _dealt(updates: DataFrame, names: list[str]) -> DataFrame:
+    return updates.select("op", *names, F.pmod(F.xxhash64(*names), F.lit(GROUPS)).cast("int").alias("dealt"))
+
+
+def settled(held: bytes | None, batches: Iterator[pd.DataFrame], names: list[str]) -> tuple[bytes, pd.DataFrame]:
+    """(the points of a group that live, packed as rows of whole numbers with the count last; the count of each point that the batches name, zero where it went)."""
+    new = [b.groupby(names, sort=False)["op"].sum().reset_index(name="n").astype("int64") for b in batches]
+    old = pd.DataFrame(np.frombuffer(held or b"", np.int64).reshape(-1, len(names) + 1), columns=[*names, "n"])
+    named = pd.concat(new).groupby(names, sort=False)["n"].sum().reset_index() if new else old.iloc[:0]
+    both = pd.concat([old.assign(new=False), named.assign(new=True)]).groupby(names, sort=False).agg(n=("n", "sum"), new=("new", "max")).reset_index()
+    return both.loc[both["n"] != 0, [*names, "n"]].to_numpy(np.int64).tobytes(), both.loc[both["new"], [*names, "n"]]
+
+
 def survivors(updates: DataFrame, schema: str = "tag long, x0 long, x1 long") -> DataFrame:
     """The points that a stream of updates leaves, by state that drops a point whose count is zero. updates: op, tag, x0, x1."""
     names = [f.split()[0] for f in schema.split(", ")]
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        n = state.get[0] if state.exists else 0
-        n += sum(int(b["op"].sum()) for b in batches)
-        if n == 0:
-            if state.exists:
-                state.remove()
-        else:
-            state.update((n,))
-        yield pd.DataFrame([[*key, n]], columns=[*names, "n"])
-
-    return updates.groupBy(*names).applyInPandasWithState(step, f"{schema}, n long", "n long", "update", GroupStateTimeout.NoTimeout)
+        held, changed = settled(state.get[0] if state.exists else None, batches, names)
+        if held:
+            state.update((held,))
+        elif state.exists:
+            state.remove()
+        yield changed
+
+    return _dealt(updates, names).groupBy("dealt").applyInPandasWithState(step, f"{schema}, n long", "held binary", "update", GroupStateTimeout.NoTimeout)
 
 
 def counted(updates: DataFrame) -> DataFrame:
