@@ -166,25 +166,28 @@ def survivors(updates: DataFrame, schema: str = "tag long, x0 long, x1 long") ->
 
 
 def counted(updates: DataFrame) -> DataFrame:
-    """tag, x0, x1, n of each changed point, by a state processor whose value goes when the count is zero."""
+    """tag, x0, x1, n of each changed point, by a state processor from whose value a point goes when its count is zero."""
     from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
+    names = ["tag", "x0", "x1"]
+
     class Counter(StatefulProcessor):
         def init(self, handle: StatefulProcessorHandle) -> None:
-            self.count = handle.getValueState("count", "n long")
+            self.held = handle.getValueState("held", "held binary")
 
         def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802,N803  (the engine's names)
-            n = (self.count.get()[0] if self.count.exists() else 0) + sum(int(b["op"].sum()) for b in rows)
-            if n:
-                self.count.update((n,))
-            elif self.count.exists():
-                self.count.clear()
-            yield pd.DataFrame([[*key, n]], columns=["tag", "x0", "x1", "n"])
+            before = self.held.get()[0] if self.held.exists() else None
+            held, changed = settled(None if before is None else bytes(before), rows, names)
+            if held:
+                self.held.update((held,))
+            elif before is not None:
+                self.held.clear()
+            yield changed
 
         def close(self) -> None:
             pass
 
-    return updates.groupBy("tag", "x0", "x1").transformWithStateInPandas(Counter(), "tag long, x0 long, x1 long, n long", "Update", "None")
+    return _dealt(updates, names).groupBy("dealt").transformWithStateInPandas(Counter(), "tag long, x0 long, x1 long, n long", "Update", "None")
 
 
 #: Bits of a tag in a stored point.
