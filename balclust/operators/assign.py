@@ -37,8 +37,12 @@ def assign_summary(summary: DataFrame, centres: C.Centres, capacity: float, r: f
     return spark.createDataFrame(table.assign(j=out.astype(np.int32))), report
 
 
-def extend(points: DataFrame, built: S.Summary, assigned: DataFrame, centres: C.Centres, transfer: bool = True) -> DataFrame:
-    """points with level, j: every input row's centre. Heavy cells, parts and tallies, whose number the guess bounds, go to the points; no point moves."""
+def extend(points: DataFrame, built: S.Summary, assigned: DataFrame, centres: C.Centres, transfer: bool = True, routed: DataFrame | None = None) -> DataFrame:
+    """points with level, j: every input row's centre. Heavy cells, parts and tallies, whose number the guess bounds, go to the points; no point moves.
+
+    routed: what partition.routed_points gives for the points, where it is at hand. With many heavy levels the look-ups and the comparisons
+    written into one step are more than the JVM compiles (8000 bytes), and each row is then interpreted: stage the routed points of large tables.
+    """
     params, grid, k = built.params, built.grid, len(centres)
     part_key = ["level", *(f"p{m}" for m in range(grid.d))]
     ends = halfspace.derive(assigned, centres, params.r)
@@ -46,7 +50,7 @@ def extend(points: DataFrame, built: S.Summary, assigned: DataFrame, centres: C.
     sizes = S.important_parts(built.parts, params).select(*part_key, "size")
     rows = partition.held(built.heavy, grid)
     small = F.broadcast if rows is not None else (lambda df: df)  # no more parts than heavy cells
-    keyed = partition.routed_points(points, built.heavy, grid, rows)
+    keyed = partition.routed_points(points, built.heavy, grid, rows) if routed is None else routed
     placed = halfspace.regions(keyed, ends, centres, params.r).join(small(sizes), part_key, "left")
     if transfer:
         moved = halfspace.transfer(placed, small(tally), k, part_key, 2 * params.xi * F.col("size"))
