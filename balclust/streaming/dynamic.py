@@ -93,17 +93,6 @@ def run(stream: DataFrame, mode: str = "complete", checkpoint: str | None = None
     return stream.sparkSession.table(name)
 
 
-def run_sums(stream: DataFrame, by: tuple[str, ...], sums: list[str]) -> DataFrame:
-    """by.., sums over a bounded stream: each micro-batch adds up its own to files, which add up at the end. What is kept is the sketch, not the stream."""
-    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/sums-{uuid.uuid4().hex}"
-
-    def put(batch: DataFrame, number: int) -> None:
-        batch.groupBy(*by).agg(*(F.sum(c).alias(c) for c in sums)).write.mode("overwrite").parquet(f"{path}/batch={number}")
-
-    stream.writeStream.foreachBatch(put).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(path).groupBy(*by).agg(*(F.sum(c).alias(c) for c in sums))
-
-
 def run_batches(stream: DataFrame, mode: str = "update") -> DataFrame:
     """All rows that a bounded stream emits in any mode, each micro-batch written to files: for results that grow with the input."""
     spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/batches-{uuid.uuid4().hex}"
@@ -229,61 +218,105 @@ def summary_updates(updates: DataFrame, grid: P.Grid, params, hashes: dict[str,
     return each.select("u.family", "u.level", "u.key", "sign")
 
 
+#: Keys of one family and level that a share of its sketches is meant for: half of what a sketch of 40,000 has room for.
+SHARE = 20_000
+
+
+def shares(params, grid: P.Grid, most: int, per: int = SHARE) -> dict[tuple[str, int], int]:
+    """Sketches that the keys of each family and level are dealt to, from how many points may be met at most: about per keys in each."""
+    out = {}
+    for (family, level), cut in sketch_cuts(params).items():
+        keys = most * cut / P.RANGE
+        if family == "cells":
+            keys = min(keys, ((1 << (level + 1)) + 1) ** grid.d)
+        out[family, level] = max(1, math.ceil(keys / per))
+    return out
+
+
+def run_sketches(updates: DataFrame, shape: cellstore.Shape, dealt: dict[tuple[str, int], int]) -> DataFrame:
+    """family, level, share, rep, bucket and sums over a bounded stream of summary_updates: the keys of each family and level are dealt to so many sketches.
+
+    Each micro-batch adds up its signs by key, then its sketches, to files. What is kept between batches is the sketches, not the keys.
+    """
+    spark, path = updates.sparkSession, f"{shared_dir(updates.sparkSession)}/sums-{uuid.uuid4().hex}"
+    by = ("family", "level", "share", "rep", "bucket")
+    number = F.lit(1)
+    for (family, level), n in dealt.items():
+        number = F.when((F.col("family") == family) & (F.col("level") == level), n).otherwise(number) if n > 1 else number
+
+    def put(batch: DataFrame, k: int) -> None:
+        left = batch.groupBy("family", "level", "key").agg(F.sum("sign").alias("sign")).where("sign != 0")
+        shared = left.withColumn("share", F.pmod(F.xxhash64("key"), number).cast("int"))
+        cellstore.routed(shared, shape).groupBy(*by).agg(*(F.sum(c).alias(c) for c in cellstore.SUMS)).write.mode("overwrite").parquet(f"{path}/batch={k}")
+
+    updates.writeStream.foreachBatch(put).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(path).groupBy(*by).agg(*(F.sum(c).alias(c) for c in cellstore.SUMS))
+
+
 def sketched_summary(spark: SparkSession, sketches: DataFrame, grid: P.Grid, params, shape: cellstore.Shape) -> coreset.Summary | None:
     """The summary from decoded sketches of summary_updates alone: no survivor is kept. None where a sketch that is needed fails.
 
-    sketches: family, level, rep, bucket and sums; their number of rows is the shape's for each family and level.
+    sketches: family, level, rep, bucket and sums, and share where keys are dealt to several; each has the shape's number of rows at most and is
+    decoded in a task. The driver gets the cells that pass their threshold.
     """
-    cuts, found = sketch_cuts(params), {}
-    rows: dict[tuple[str, int], list] = {}
-    for r in sketches.collect():  # families x levels x shape.rows rows at most
-        rows.setdefault((r["family"], r["level"]), []).append(r)
-    for key, own in rows.items():
-        found[key] = cellstore.decode(own, shape)
-    by_cut: dict[tuple[str, int], tuple[str, int]] = {}
+    cuts, path = sketch_cuts(params), f"{shared_dir(spark)}/decoded-{uuid.uuid4().hex}"
+    by = tuple(c for c in ("family", "level", "share") if c in sketches.columns)
+    tables = cellstore.decoded_tables(sketches, shape, by, ("family", "level"))
+    tables.write.partitionBy("family", "level").parquet(path)
+    found = spark.read.schema(tables.schema).parquet(path)
+    failed = {(r["family"], r["level"]) for r in found.where("key IS NULL").select("family", "level").distinct().collect()}
+    first: dict[tuple[str, int], int] = {}
     for (family, level), cut in cuts.items():
-        by_cut.setdefault((family, cut), (family, level))
-
-    def kept(family: str, level: int) -> dict[int, int] | None:
-        return found.get(by_cut[family, cuts[family, level]] if family != "cells" else (family, level), {})
+        first.setdefault((family, cut), level)
 
     limit, bits = partition.thresholds(params), grid.levels + 2
+    scale = {level: P.RANGE / cuts["cells", level] for level in range(-1, params.levels + 1)}
+    large = found.where((F.col("family") == "cells") & F.col("key").isNotNull() & (F.col("level") < params.levels)).where(F.col("n") * partition.by_level("level", scale) >= partition.by_level("level", limit))
+    passed: dict[int, list] = {}
+    for r in large.collect():  # no more than the guess's bound on heavy cells and those inside no heavy one
+        passed.setdefault(r["level"], []).append((cellstore.unpack(r["key"], grid.d, bits), r["n"]))
     parents, heavy = None, []
     for level in range(-1, params.levels):
-        cells = kept("cells", level)
-        if cells is None:
+        if ("cells", level) in failed:
             return None
-        scale, own = P.RANGE / cuts["cells", level], set()
-        for key, n in cells.items():
-            place = cellstore.unpack(key, grid.d, bits)
-            if n * scale >= limit[level] and (parents is None or tuple(k >> 1 for k in place) in parents):
-                own.add(place)
-                heavy.append((level, *place, float(n * scale)))
-        parents = own
+        own = [(place, n) for place, n in passed.get(level, []) if parents is None or tuple(k >> 1 for k in place) in parents]
+        heavy += [(level, *place, float(n * scale[level])) for place, n in own]
+        parents = {place for place, _ in own}
         if not own:
             break
     names = ["tag", *(f"x{m}" for m in range(grid.d))]
-
-    def points(family: str, level: int) -> DataFrame | None:
-        held = kept(family, level)
-        if held is None:
+    key, wide = ["level", *(f"p{m}" for m in range(grid.d))], grid.levels + 1
+
+    def routed(family: str) -> list[tuple[list[int], DataFrame]] | None:
+        """The sampled points of each threshold with their parts, at the levels of that threshold."""
+        levels: dict[int, list[int]] = {}
+        for level in sorted({h[0] + 1 for h in heavy}):
+            levels.setdefault(first[family, cuts[family, level]], []).append(level)
+        if any((family, k) in failed for k in levels):
             return None
-        table = [(key >> (grid.d * (grid.levels + 1)), *cellstore.unpack(key & ((1 << grid.d * (grid.levels + 1)) - 1), grid.d, grid.levels + 1)) for key in held]
-        return spark.createDataFrame(table, ", ".join(f"{n} long" for n in names))
+        out = []
+        for k, own in levels.items():
+            held = found.where((F.col("family") == family) & (F.col("level") == k))
+            lanes = [F.expr(f"shiftright(key, {wide * (grid.d - m)})").alias(names[m]) if m == 0 else F.expr(f"shiftright(key, {wide * (grid.d - m)}) & {(1 << wide) - 1}").alias(names[m]) for m in range(grid.d + 1)]
+            out.append((own, partition.route(held.select(*lanes), cell_rows, grid).where(F.col("level").isin(own))))
+        return out
 
     cells = spark.createDataFrame(heavy, f"level int, {', '.join(f'{k} long' for k in grid.key_names)}, n double")
     cell_rows = cells.collect()
-    sizes, sampled = None, None
+    parts, core = routed("parts"), routed("points")
+    if parts is None or core is None:
+        return None
+    if not heavy:
+        none = spark.createDataFrame([], ", ".join([*(f"{n} long" for n in names), "level int", *(f"{p} long" for p in key[1:]), "w double"]))
+        return coreset.Summary(params, grid, cells, partition.parts_of_cells(cells, grid), none)
+    each = {level: P.RANGE / cuts["parts", level] for level in range(params.levels + 1)}
     weight = {i: P.RANGE / cut for i, cut in coreset.rates(params).items()}
-    for level in sorted({h[0] + 1 for h in heavy}):
-        part, core = points("parts", level), points("points", level)
-        if part is None or core is None:
-            return None
-        key = ["level", *(f"p{m}" for m in range(grid.d))]
-        one = partition.route(part, cell_rows, grid).where(F.col("level") == level).groupBy(*key).agg((F.count("*") * F.lit(P.RANGE / cuts["parts", level])).alias("size"))
-        two = partition.route(core, cell_rows, grid).where(F.col("level") == level).select(*names, *key, F.lit(weight[level]).alias("w"))
-        sizes, sampled = (one, two) if sizes is None else (sizes.unionByName(one), sampled.unionByName(two))
-    if sizes is None:
-        return coreset.Summary(params, grid, cells, partition.parts_of_cells(cells, grid), points("points", params.levels).withColumn("w", F.lit(1.0)).limit(0))
+    sizes, sampled = None, None
+    for _, df in parts:
+        one = df.groupBy(*key).agg(F.count("*").alias("size")).select(*key, (F.col("size") * partition.by_level("level", each)).alias("size"))
+        sizes = one if sizes is None else sizes.unionByName(one)
+    for _, df in core:
+        one = df.select(*names, *key, partition.by_level("level", weight).alias("w"))
+        sampled = one if sampled is None else sampled.unionByName(one)
     some = coreset.important_parts(sizes, params)
-    return coreset.Summary(params, grid, cells, sizes, sampled.join(F.broadcast(some.drop("size")), ["level", *(f"p{m}" for m in range(grid.d))]).select(*names, "level", *(f"p{m}" for m in range(grid.d)), "w"))
+    return coreset.Summary(params, grid, cells, sizes, sampled.join(F.broadcast(some.drop("size")), key).select(*names, *key, "w"))
