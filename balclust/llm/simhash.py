@@ -8,8 +8,8 @@ lie in one task; a task gives a spanning forest of its links rather than all of
 copies cost no more than their size. Forests of all tasks become components by alternating star contraction.
 
 The query's contract is three words and three bits. The pipeline's stage links what shares 0.8 of its five-word
-shingles, about ten of 64 bits, where a trie join has to compare nearly all pairs: candidates
-come from bands of least hashes there, and each link is an exact comparison of shingle sets.
+shingles. Its candidates are the sets whose fingerprints the trie join links and, since pairs at 0.8 differ in
+about ten of 64 bits, those that share a band of least hashes; each link is an exact comparison of shingle sets.
 
 Defined cases: a null text has no words and fingerprint zero, which links like any other; a text of
 fewer words than a shingle is one shingle; repeated rows each get their row; a null path counts for no
@@ -225,12 +225,15 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _bands(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """doc_id, tie, node (a hash of the shingle set) and keys (its band keys) of each row."""
+    """doc_id, tie, node (a hash of the shingle set), mark (its fingerprint) and keys (its band keys) of each row."""
     for part in common.slices(batches, "text", common.SLICE_BYTES // 2):
         sets = [shingle_set(t) for t in common.raw_texts(part)]
         nodes = np.array([xxhash.xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64)
+        marks = majority(sets)
         keys = [row.tobytes() for row in band_keys(sets)]
-        yield pa.RecordBatch.from_arrays([common.column(part, "doc_id"), common.column(part, "tie"), pa.array(nodes.view(np.int64)), pa.array(keys, pa.binary())], ["doc_id", "tie", "node", "keys"])
+        yield pa.RecordBatch.from_arrays(
+            [common.column(part, "doc_id"), common.column(part, "tie"), pa.array(nodes.view(np.int64)), pa.array(marks.view(np.int64)), pa.array(keys, pa.binary())], ["doc_id", "tie", "node", "mark", "keys"]
+        )
 
 
 def shingle_set(text: bytes, words: int = STAGE_WORDS) -> np.ndarray:
@@ -338,16 +341,26 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield done()
 
 
+def marked_roots(nodes: DataFrame) -> DataFrame:
+    """node, near: nodes (node, mark) whose fingerprints are linked within the budget by the trie join have one near, the smallest mark reachable."""
+    found = components(links(nodes.select("mark").distinct()))
+    return nodes.select("node", "mark").join(found.select(F.col("node").alias("mark"), "root"), "mark", "left").select("node", F.coalesce("root", "mark").alias("near"))
+
+
 def near_copies(docs: DataFrame) -> DataFrame:
     """doc_id, tie and root of each row of docs (doc_id, text): rows linked by a similarity of at least LEAST of their sets of five-word shingles share a root.
 
-    Sets that share a band key are candidates; each group of candidates is then compared set by set in one task, to which every distinct set's text moves once.
+    Candidates are sets whose fingerprints the trie join links, and beside them, for those too far apart for its budget, sets that share a band key.
+    Each group of candidates is then compared set by set in one task, linked fingerprints first; every distinct set's text moves there once.
     """
     hashed = docs.select("doc_id", "text", F.xxhash64("text").alias("tie"))
-    marked = common.stage(hashed.mapInArrow(_bands, "doc_id long, tie long, node long, keys binary"))
-    nodes = marked.groupBy("node").agg(F.min(F.coalesce("tie", F.lit(0))).alias("tie"), F.min("keys").alias("keys"))
+    marked = common.stage(hashed.mapInArrow(_bands, "doc_id long, tie long, node long, mark long, keys binary"))
+    held = marked.groupBy("node").agg(F.min(F.coalesce("tie", F.lit(0))).alias("tie"), F.min("mark").alias("mark"), F.min("keys").alias("keys"))
+    near = common.stage(marked_roots(held))
+    # What the trie join found is the first of a node's keys; the keys of bands follow.
+    nodes = held.join(near, "node").select("node", "tie", F.concat(F.unhex(F.lpad(F.hex("near"), 16, "0")), "keys").alias("keys"))
     width = 8
-    cut = F.explode(F.expr(f"transform(sequence(0, {BANDS - 1}), b -> xxhash64(b, substring(keys, b * {width} + 1, {width})))"))
+    cut = F.explode(F.expr(f"transform(sequence(0, {BANDS}), b -> xxhash64(b, substring(keys, b * {width} + 1, {width})))"))
     met = components(nodes.select("node", cut.alias("key")).repartition("key").mapInArrow(_meet, "a long, b long"))
     groups = met.unionByName(met.select(F.col("root").alias("node"), "root").distinct()).select("node", F.col("root").alias("group"))
     chosen = nodes.join(groups, "node")
